@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from huecount.llm import minhash, mixing, packing, sharding
+from huecount.llm import minhash, mixing, packing, quality, secrets, sharding
 from huecount.llm.common import table
 
 DOCUMENT_OPERATORS = {
     "op2_sharding": sharding.op2_sharding,
     "op3_mixing": mixing.op3_mixing,
     "op4_packing": packing.op4_packing,
+    "op5_quality": quality.op5_quality,
     "op6_near_duplicates": minhash.op6_near_duplicates,
+    "op10_secret_scan": secrets.op10_secret_scan,
 }
 
 
