@@ -40,8 +40,8 @@ MIN_WORDS, MAX_REPEAT_PERCENT = 10, 20
 MEASURES = {
     "symbols": ("n_symbols", "word_chars", True, False, 0.01),
     "word_length": ("word_chars", "n_words", True, True, 0.5),
-    "repeated_lines": ("n_dup_lines", "n_lines", True, False, 0.1),
-    "repeated_words": ("n_repeat_words", "n_words", True, False, 0.05),
+    "repeated_lines": ("n_dup_lines", "n_lines", True, False, 0.2),
+    "repeated_words": ("n_repeat_words", "n_words", True, False, 0.1),
 }
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")
 

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from huecount.llm import minhash, mixing, packing, quality, secrets, sharding
+from huecount.llm import langid, minhash, mixing, packing, quality, secrets, sharding
 from huecount.llm.common import table
 
 DOCUMENT_OPERATORS = {
+    "op1_language_id": langid.op1_language_id,
     "op2_sharding": sharding.op2_sharding,
     "op3_mixing": mixing.op3_mixing,
     "op4_packing": packing.op4_packing,
