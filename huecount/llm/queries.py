@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from huecount.llm import langid, minhash, mixing, packing, quality, secrets, sharding, topk, warc
+from huecount.llm import html, langid, minhash, mixing, packing, quality, secrets, sharding, topk, warc
 from huecount.llm.common import table
 
 DOCUMENT_OPERATORS = {
@@ -21,6 +21,7 @@ def queries():
         return lambda spark, sf_dir: f(table(spark, sf_dir, name))
 
     named = {k: on("documents", f) for k, f in DOCUMENT_OPERATORS.items()}
+    named["op7_html"] = on("pages", html.op7_html)
     named["op8_warc"] = on("pages", warc.op8_warc)
     named["op9_top_k"] = on("embeddings", topk.op9_top_k)
     return named
