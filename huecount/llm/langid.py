@@ -20,14 +20,12 @@ table gives an empty result; lang, source and doc_id never enter a prediction; e
 from __future__ import annotations
 
 import re
-from collections.abc import Iterator
-
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from huecount.llm.common import cut, small_batches
+from huecount.llm.common import small_batches
 
 HIDDEN = 8
 WINDOW = 96
@@ -233,26 +231,29 @@ def fitted(docs: DataFrame, usable: Column, seed: int = 7, **options) -> ByteGru
     return ByteGru(languages, seed=seed).fit(x, y, **options) if len(languages) > 1 else ByteGru(languages, seed=seed)
 
 
+def labeller(model: ByteGru | None):
+    """A vectorised function of texts: (lang_pred, score)."""
+
+    @F.pandas_udf("lang_pred string, score double")
+    def label(text: pd.Series) -> pd.DataFrame:
+        texts = [t or "" for t in text]
+        pred, score = [UNKNOWN] * len(texts), [0.0] * len(texts)
+        at = [i for i, t in enumerate(texts) if model is not None and _LETTER.search(t)]
+        if at:
+            prob = model.documents([texts[i].encode("utf-8", "surrogatepass") for i in at])
+            for i, row in zip(at, prob, strict=True):
+                k = int(row.argmax())
+                pred[i], score[i] = model.languages[k], float(row[k])
+        return pd.DataFrame({"lang_pred": pred, "score": score})
+
+    return label
+
+
 def predicted(docs: DataFrame, model: ByteGru | None) -> DataFrame:
     """doc_id, held_out, lang_pred, score of every document."""
     small_batches(docs.sparkSession)
-
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            texts = [t or "" for t in batch["text"]]
-            known = [model is not None and bool(_LETTER.search(t)) for t in texts]
-            pred, score = [UNKNOWN] * len(texts), [0.0] * len(texts)
-            at = [i for i, k in enumerate(known) if k]
-            if at:
-                prob = model.documents([texts[i].encode("utf-8", "surrogatepass") for i in at])
-                for i, row in zip(at, prob, strict=True):
-                    k = int(row.argmax())
-                    pred[i], score[i] = model.languages[k], float(row[k])
-            yield batch.drop(columns=["text"]).assign(lang_pred=pred, score=score)
-
-    light = docs.select(F.col("doc_id").cast("string").alias("doc_id"), F.coalesce(held_out(), F.lit(False)).alias("held_out"), "text")
-    out = light.mapInPandas(run, "doc_id string, held_out boolean, lang_pred string, score double")
-    return out.withColumn("doc_id", F.col("doc_id").cast("long"))
+    rows = docs.select("doc_id", F.coalesce(held_out(), F.lit(False)).alias("held_out"), labeller(model)("text").alias("label"))
+    return rows.select("doc_id", "held_out", "label.lang_pred", "label.score")
 
 
 def language_id(docs: DataFrame) -> DataFrame:
@@ -261,8 +262,9 @@ def language_id(docs: DataFrame) -> DataFrame:
 
 def identified(docs: DataFrame, least: float = 0.3) -> DataFrame:
     """docs without those whose language is unknown or whose score is under ``least``."""
-    kept = cut(language_id(docs).where((F.col("lang_pred") != UNKNOWN) & (F.col("score") >= least)).select(F.col("doc_id").alias("kept_id")).distinct(), "lang-kept")
-    return docs.join(kept, F.col("doc_id") == F.col("kept_id"), "left_semi")
+    small_batches(docs.sparkSession)
+    known = docs.withColumn("__label", labeller(fitted(docs, ~held_out()))("text"))
+    return known.where((F.col("__label.lang_pred") != UNKNOWN) & (F.col("__label.score") >= least)).drop("__label")
 
 
 def op1_language_id(docs: DataFrame) -> DataFrame:

@@ -300,10 +300,12 @@ def op6_near_duplicates(docs: DataFrame) -> DataFrame:
 
 def deduplicated(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """docs with the smallest doc_id of each class only, once; rows without a doc_id stay."""
-    classes = near_duplicates(docs, threshold)
-    per_id = cut(classes.groupBy("doc_id").agg(F.count("*").alias("copies"), F.min("class_id").alias("class_id")).where("doc_id = class_id"), "dup-kept")
-    once, often = (per_id.where(x).select(F.col("doc_id").alias("kept_id")) for x in ("copies = 1", "copies > 1"))
-    on = F.col("doc_id") == F.col("kept_id")
-    kept = docs.join(once, on, "left_semi")
-    repeated = docs.join(often, on, "left_semi").dropDuplicates(["doc_id"])
-    return kept.unionByName(repeated).unionByName(docs.where("doc_id is null"))
+    classes = near_duplicates(docs, threshold).where(F.col("doc_id").isNotNull())
+    per_id = cut(classes.groupBy("doc_id").agg(F.count("*").alias("copies"), F.min("class_id").alias("class_id")), "dup-ids")
+    gone = per_id.where("doc_id <> class_id").select(F.col("doc_id").alias("gone_id"))
+    kept = docs.join(cut(gone, "dup-gone"), F.col("doc_id") == F.col("gone_id"), "left_anti")
+    often = cut(per_id.where("doc_id = class_id and copies > 1").select(F.col("doc_id").alias("often_id")), "dup-often")
+    if often.isEmpty():
+        return kept
+    on = F.col("doc_id") == F.col("often_id")
+    return kept.join(often, on, "left_anti").unionByName(kept.join(often, on, "left_semi").dropDuplicates(["doc_id"]))

@@ -24,6 +24,9 @@ def queries():
     named["op7_html"] = on("pages", html.op7_html)
     named["op8_warc"] = on("pages", warc.op8_warc)
     named["op9_top_k"] = on("embeddings", topk.op9_top_k)
+    import corpus_pipeline
+
+    named["pipeline"] = corpus_pipeline.run
     return named
 
 

@@ -191,14 +191,10 @@ def op10_secret_scan(docs: DataFrame) -> DataFrame:
 def redacted(docs: DataFrame) -> DataFrame:
     """docs with secrets replaced in their texts; n_chars follows. No document goes."""
     small_batches(docs.sparkSession)
-    schema = docs.schema
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            yield batch.assign(text=[t if t is None or not (s := scan(t)) else redact(t, s) for t in batch["text"]])
+    @F.pandas_udf("string")
+    def clean(text: pd.Series) -> pd.Series:
+        return pd.Series([t if t is None or not (s := scan(t)) else redact(t, s) for t in text], dtype=object)
 
-    named = [F.col(f"`{c}`").cast("string").alias(c) if c in ("doc_id", "n_chars") else F.col(f"`{c}`") for c in docs.columns]
-    text_only = docs.select(*named)
-    out = text_only.mapInPandas(run, text_only.schema)
-    fixed = [F.length("text").cast(schema[c].dataType).alias(c) if c == "n_chars" else F.col(f"`{c}`").cast(schema[c].dataType).alias(c) for c in docs.columns]
-    return out.select(*fixed)
+    out = docs.withColumn("text", clean("text"))
+    return out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else out
