@@ -90,8 +90,9 @@ class WindowedWedges:
         return pairs("user_id").union(pairs("event_type")).groupBy("day").agg(F.sum("w").cast("long").alias("wedges"))
 
 
-def stateful_degrees(events: DataFrame) -> DataFrame:
-    """user_id, degree, seen: how many event types each user has met so far; state per user with a timeout."""
+def stateful_degrees(events: DataFrame, idle_ms: int | None = None) -> DataFrame:
+    """user_id, degree, seen: how many event types each user has met so far. idle_ms: forget a user after so
+    long without events; a stream with such timers runs on until it is stopped."""
 
     def update(key, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
@@ -103,7 +104,8 @@ def stateful_degrees(events: DataFrame) -> DataFrame:
             known.update(b["event_type"].dropna())
             seen += len(b)
         state.update((",".join(sorted(known)), seen))
-        state.setTimeoutDuration(3_600_000)
+        if idle_ms is not None:
+            state.setTimeoutDuration(idle_ms)
         yield pd.DataFrame({"user_id": [key[0]], "degree": [len(known)], "seen": [seen]})
 
-    return events.groupBy("user_id").applyInPandasWithState(update, "user_id long, degree long, seen long", "types string, seen long", "update", "ProcessingTimeTimeout")
+    return events.groupBy("user_id").applyInPandasWithState(update, "user_id long, degree long, seen long", "types string, seen long", "update", "NoTimeout" if idle_ms is None else "ProcessingTimeTimeout")
