@@ -8,11 +8,11 @@ probability of their weighted Jaccard similarity. Darts are thrown in time order
 regions of a long text are touched more than once: about K (ln K + 2) darts a text, however long.
 
 Texts that are equal are one node. Nodes that agree in all rows of a band share a bucket. A bucket's
-members are compared with its hub, the member that shares most buckets with others, and with its
-smallest member, exactly, on their shingles. Links of similarity 0.8 or more join nodes into classes.
-Buckets whose members are then still in several classes (mostly chance collisions) compare every pair of
-members from different classes: small ones by a join, large ones in blocks of members, a block against a
-block, keeping pairs whose signatures agree enough to matter, before the exact comparison.
+hub is the member that shares most buckets with others; each node is compared, exactly, on its shingles,
+with two of its buckets' hubs. Links of similarity 0.8 or more join nodes into classes. Buckets whose
+members are then still in several classes compare every pair of members from different classes: small
+ones by a join, large ones exactly, a block of members against a block, which emits links only. Within a
+class no further link is needed.
 
 Defined results: a null text, or one without words, is its own class (rows of equal empty text are one);
 a text of fewer than five words is one shingle; repeated rows fall into one class; an empty table gives
@@ -39,6 +39,8 @@ WORTH_CHECKING = 0.6
 PAIRWISE_UP_TO = 24
 BLOCK = 256
 MEMORY_WORDS = 400_000
+CHUNK_BITS = 32768
+MAX_BITS = 1 << 27
 _MIX1, _MIX2, _GOLDEN = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -185,6 +187,24 @@ def agreement(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series((x == y).mean(axis=1))
 
 
+def likely_among(df: DataFrame, column: str, ids: DataFrame) -> DataFrame:
+    """Rows of df whose column may be among ids (one column), most others gone, without a shuffle of df: a
+    bitmap of hashed ids, 16 bits an id and 16 MB at most, goes to every task. An exact join comes after."""
+    name = ids.columns[0]
+    bits = 1 << 15
+    while bits < MAX_BITS and bits < 16 * ids.count():
+        bits *= 2
+    slot = lambda c: F.pmod(F.xxhash64(c), F.lit(bits))
+    chunk = F.floor(slot(F.col(name)) / CHUNK_BITS).cast("int")
+    bitmap = ids.groupBy(chunk.alias("chunk")).agg(F.bitmap_construct_agg(slot(F.col(name)) % CHUNK_BITS).alias("bitmap"))
+    bitmap = cut(bitmap, "dup-bitmap")
+    place = (slot(F.col(column)) % CHUNK_BITS).cast("int")
+    byte = F.conv(F.hex(F.substring("bitmap", F.floor(place / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    on = F.floor(slot(F.col(column)) / CHUNK_BITS).cast("int") == F.col("chunk")
+    found = df.join(F.broadcast(bitmap), on)  # MAX_BITS / 8 bytes at most
+    return found.where(F.call_function("shiftright", byte, place % 8).bitwiseAND(1) == 1).select(*[F.col(f"`{c}`") for c in df.columns])
+
+
 def shingle_sets(docs: DataFrame) -> DataFrame:
     """node, set: the distinct shingles of each text as 64-bit numbers."""
 
@@ -196,6 +216,12 @@ def shingle_sets(docs: DataFrame) -> DataFrame:
     return docs.mapInPandas(run, "node long, set array<long>")
 
 
+def _sets_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
+    """Shingle sets of the wanted nodes (one column)."""
+    texts = likely_among(docs.select(F.col("doc_id").alias("node"), "text"), "node", wanted)
+    return shingle_sets(texts.join(wanted, "node", "left_semi")).dropDuplicates(["node"])
+
+
 def verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """Of pairs (a, b) those whose shingle sets have at least the similarity. Signatures sort out most of
     the others before any text is read again."""
@@ -203,8 +229,7 @@ def verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, threshold: flo
     likely = pairs.join(sig_a, "a").join(sig_b, "b").where(agreement("sig_a", "sig_b") >= WORTH_CHECKING).select("a", "b")
     likely = cut(likely, "dup-likely")
     wanted = likely.select(F.col("a").alias("node")).union(likely.select("b")).distinct()
-    texts = docs.select(F.col("doc_id").alias("node"), "text").join(wanted, "node", "left_semi")
-    sets = cut(shingle_sets(texts).dropDuplicates(["node"]), "dup-shingles")
+    sets = cut(_sets_of(docs, cut(wanted, "dup-wanted")), "dup-shingles")
     a, b = (sets.select(F.col("node").alias(x), F.col("set").alias(f"set_{x}")) for x in "ab")
     both = F.size(F.array_intersect("set_a", "set_b"))
     either = F.size("set_a") + F.size("set_b") - both
@@ -232,16 +257,42 @@ def components(edges: DataFrame) -> DataFrame:
 
 
 def _star_pairs(members: DataFrame) -> DataFrame:
-    """Every member of a bucket with the bucket's hub and with its smallest member."""
+    """Two hubs for each node: the one that most of its buckets name, and the busiest one. A bucket's hub is
+    the member that shares most buckets with others, near the middle of its class."""
     busy = members.groupBy("node").agg(F.sum("n").alias("busy"))
     marked = members.join(busy, "node")
-    heads = marked.groupBy("key").agg((-F.max(F.struct("busy", (-F.col("node")).alias("m")))["m"]).alias("hub"), F.min("node").alias("low"))
-    both = members.join(heads, "key").select("node", F.explode(F.array("hub", "low")).alias("other")).where("node <> other")
+    hubs = marked.groupBy("key").agg(F.max(F.struct("busy", (-F.col("node")).alias("m"))).alias("hub"))
+    named = members.join(hubs, "key").groupBy("node", "hub").agg(F.count("*").alias("times"))
+    named = named.where(F.col("node") != -F.col("hub.m"))
+    chosen = named.groupBy("node").agg(F.max(F.struct("times", "hub")).getField("hub").getField("m").alias("x"), F.max(F.struct("hub", "times")).getField("hub").getField("m").alias("y"))
+    both = chosen.select("node", F.explode(F.array(-F.col("x"), -F.col("y"))).alias("other"))
     return both.select(F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")).distinct()
 
 
-def _cross_pairs(members: DataFrame, labels: DataFrame, nodes: DataFrame) -> DataFrame:
-    """Pairs of members of one bucket that are still in different classes."""
+def similarities(left: list[np.ndarray], right: list[np.ndarray], width: int = 4096) -> np.ndarray:
+    """Jaccard similarities of all sets on the left with all on the right, by products of 0/1 matrices of
+    ``width`` elements at a time. Elements of one set only cannot meet and are left out."""
+    sets = [*left, *right]
+    sizes = np.array([len(s) for s in sets], np.float64)
+    element, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), sizes.astype(np.int64))
+    _, column, times = np.unique(element, return_inverse=True, return_counts=True)
+    column = np.where(times > 1, np.cumsum(times > 1) - 1, -1)[column]
+    owner, column = owner[column >= 0], column[column >= 0]
+    order = np.argsort(column, kind="stable")
+    owner, column = owner[order], column[order]
+    both = np.zeros((len(left), len(right)), np.float32)
+    for at in range(0, int(column[-1]) + 1 if len(column) else 0, width):
+        a, b = np.searchsorted(column, [at, at + width])
+        part = np.zeros((len(sets), width), np.float32)
+        part[owner[a:b], column[a:b] - at] = 1
+        both += part[: len(left)] @ part[len(left) :].T
+    either = sizes[: len(left), None] + sizes[None, len(left) :] - both
+    return both / np.maximum(either, 1)
+
+
+def _cross_pairs(members: DataFrame, labels: DataFrame, docs: DataFrame, threshold: float) -> tuple[DataFrame, DataFrame]:
+    """Members of one bucket that are still in different classes: pairs to be checked from small buckets,
+    checked links from large ones."""
     labels = labels.select("node", F.col("label"))
     placed = members.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     split = placed.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("key")
@@ -249,25 +300,38 @@ def _cross_pairs(members: DataFrame, labels: DataFrame, nodes: DataFrame) -> Dat
     few = placed.where(F.col("n") <= PAIRWISE_UP_TO)
     x, y = few.select("key", F.col("node").alias("a"), F.col("label").alias("la")), few.select("key", F.col("node").alias("b"), F.col("label").alias("lb"))
     pairs = x.join(y, "key").where("a < b and la <> lb").select("a", "b")
-    many = placed.where(F.col("n") > PAIRWISE_UP_TO).join(nodes.select("node", "sig"), "node")
-    blocks = F.ceil(F.col("n") / BLOCK).cast("int")
-    many = many.withColumn("own", F.pmod(F.xxhash64("node"), blocks).cast("int")).withColumn("with", F.explode(F.sequence(F.lit(0), blocks - 1)))
-    many = many.withColumn("i", F.least("own", "with")).withColumn("j", F.greatest("own", "with"))
+    # Members of a large bucket's largest class have no need to meet each other: the others, in blocks,
+    # meet all members, in blocks.
+    many = cut(placed.where(F.col("n") > PAIRWISE_UP_TO), "dup-large")
+    per_class = many.groupBy("key", "label").agg(F.count("*").alias("c"))
+    largest = per_class.groupBy("key").agg(F.max(F.struct("c", "label")).alias("top"), F.sum("c").alias("all"))
+    largest = largest.select("key", F.col("top.label").alias("top_label"), (F.col("all") - F.col("top.c")).alias("others"))
+    many = many.join(largest, "key")
+    wanted = cut(many.select("node").distinct(), "dup-wanted")
+    sets = cut(_sets_of(docs, wanted), "dup-shingles")
+    many = many.join(sets.select("node", "set"), "node")
+    wide, tall = F.ceil(F.col("n") / BLOCK).cast("int"), F.ceil(F.col("others") / BLOCK).cast("int")
+    own = lambda parts: F.pmod(F.xxhash64("node"), parts).cast("int")
+    every = lambda parts: F.explode(F.sequence(F.lit(0), parts - 1))
+    left = many.where("label <> top_label").withColumn("j", every(wide)).withColumn("i", own(tall)).withColumn("side", F.lit(0))
+    right = many.withColumn("i", every(tall)).withColumn("j", own(wide)).withColumn("side", F.lit(1))
+    shape = ["key", "node", "label", "set", "side", "i", "j"]
+    many = left.select(*shape).union(right.select(*shape))
 
     def compare(rows: pd.DataFrame) -> pd.DataFrame:
-        i, j = rows["i"].iat[0], rows["j"].iat[0]
-        left, right = rows[rows["own"] == i], rows[rows["own"] == j]
-        x, y = (np.frombuffer(b"".join(r["sig"]), "<u2").reshape(len(r), BANDS * ROWS) if len(r) else None for r in (left, right))
+        left, right = rows[rows["side"] == 0], rows[rows["side"] == 1]
         out = []
-        if x is not None and y is not None:
+        if len(left) and len(right):
+            alike = similarities(left["set"].tolist(), right["set"].tolist()) >= threshold - 1e-9
             nl, nr, ll, lr = left["node"].to_numpy(), right["node"].to_numpy(), left["label"].to_numpy(), right["label"].to_numpy()
-            for k in range(len(x)):
-                hit = ((y == x[k]).mean(axis=1) >= WORTH_CHECKING) & (lr != ll[k]) & ((nr > nl[k]) | (i != j))
-                out += [(min(nl[k], b), max(nl[k], b)) for b in nr[hit]]
+            for k in np.flatnonzero(alike.any(axis=1)):
+                hit = np.flatnonzero(alike[k] & (lr != ll[k]))
+                _, first = np.unique(lr[hit], return_index=True)  # one link to a class is enough
+                out += [(min(nl[k], b), max(nl[k], b)) for b in nr[hit[first]]]
         return pd.DataFrame(out, columns=["a", "b"], dtype="int64")
 
-    wide = many.select("key", "node", "label", "sig", "own", "i", "j").groupBy("key", "i", "j").applyInPandas(compare, "a long, b long")
-    return pairs.union(wide).distinct()
+    links = many.groupBy("key", "i", "j").applyInPandas(compare, "a long, b long")
+    return pairs.distinct(), links.distinct()
 
 
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, counts: bool = False) -> DataFrame:
@@ -282,10 +346,13 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, counts: bool
     shared = spread.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     members = cut(spread.join(shared, "key"), "dup-members")
     first = cut(_star_pairs(members), "dup-pairs")
+    shared = members.select("node").distinct()
+    nodes = cut(likely_among(nodes.select("node", "sig"), "node", shared), "dup-sigs")  # a few more than have company
     links = cut(verified(first, nodes, docs, threshold), "dup-links")
     labels = cut(components(links), "dup-labels")
-    second = cut(_cross_pairs(members, labels, nodes).join(first, ["a", "b"], "left_anti"), "dup-pairs")
-    more = cut(verified(second, nodes, docs, threshold), "dup-links")
+    pairs, more = _cross_pairs(members, labels, docs, threshold)
+    second = cut(pairs.join(first, ["a", "b"], "left_anti"), "dup-pairs")
+    more = cut(verified(second, nodes, docs, threshold).union(more), "dup-links")
     if not more.isEmpty():
         links = labels.select(F.col("node").alias("a"), F.col("label").alias("b")).where("a <> b").union(more)
         labels = cut(components(links), "dup-labels")

@@ -259,12 +259,16 @@ def test_darts_estimate_weighted_similarity():
 
 
 def test_large_buckets_meet_in_blocks(spark):
-    sig = minhash.dart_signatures([(np.arange(100 * i, 100 * i + 400, dtype=np.uint64), np.ones(400)) for i in range(2)])
-    blob = [(x >> np.uint64(48)).astype("<u2").tobytes() for x in sig]
-    nodes = spark.createDataFrame([(i, blob[0]) for i in range(600)] + [(600, blob[0])], "node long, sig binary")
-    members = spark.createDataFrame([(7, i, 601) for i in range(601)], "key long, node long, n long")
+    base = [f"w{i}" for i in range(100)]
+    texts = [(i, " ".join(base[:90] + [f"x{i}"])) for i in range(600)] + [(600, " ".join(base[:90])), (601, " ".join(base[40:]))]
+    docs = spark.createDataFrame(texts, "doc_id long, text string")
+    members = spark.createDataFrame([(7, i, 602) for i in range(602)], "key long, node long, n long")
     labels = spark.createDataFrame([(i, 0) for i in range(600)], "node long, label long")
-    assert minhash._cross_pairs(members, labels, nodes).count() == 600
+    pairs, links = minhash._cross_pairs(members, labels, docs, 0.8)
+    assert pairs.count() == 0 and {(r["b"], r["a"] < 600) for r in links.collect()} == {(600, True)}
+    sets = [np.unique(minhash.shingles(t, minhash.WordHash())) for _, t in texts[595:]]
+    want = [[len(set(x) & set(y)) / len(set(x) | set(y)) for y in sets] for x in sets]
+    assert np.allclose(minhash.similarities(sets, sets, 7), want, atol=1e-6)
 
 
 def test_components(spark):
