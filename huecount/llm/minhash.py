@@ -237,16 +237,18 @@ def verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, threshold: flo
     return compared.where(F.col("both") >= F.col("either") * F.lit(threshold) - F.lit(1e-9)).select("a", "b")
 
 
+def _stars(edges: DataFrame) -> bool:
+    """Whether every node (u, v) hangs on one smaller node that hangs on none."""
+    ends = edges.select(F.col("u").alias("node"), F.lit(1).alias("down"), F.lit(0).alias("up")).union(edges.select("v", F.lit(0), F.lit(1)))
+    odd = (F.col("down") > 1) | ((F.col("down") > 0) & (F.col("up") > 0))
+    return ends.groupBy("node").agg(F.sum("down").alias("down"), F.max("up").alias("up")).agg(F.count_if(odd)).first()[0] == 0
+
+
 def components(edges: DataFrame) -> DataFrame:
     """node, label of every node that has an edge (a, b); label: the smallest node it is connected with.
     Alternates two star contractions until nothing changes; every step is a group-by and a join."""
     near = cut(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), "cc")
-    seen = None
-    while True:
-        mark = tuple(near.agg(F.count("*"), F.sum(F.xxhash64("u", "v") % 1000003)).first())
-        if mark == seen or not mark[0]:
-            return near.select(F.col("u").alias("node"), F.col("v").alias("label")).union(near.select("v", "v")).groupBy("node").agg(F.min("label").alias("label"))
-        seen = mark
+    while not _stars(near):
         ways = near.union(near.select("v", "u"))
         low = ways.groupBy("u").agg(F.least("u", F.min("v")).alias("m"))
         large = ways.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
@@ -254,6 +256,7 @@ def components(edges: DataFrame) -> DataFrame:
         small = large.join(low, "u")
         kept = small.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         near = cut(kept.union(low.select("u", F.col("m").alias("v"))).distinct(), "cc")
+    return near.select(F.col("u").alias("node"), F.col("v").alias("label")).union(near.select("v", "v").distinct())
 
 
 def _star_pairs(members: DataFrame) -> DataFrame:
