@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import json
 import os
+import sys
 import time
 
 
@@ -24,6 +25,7 @@ def main() -> None:
         began = time.perf_counter()
         make().write.format("noop").mode("overwrite").save()
         seconds[name] = round(time.perf_counter() - began, 3)
+        print(name, seconds[name], file=sys.stderr, flush=True)
 
     graphs = {}
     for v in ("supply_chain", "user_hour", "succession", "order_part", "page_anchor", "knn8"):
