@@ -1,4 +1,5 @@
 import duckdb
+import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
@@ -12,7 +13,7 @@ CHECKED = ["view_user_hour", "view_page_anchor", "degree_order", "seed_edges_k5"
 
 
 def cell(x):
-    if x is None or x != x:
+    if x is None or x is pd.NA or x != x:
         return "null"
     number = isinstance(x, (int, float)) or hasattr(x, "dtype") or hasattr(x, "as_tuple")
     return repr(round(float(x), 9)) if number else str(x)
