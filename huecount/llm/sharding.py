@@ -10,7 +10,7 @@ Law: ``bytes``, shard sizes near equal (to a block, and to a document where bloc
 
 Defined results: a null text has no bytes and size 1; a null doc_id hashes as '~'; repeated rows lie in
 one block, in any order among themselves; an empty table gives an empty result; extra columns are
-ignored by ``assign`` and written by ``rewrite``.
+ignored by ``assign`` and written by ``reshard`` and ``rewrite``.
 """
 
 from __future__ import annotations
@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from huecount.llm.common import cut, hash_hex
+from huecount.llm.common import cut, fresh_dir, hash_hex
 
 SHARDS = 16
 #: Blocks of one old shard. The driver holds SHARDS x BLOCKS sizes: 65,536 numbers, whatever the input.
@@ -127,48 +127,89 @@ def place_blocks(blocks: dict[tuple[int, str], int], capacity: dict[int, int]) -
     return to
 
 
-def assign(docs: DataFrame, old_shard: Column, shards: int = SHARDS, capacity: dict[int, int] | None = None, blocks: int = BLOCKS) -> DataFrame:
-    """doc_id, size, text_crc32, old_shard, shard, slot of every document. old_shard: an int column."""
-    spark = docs.sparkSession
-    text = F.coalesce(F.col("text"), F.lit("")).cast("binary")
+def _text(docs: DataFrame) -> Column:
+    return F.coalesce(docs["text"], F.lit("")).cast("binary")
+
+
+def measured(docs: DataFrame, old_shard: Column, blocks: int = BLOCKS) -> DataFrame:
+    """docs with the columns the plan needs; their names cannot meet columns of docs."""
     block = F.conv(F.substring(hash_hex("shard", F.col("doc_id")), 1, 8), 16, 10).cast("long") % blocks
-    light = docs.select(
-        "doc_id", (F.octet_length(text) + 1).cast("long").alias("size"), F.crc32(text).alias("text_crc32"), old_shard.cast("int").alias("old_shard"), block.cast("int").alias("block")
+    return docs.select(
+        "*", (F.octet_length(_text(docs)) + 1).cast("long").alias("_size"), F.crc32(_text(docs)).alias("_crc"), old_shard.cast("int").alias("_old"), block.cast("int").alias("_block")
     )
-    light = cut(light, "shard-digests")  # some 40 bytes a document
-    per_block = {(r[0], r[1]): (r[2], r[3]) for r in light.groupBy("old_shard", "block").agg(F.sum("size"), F.count("*")).collect()}
+
+
+def block_plan(rows: DataFrame, shards: int = SHARDS, capacity: dict[int, int] | None = None) -> list[tuple[int, int, int, int, int]]:
+    """(old shard, block, new shard, first slot, bytes) of every block of measured rows."""
+    per_block = {(r[0], r[1]): (r[2], r[3]) for r in rows.groupBy("_old", "_block").agg(F.sum("_size"), F.count("*")).collect()}
     capacity = capacity or even_capacities(sum(x[0] for x in per_block.values()), shards)
     to = place_blocks({k: x[0] for k, x in per_block.items()}, capacity)
-    filled, rows = dict.fromkeys(capacity, 0), []
+    filled, plan = dict.fromkeys(capacity, 0), []
     for key in sorted(to):
-        rows.append((key[0], key[1], to[key], filled[to[key]]))
+        plan.append((*key, to[key], filled[to[key]], per_block[key][0]))
         filled[to[key]] += per_block[key][1]
-    plan = spark.createDataFrame(rows, "old_shard int, block int, shard int, first_slot long")
-    in_block = W.partitionBy("old_shard", "block").orderBy("doc_id", "text_crc32", "size")
-    return (
-        light.withColumn("in_block", F.row_number().over(in_block) - 1)
-        .join(plan, ["old_shard", "block"])
-        .select("doc_id", "size", "text_crc32", "old_shard", "shard", (F.col("first_slot") + F.col("in_block")).cast("long").alias("slot"))
-    )
+    return plan
+
+
+def placed(rows: DataFrame, plan: list[tuple[int, int, int, int, int]]) -> DataFrame:
+    """Measured rows with ``shard`` and ``slot``. A row meets its block's one line of the plan and takes its
+    slot by its rank in the block, so each row is placed once, however often it is repeated."""
+    lines = rows.sparkSession.createDataFrame([x[:4] for x in plan], "_old int, _block int, shard int, _first long")
+    in_block = W.partitionBy("_old", "_block").orderBy("doc_id", "_crc", "_size")
+    ranked = rows.drop("shard", "slot").withColumn("_nth", F.row_number().over(in_block) - 1)
+    return ranked.join(F.broadcast(lines), ["_old", "_block"]).withColumn("slot", (F.col("_first") + F.col("_nth")).cast("long"))  # SHARDS x BLOCKS lines at most
+
+
+def assign(docs: DataFrame, old_shard: Column, shards: int = SHARDS, capacity: dict[int, int] | None = None, blocks: int = BLOCKS) -> DataFrame:
+    """doc_id, size, text_crc32, old_shard, shard, slot of every document. old_shard: an int column."""
+    light = cut(measured(docs, old_shard, blocks).select("doc_id", "_size", "_crc", "_old", "_block"), "shard-digests")  # some 40 bytes a document
+    rows = placed(light, block_plan(light, shards, capacity))
+    return rows.select("doc_id", F.col("_size").alias("size"), F.col("_crc").alias("text_crc32"), F.col("_old").alias("old_shard"), "shard", "slot")
+
+
+def reshard(docs: DataFrame, old_shard: Column, path: str, shards: int = SHARDS, capacity: dict[int, int] | None = None, blocks: int = BLOCKS) -> DataFrame:
+    """Plan new shards and write those that gain or lose a block as Parquet under path/shard=j. Return all
+    documents with ``shard`` and ``slot``: of affected shards as the written files have them, of the others,
+    which stay as they are, from docs."""
+    spark, rows = docs.sparkSession, measured(docs, old_shard, blocks)
+    plan = block_plan(rows, shards, capacity)
+    touched = sorted({j for a, _, b, _, _ in plan if a != b for j in (a, b)})
+    columns = [c for c in docs.columns if c.lower() not in ("shard", "slot")]
+    shape = placed(rows, plan).select(*columns, "slot", "shard")
+    # Nothing enters or leaves a shard that is not affected: the old shard tells already which rows are written.
+    placed(rows.where(F.col("_old").isin(touched)), plan).select(*columns, "slot", "shard").write.mode("overwrite").partitionBy("shard").parquet(path)
+    written = spark.read.schema(shape.schema).parquet(path)
+    if all(a in touched for a, *_ in plan):
+        return written
+    return written.unionByName(placed(rows.where(~F.col("_old").isin(touched)), plan).select(*columns, "slot", "shard"))
 
 
 def rewrite(docs: DataFrame, assigned: DataFrame, path: str) -> DataFrame:
-    """Write the new shards that gain or lose a document as Parquet under path/shard=j; return those
-    shards with their old and new bytes. Shards that keep exactly what they had are not touched."""
+    """Write the new shards of a given assignment that gain or lose a document as Parquet under path/shard=j;
+    return those shards with their old and new bytes. Shards that keep exactly what they had are not touched.
+    Rows of equal doc_id and text are numbered on both sides, so that each takes one of their places."""
+    assigned = cut(assigned.select("doc_id", "size", "text_crc32", "old_shard", "shard", "slot"), "shards-assigned")
     out = assigned.where("old_shard <> shard").groupBy(F.col("old_shard").alias("shard")).agg(F.sum("size").alias("bytes_out"))
     into = assigned.where("old_shard <> shard").groupBy("shard").agg(F.sum("size").alias("bytes_in"))
     touched = cut(out.join(into, "shard", "full").na.fill(0), "shards-touched")
-    moved = assigned.join(F.broadcast(touched.select("shard")), "shard", "left_semi")  # as many rows as shards
-    moved = moved.select(F.col("doc_id").alias("a_doc"), F.col("text_crc32").alias("a_crc"), "shard", "slot")
-    full = docs.drop("shard", "slot").withColumn("a_crc2", F.crc32(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
-    rows = full.join(moved, F.col("doc_id").eqNullSafe(F.col("a_doc")) & (F.col("a_crc2") == F.col("a_crc"))).drop("a_doc", "a_crc", "a_crc2")
+    of_equals = W.partitionBy("a_doc", "a_size", "a_crc")
+    places = assigned.select(F.col("doc_id").alias("a_doc"), F.col("size").alias("a_size"), F.col("text_crc32").alias("a_crc"), "shard", "slot")
+    places = places.withColumn("a_nth", F.row_number().over(of_equals.orderBy("shard", "slot")))
+    moved = places.join(F.broadcast(touched.select("shard")), "shard", "left_semi")  # as many rows as shards
+    full = docs.drop("shard", "slot").select("*", F.col("doc_id").alias("_doc"), (F.octet_length(_text(docs)) + 1).cast("long").alias("_size"), F.crc32(_text(docs)).alias("_crc"))
+    full = full.withColumn("_nth", F.row_number().over(W.partitionBy("_doc", "_size", "_crc").orderBy(F.lit(0))))
+    same = F.col("_doc").eqNullSafe(F.col("a_doc")) & (F.col("_size") == F.col("a_size")) & (F.col("_crc") == F.col("a_crc")) & (F.col("_nth") == F.col("a_nth"))
+    rows = full.join(moved, same).drop("_doc", "_size", "_crc", "_nth", "a_doc", "a_size", "a_crc", "a_nth")
     rows.write.mode("overwrite").partitionBy("shard").parquet(path)
     return touched
 
 
 def op2_sharding(docs: DataFrame) -> DataFrame:
-    """Documents lie by source, so one old shard holds a third of them; 16 even shards are wanted."""
+    """Documents lie by source, so one old shard holds a third of them; 16 even shards are wanted. What is
+    told of a document is read from the shards as written."""
     old = F.crc32(F.coalesce(F.col("source"), F.lit("")).cast("binary")) % SHARDS
-    return assign(docs, old).select(
-        "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "old_shard"
-    )
+    rows = reshard(docs, old, fresh_dir(docs.sparkSession, "shards"))
+    return rows.select(
+        "doc_id", (F.octet_length(_text(rows)) + 1).cast("long").alias("size"), F.crc32(_text(rows)).alias("text_crc32"), F.lit("bytes").alias("law"), "shard", "slot",
+        F.lit(None).cast("int").alias("grown_shard"), old.cast("int").alias("old_shard"),
+    )

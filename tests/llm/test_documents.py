@@ -81,6 +81,24 @@ def test_rewrite_touches_what_moved(docs, tmp_path):
     assert {r["shard"] for r in touched.collect()} == want
 
 
+def test_shards_are_written_whole(spark, docs, tmp_path):
+    from pyspark.sql import functions as F
+
+    old = F.crc32(F.coalesce(F.col("source"), F.lit("")).cast("binary")) % 16
+    twice = docs.union(docs.where("doc_id is null or doc_id < 5"))
+    placed = sharding.reshard(twice, old, f"file://{tmp_path}/out").collect()
+    names = docs.columns
+    assert Counter(tuple(r[c] for c in names) for r in placed) == Counter(map(tuple, twice.collect()))
+    written = spark.read.parquet(f"file://{tmp_path}/out").select(*names, "shard", "slot").collect()
+    touched = {r["shard"] for r in written}
+    assert touched and Counter(map(tuple, written)) == Counter(tuple(r[c] for c in [*names, "shard", "slot"]) for r in placed if r["shard"] in touched)
+    sharding.rewrite(twice, sharding.op2_sharding(twice), f"file://{tmp_path}/again")
+    again = spark.read.parquet(f"file://{tmp_path}/again").select("shard", "slot").collect()
+    assert len(again) == len(set(again)) == len(written)
+    stay = sharding.reshard(docs, F.lit(0), f"file://{tmp_path}/stay", shards=1)
+    assert stay.count() == docs.count() and spark.read.schema("doc_id long").parquet(f"file://{tmp_path}/stay").count() == 0
+
+
 def water_fill(sizes, weights, epochs):
     """The loop that clamps and reshares, as it is usually told."""
     total, target, clamped = sum(sizes.values()), {}, set()
