@@ -3,7 +3,8 @@
 Every stage takes (spark, docs, sf_dir) and returns a DataFrame that is written as Parquet and read again as
 the next one's docs. All but the last return the columns of documents. Text of unknown language goes,
 one document of each class of near copies stays, secrets are replaced, sources are mixed to their
-targets (documents may repeat), and what is left is packed.
+targets (documents may repeat), and what is left is packed: the result has the ids of every piece beside
+its place, by sequence and offset.
 """
 
 from __future__ import annotations
@@ -31,7 +32,7 @@ def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return packing.op4_packing(docs)
+    return packing.placed(packing.sequences(docs))
 
 
 STAGES = [

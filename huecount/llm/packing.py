@@ -6,7 +6,7 @@ of piece lengths (one number per length, whatever the input): for one sequence a
 over a bitset finds the fullest combination of lengths still available, starting from the longest one.
 The combination is removed as often as the counts allow, for as long as its lengths last it would be
 found again, so there are at most about as many rounds as lengths. Pieces then look up their place by
-length and rank.
+length and rank. They carry their ids, and the sequences are written whole.
 
 Defined results: a null or empty text is one piece with the closing id only; repeated rows are pieces
 of their own; an empty table gives an empty result; other columns are dropped.
@@ -15,7 +15,6 @@ of their own; an empty table gives an empty result; other columns are dropped.
 from __future__ import annotations
 
 import re
-import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -74,7 +73,7 @@ def cut_points(n: int, sequence: int = SEQUENCE) -> list[tuple[int, int]]:
 
 
 def pieces(docs: DataFrame, sequence: int = SEQUENCE, vocabulary: str = VOCABULARY) -> DataFrame:
-    """doc_id, piece, start, length, ids_crc32 of every piece."""
+    """doc_id, piece, start, length, ids (little-endian, four bytes each) of every piece."""
     small_batches(docs.sparkSession)
     closing = CLOSING_ID.to_bytes(4, "little")
 
@@ -85,16 +84,15 @@ def pieces(docs: DataFrame, sequence: int = SEQUENCE, vocabulary: str = VOCABULA
             for doc, text in zip(batch["doc_id"], batch["text"], strict=True):
                 doc = None if doc is None else int(doc)
                 ids = tokens(text or "") + closing
-                view = memoryview(ids)
                 for k, (start, length) in enumerate(cut_points(len(ids) // 4, sequence)):
-                    out.append((doc, k, start, length, zlib.crc32(view[4 * start : 4 * (start + length)])))
-            made = pd.DataFrame(out, columns=["doc_id", "piece", "start", "length", "ids_crc32"])
+                    out.append((doc, k, start, length, ids[4 * start : 4 * (start + length)]))
+            made = pd.DataFrame(out, columns=["doc_id", "piece", "start", "length", "ids"])
             yield made.astype({"doc_id": "Int64"})
 
     # A null would turn a batch of ids into floats; as text they stay whole.
     light = docs.select(F.col("doc_id").cast("long").cast("string").alias("doc_id"), "text")
 
-    return light.mapInPandas(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
+    return light.mapInPandas(run, "doc_id long, piece int, start long, length long, ids binary")
 
 
 def fullest(counts: list[int], sequence: int) -> list[int]:
@@ -183,5 +181,23 @@ def pack(piece_table: DataFrame, sequence: int = SEQUENCE) -> DataFrame:
     return ranked.withColumn("place", locate("length", "rank")).select(*by, "place.sequence_id", "place.offset")
 
 
+def sequences(docs: DataFrame, sequence: int = SEQUENCE) -> DataFrame:
+    """sequence_id, ids, parts (offset, length, doc_id, piece, start): the packed sequences, written whole, their
+    pieces joined by offset."""
+    part = F.struct("offset", "length", "doc_id", "piece", "start", "ids")
+    grouped = pack(cut(pieces(docs, sequence), "pieces"), sequence).groupBy("sequence_id").agg(F.array_sort(F.collect_list(part)).alias("p"))
+    ids = F.unhex(F.array_join(F.transform("p", lambda x: F.hex(x["ids"])), ""))
+    light = F.transform("p", lambda x: x.dropFields("ids"))
+    return cut(grouped.select("sequence_id", ids.alias("ids"), light.alias("parts")), "sequences")
+
+
+def placed(packed: DataFrame) -> DataFrame:
+    """doc_id, piece, start, length, sequence_id, offset, ids of every piece, the pieces of a sequence in order and
+    their ids taken from the sequence."""
+    rows = packed.select("sequence_id", "ids", F.explode("parts").alias("p"))
+    own = F.substring("ids", (4 * F.col("p.offset") + 1).cast("int"), (4 * F.col("p.length")).cast("int"))
+    return rows.select("p.doc_id", "p.piece", "p.start", "p.length", "sequence_id", "p.offset", own.alias("ids"))
+
+
 def op4_packing(docs: DataFrame) -> DataFrame:
-    return pack(cut(pieces(docs), "pieces"))
+    return placed(sequences(docs)).select("doc_id", "piece", "start", "length", F.crc32("ids").alias("ids_crc32"), "sequence_id", "offset")

@@ -164,6 +164,31 @@ def test_packing(docs):
     assert len(space) <= -(-sum(r["length"] for r in rows) // 2048) + 1
 
 
+def test_sequences_hold_the_ids(spark, docs):
+    import corpus_pipeline
+
+    own, want = packing.Tokens(), Counter()
+    for r in documents():
+        want[r[0], own(r[1] or "") + bytes(4)] += 1
+    whole = {r["sequence_id"]: bytes(r["ids"]) for r in packing.sequences(docs).collect()}
+    rows = corpus_pipeline.packed(spark, docs, "").collect()
+    space, texts = defaultdict(list), defaultdict(list)
+    for r in rows:
+        assert len(r["ids"]) == 4 * r["length"]
+        space[r["sequence_id"]].append((r["offset"], bytes(r["ids"])))
+        texts[r["doc_id"], r["piece"]].append(bytes(r["ids"]))
+    assert all(len(x) <= 4 * 2048 for x in whole.values()) and len(space) == len(whole)
+    assert all(parts == sorted(parts) for parts in space.values())
+    assert sorted(map(len, whole.values())) == sorted(sum(len(x) for _, x in parts) for parts in space.values())
+    got = Counter()
+    for (doc, piece), found in texts.items():
+        if piece == 0:  # repeats are equal here, so any piece of the same number continues a text
+            for k, ids in enumerate(found):
+                more = [texts[doc, p][k] for p in range(1, len(texts)) if (doc, p) in texts]
+                got[doc, b"".join([ids, *more])] += 1
+    assert got == want
+
+
 def test_fullest_bin_is_the_fullest():
     rng = random.Random(3)
     for _ in range(60):
