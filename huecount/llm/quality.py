@@ -6,8 +6,9 @@ sketch is a table of bucket counts with a relative error of one per cent, and me
 counts. Sketches are built per language and source by a group-by with partial sums, and merged into
 sketches of languages and of everything for groups too small to judge by. A measure's threshold is the
 upper quartile plus FENCE spreads (for short words the lower quartile minus as much); the spread is the
-distance of the quartiles but never under a floor, so that a group without any variation does not
-reject its slightest exception. Documents are joined with their group's thresholds and filtered.
+distance of the quartiles, or a few times the sketch's own error where they lie closer. No threshold cuts
+into the group's first TAIL of values: where quartiles are 0, as those of repeated text mostly are, the
+tail alone says what is unusual. Documents are joined with their group's thresholds and filtered.
 
 Defined results: a null text has no words and fails the base rule; null languages and sources form groups
 of their own; repeated rows count as often as they occur; a threshold needs SMALLEST documents, else the
@@ -30,18 +31,22 @@ from huecount.llm.minhash import WordHash, shingles
 
 GAMMA = 1.02
 FENCE = 3.0
+#: Relative error of a bucket's middle, and the least spread as a part of the quartile.
+ERROR = (GAMMA - 1) / (GAMMA + 1)
+LEAST_SPREAD = 4 * ERROR
+TAIL = 0.98
 SMALLEST = 100
 WINDOW = 5
 # Fixed values of the base rule.
 SYMBOLS = "#*$%&|<>"
 BLANKS = " \t\n\x0b\x0c\r"
 MIN_WORDS, MAX_REPEAT_PERCENT = 10, 20
-#: measure: (numerator, denominator, upper fence, lower fence, least spread)
+#: measure: (numerator, denominator, upper fence, lower fence)
 MEASURES = {
-    "symbols": ("n_symbols", "word_chars", True, False, 0.01),
-    "word_length": ("word_chars", "n_words", True, True, 0.5),
-    "repeated_lines": ("n_dup_lines", "n_lines", True, False, 0.2),
-    "repeated_words": ("n_repeat_words", "n_words", True, False, 0.1),
+    "symbols": ("n_symbols", "word_chars", True, False),
+    "word_length": ("word_chars", "n_words", True, True),
+    "repeated_lines": ("n_dup_lines", "n_lines", True, False),
+    "repeated_words": ("n_repeat_words", "n_words", True, False),
 }
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines")
 
@@ -113,25 +118,27 @@ def quantiles(sketch: DataFrame, wanted=(0.25, 0.75)) -> DataFrame:
 
 def thresholds(sketch: DataFrame) -> DataFrame:
     """One row per (lang, source): for each measure hi_ and lo_, from the smallest group that is large enough."""
-    by_level = quantiles(merged(sketch))
+    by_level = quantiles(merged(sketch), (1 - TAIL, 0.25, 0.75, TAIL))
     pivot = lambda k: by_level.where(F.col("level") == k).groupBy("lang", "source").agg(
         F.max("total").alias(f"n{k}"), *[F.max(F.when(F.col("measure") == m, F.col("q"))).alias(f"{m}_{k}") for m in MEASURES]
     )
     own, lang, every = pivot(0), pivot(1).drop("source").withColumnRenamed("lang", "lang_1"), pivot(2).drop("lang", "source")
     both = own.join(lang, F.col("lang").eqNullSafe(F.col("lang_1"))).join(every, F.lit(True), "left")
     out = [F.col("lang").alias("t_lang"), F.col("source").alias("t_source")]
-    for m, (_, _, up, down, least) in MEASURES.items():
+    for m, (_, _, up, down) in MEASURES.items():
         q = F.when(F.col("n0") >= SMALLEST, F.col(f"{m}_0")).when(F.col("n1") >= SMALLEST, F.col(f"{m}_1")).otherwise(F.col(f"{m}_2"))
-        spread = F.greatest(q[1] - q[0], F.lit(least))
-        out.append((q[1] + FENCE * spread if up else F.lit(None).cast("double")).alias(f"hi_{m}"))
-        out.append((q[0] - FENCE * spread if down else F.lit(None).cast("double")).alias(f"lo_{m}"))
+        spread = lambda at, q=q: FENCE * F.greatest(q[2] - q[1], LEAST_SPREAD * at)
+        # A tail's own bucket lies inside: its values differ from the middle by ERROR at most.
+        hi, lo = F.greatest(q[2] + spread(q[2]), (1 + 2 * ERROR) * q[3]), F.least(q[1] - spread(q[1]), (1 - 2 * ERROR) * q[0])
+        out.append((hi if up else F.lit(None).cast("double")).alias(f"hi_{m}"))
+        out.append((lo if down else F.lit(None).cast("double")).alias(f"lo_{m}"))
     return both.select(*out)
 
 
 def judged(rows: DataFrame, limits: DataFrame) -> DataFrame:
     """rows with ``kept``: the base rule holds and no measure lies outside its group's fences."""
     bad = F.lit(False)
-    for m, (a, b, up, down, _) in MEASURES.items():
+    for m, (a, b, up, down) in MEASURES.items():
         x = F.try_divide(F.col(a), F.col(b))
         if up:
             bad = bad | F.coalesce(x > F.col(f"hi_{m}"), F.lit(False))

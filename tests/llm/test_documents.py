@@ -234,6 +234,22 @@ def test_thresholds_come_from_the_group(spark):
     assert not kept[500] and kept[1000] and kept[0] and kept[2000]
 
 
+def test_each_measure_rejects(spark):
+    rng = random.Random(7)
+    text = lambda n=60: [f"w{rng.randrange(10**6):06d}" for _ in range(n)]
+    lines = lambda words: "\n".join(" ".join(words[i : i + 4]) for i in range(0, len(words), 4))
+    rows = [(i, lines(text()), "en", "a") for i in range(300)]
+    base = text(57)
+    rows += [(1000, lines(["#$%#$%#", *text(59)]), "en", "a"), (1001, lines([w + "xx" for w in text()]), "en", "a")]
+    rows += [(1002, "\n".join(["ok"] * 8 + [" ".join(base[i : i + 4]) for i in range(0, 48, 4)]), "en", "a")]
+    rows += [(1003, lines(base + base[10:15]), "en", "a"), (1004, lines([w[1:5] for w in text()]), "en", "a")]
+    got = {r["doc_id"]: r for r in quality.op5_quality(spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")).collect()}
+    assert not any(r["base_failed"] for r in got.values()) and all(got[i]["kept"] for i in range(300))
+    assert sorted(i for i in got if not got[i]["kept"]) == [1000, 1001, 1002, 1003, 1004]
+    failing = lambda i: {m for m, (a, b, *_) in quality.MEASURES.items() if got[i][a] / got[i][b] > {"symbols": 0.01, "word_length": 8, "repeated_lines": 0.2, "repeated_words": 0.1}[m]}
+    assert failing(1000) == {"symbols"} and failing(1001) == {"word_length"} and "repeated_lines" in failing(1002) and failing(1003) == {"repeated_words"}
+
+
 def test_sketch_quantiles_are_within_their_error(spark):
     from pyspark.sql import functions as F
 
