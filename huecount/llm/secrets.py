@@ -6,8 +6,9 @@ syntax (``name = "value"``, ``"name": 'value'``, ``name: value``, ``export NAME=
 ``name => value``, ``<name>value</name>``), keeps a table of constants per text, follows names that are
 assigned from other names or joined from constants with ``+`` or adjacent literals, and scores each
 literal by the name it ends up under: sensitive words in the name, minus words that say the value is
-public, plus the literal's length, mixed character classes and entropy, minus placeholders. A literal
-that scores high enough is a span of kind ``literal``.
+public, plus the literal's length, mixed character classes and entropy, minus placeholders. Values of
+several words are scored as their characters without blanks, private keys in PEM form count as secret. All
+literals that a high enough value is joined from are spans of kind ``literal``.
 
 Defined results: a null text is empty and has no spans; ids, repeats and extra columns do not matter;
 long texts are scanned whole; an empty table gives an empty result. Offsets are code points, end
@@ -59,18 +60,20 @@ PUBLIC = {"public": 4, "id": 1, "name": 3, "url": 2, "path": 3, "file": 3, "leng
           "label": 3, "hint": 3, "policy": 3, "placeholder": 5, "example": 3, "test": 1, "max": 3, "min": 3, "limit": 3, "column": 3}
 FAKE = re.compile(r"(?i)^(?:x+|\*+|\.+|-+|<.*>|\$\{.*\}|\{\{.*\}\}|%\w+%|changeme|change_me|your[-_ ].*|example.*|placeholder.*|null|none|true|false|undefined|todo|redacted.*|\[.*\])$")
 REPORT_FROM = 5.0
+_PEM = re.compile(r"\s*-----BEGIN ")
+_MESSAGE = re.compile(r"(?i)\b(?:please|enter|your|must|invalid|required|forgot|forgotten|incorrect|cannot)\b")
 
-_HINTS = tuple(w for w, v in SENSITIVE.items() if v >= 2 and not any(o != w and o in w for o, v2 in SENSITIVE.items() if v2 >= 2))
-_SIGNS = re.compile(r"[A-Za-z0-9_$\]\"'][ \t]*[:=]|<[A-Za-z_]")
-_NAME = r"[A-Za-z_$][A-Za-z0-9_$.\-]{0,120}"
-_STRING = r'"(?:[^"\\\n]|\\.){0,4096}"' + r"|'(?:[^'\\\n]|\\.){0,4096}'" + r"|`(?:[^`\\\n]|\\.){0,4096}`"
+# Every repeat is possessive: a text is lexed in time proportional to its length, and no string, name or list of parts has a limit.
+_NAME = r"[A-Za-z_$][A-Za-z0-9_$.\-]*+"
+_STRING = r'"(?:[^"\\\n]|\\.)*+"' + r"|'(?:[^'\\\n]|\\.)*+'" + r"|`(?:[^`\\\n]|\\.)*+`"
+_PART = rf"""(?P<plus>[ \t]*+(?:\+[ \t]*+)?)(?P<part>{_STRING}|(?<=[+ ]){_NAME}(?![A-Za-z0-9_(]))(?![ \t]*+[:=])"""
 _STATEMENT = re.compile(
-    rf"""(?:["'](?P<quoted>{_NAME})["']|(?P<bare>(?<![A-Za-z0-9_$.\-]){_NAME}))(?P<index>\[\s*["']{_NAME}["']\s*\])?"""
-    rf"""[ \t]*(?P<sign>:=|=>|==?(?!=)|:(?![:/]))[ \t]*(?P<value>{_STRING}|[^\s"'`,;(){{}}\[\]<>]+)"""
-    rf"""(?P<more>(?:[ \t]*\+?[ \t]*(?:{_STRING}|(?<=[+ ]){_NAME}(?![A-Za-z0-9_(:=]))){{0,8}})""",
+    rf"""(?:["'](?P<quoted>{_NAME})["']|(?P<bare>(?<![A-Za-z0-9_$.\-]){_NAME}))(?P<index>\[\s*+["']{_NAME}["']\s*+\])?"""
+    rf"""[ \t]*+(?P<sign>:=|=>|==?(?!=)|:(?![:/]))[ \t]*+(?P<value>{_STRING}|[^\s"'`,;(){{}}\[\]<>]++)"""
+    rf"""(?P<more>(?:{re.sub(r"\?P<\w+>", "?:", _PART)})*+)""",
 )
-_ELEMENT = re.compile(rf"<(?P<name>{_NAME})>(?P<value>[^<>\n]{{6,4096}})</(?P=name)>")
-_PIECE = re.compile(rf"{_STRING}|{_NAME}")
+_ELEMENT = re.compile(rf"<(?P<name>{_NAME})>(?P<value>[^<>]++)</(?P=name)>")
+_PIECE = re.compile(_PART)
 _PARTS = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+|\d+")
 
 
@@ -82,66 +85,72 @@ def name_score(name: str) -> int:
 
 
 def literal_score(value: str) -> float:
-    """From -9 (no secret) to about 4."""
-    if len(value) < 8 or FAKE.match(value) or len(set(value)) < 4 or value.count(" ") > 1:
+    """From -9 (no secret) to about 4. Of several words the blanks do not count; a message to a reader loses."""
+    if _PEM.match(value):
+        return 4.0 if " PRIVATE KEY" in value else -9.0
+    solid = "".join(value.split())
+    words = len(value.split())
+    if len(solid) < 8 or FAKE.match(value) or len(set(solid)) < 4:
         return -9.0
-    n, counts = len(value), Counter(value)
+    n, counts = len(solid), Counter(solid)
     entropy = -sum(c / n * math.log2(c / n) for c in counts.values())
-    classes = sum(bool(re.search(p, value)) for p in (r"[a-z]", r"[A-Z]", r"\d", r"[^A-Za-z0-9]"))
+    classes = sum(bool(re.search(p, value if words <= 2 else solid)) for p in (r"[a-z]", r"[A-Z]", r"\d", r"[^A-Za-z0-9]"))
     if classes == 1 and value.isalpha():
         return -2.0
-    return 0.5 * classes + min(entropy, 4.0) / 2 - 1.0 + (n >= 16) * 0.5
+    several = (0.5 + 3.0 * bool(_MESSAGE.search(value))) * (words > 2)
+    return 0.5 * classes + min(entropy, 4.0) / 2 - 1.0 + (n >= 16) * 0.5 - several
 
 
 def _unquoted(piece: str) -> str | None:
     return re.sub(r"\\(.)", r"\1", piece[1:-1], flags=re.S) if piece[:1] in "\"'`" and len(piece) > 1 else None
 
 
-def name_literal_pairs(text: str) -> list[tuple[str, str, int, int]]:
-    """(name, constant value, start, end) of every assignment whose value is known, the value's literal
-    located where it is written; a name assigned from a known name gives that literal's place again."""
-    known: dict[str, tuple[str, int, int]] = {}
+def name_literal_pairs(text: str) -> list[tuple[str, str, tuple[tuple[int, int], ...]]]:
+    """(name, constant value, places) of every assignment whose value is known. The places are those of all
+    literals that the value is joined from, where they are written; a name assigned from a known name
+    gives that name's places again."""
+    known: dict[str, tuple[str, tuple[tuple[int, int], ...]]] = {}
     pairs = []
 
-    def resolve(piece: str, at: int) -> tuple[str, int, int] | None:
+    def resolve(piece: str, at: int) -> tuple[str, tuple[tuple[int, int], ...]] | None:
         if (plain := _unquoted(piece)) is not None:
-            return plain, at + 1, at + len(piece) - 1
+            return plain, ((at + 1, at + len(piece) - 1),)
         return known.get(piece) or known.get(piece.rpartition(".")[2])
 
     for m in sorted([*_STATEMENT.finditer(text), *_ELEMENT.finditer(text)], key=lambda m: m.start()):
         if m.re is _ELEMENT:
-            pairs.append((m["name"], m["value"], m.start("value"), m.end("value")))
+            pairs.append((m["name"], m["value"], (m.span("value"),)))
             continue
         if m["sign"] == "==":
             continue
         name = (m["quoted"] or m["bare"]) + re.sub(r"[^\w$.\-]", "", "." + m["index"] if m["index"] else "")
-        first = resolve(m["value"], m.start("value"))
-        if first is None:
-            first = (m["value"], m.start("value"), m.end("value"))
-        value, start, end = first
-        if m["more"].strip():
-            for p in _PIECE.finditer(m["more"]):
-                got = resolve(p[0], m.start("more") + p.start())
-                if got is None:
+        unknown = ("", ()) if m["more"].lstrip().startswith("+") else (m["value"], (m.span("value"),))
+        value, places = resolve(m["value"], m.start("value")) or unknown
+        if m["more"]:
+            values, seen = [value], dict.fromkeys(places)
+            for p in _PIECE.finditer(text, m.start("more"), m.end("more")):
+                got = resolve(p["part"], p.start("part"))
+                if got is not None:
+                    values.append(got[0])
+                    seen.update(dict.fromkeys(got[1]))
+                elif "+" not in p["plus"]:
                     break
-                value += got[0]
-                if m.start() <= got[1] <= m.end() and m.start() <= start:
-                    end = got[2]
-        known[name.rpartition(".")[2]] = known[name] = (value, start, end)
-        pairs.append((name, value, start, end))
+            # Only names that are joined to themselves can pass the text's length; their places are all kept.
+            value, places = "".join(values)[: len(text)], tuple(seen)
+        known[name.rpartition(".")[2]] = known[name] = (value, places)
+        pairs.append((name, value, places))
     return pairs
 
 
 def literal_spans(text: str) -> list[Span]:
     """Spans of literals that end up under sensitive names."""
-    low = text.lower()
-    if not any(w in low for w in _HINTS) or not _SIGNS.search(text):
+    if "=" not in text and ":" not in text and "</" not in text:  # no statement is without
         return []
     found = {}
-    for name, value, start, end in name_literal_pairs(text):
+    for name, value, places in name_literal_pairs(text):
         score = name_score(name)
-        if score >= 2 and end > start and score + literal_score(value) >= REPORT_FROM:
-            found[start, end] = (start, end, "literal")
+        if score >= 2 and score + literal_score(value) >= REPORT_FROM:
+            found.update({(a, b): (a, b, "literal") for a, b in places if b > a})
     return list(found.values())
 
 

@@ -404,3 +404,33 @@ def test_assignments_are_followed():
     for clean in ('password = "changeme"', 'token_count = "12345abcXYZ"', "the secret: nobody knows it", 'password == "Abc123!xyz"', "key: value"):
         assert value(clean) == []
     assert secrets.redact("a token=abcdefghijkl1 b", secrets.scan("a token=abcdefghijkl1 b")) == "a token=[secret] b"
+
+
+def test_whole_literals_are_found():
+    value = lambda t: [t[a:b] for a, b, k in secrets.scan(t) if k == "literal"]
+    for line in ('session_cookie = "Zq7RmX2vKp9LwT4nBs6Y"', 'pass_word- = "Zq7RmX2vKp9LwT4nBs6Y"'):
+        assert value(line) == value(line + "\nthe author of a keyboard") == ["Zq7RmX2vKp9LwT4nBs6Y"]
+    assert value('prefix = "sk_live_"\nclient_secret = prefix + "A8f3kQ9zLm2XvR7t"') == ["sk_live_", "A8f3kQ9zLm2XvR7t"]
+    assert value('end = "A8f3kQ9zLm2XvR7t"\nclient_secret = "sk_live_" + end') == ["A8f3kQ9zLm2XvR7t", "sk_live_"]
+    assert value('client_secret = unknown() + x\nclient_secret = other + "A8f3kQ9zLm2XvR7t"') == ["A8f3kQ9zLm2XvR7t"]
+    long = "A8f3kQ9zLm2XvR7t" * 400
+    assert value(f'client_secret = "{long}"') == [long]
+    parts = [f"A8f3kQ{i:02d}" for i in range(30)]
+    assert value("client_secret = " + " + ".join(f'"{p}"' for p in parts)) == parts
+    assert value("x" * 200 + '_password = "P4ssw0rd!xyz"') == ["P4ssw0rd!xyz"]
+    pem = r"-----BEGIN RSA PRIVATE KEY-----\nMIIEpAIBAAKCAQEA\n-----END RSA PRIVATE KEY-----"
+    assert value(f'{{"private_key": "{pem}"}}') == [pem]
+    assert value('wallet_passphrase = "correct horse battery staple"') == ["correct horse battery staple"]
+    assert value('user = "bob" password = "P4ssw0rd!xyz"') == ["P4ssw0rd!xyz"]
+    assert value('{"password": "Please enter your new password"}') == []
+    doubled = 'secret = "A8f3kQ9z"\n' + "secret = secret + secret\n" * 60
+    assert value(doubled) == ["A8f3kQ9z"]
+
+
+def test_cheap_test_loses_nothing():
+    rng = random.Random(12)
+    bits = ["session", "cookie", "_", "api", "access", "pin", "client", "pass", "word", "-", " ", "=", ":", '"Zq7RmX2vKp9LwT4nBs6Y"', "'a8F3-kQ9z'", "+", "\n", "<pin_key>", "Zq7RmX2vKp9L", "</pin_key>"]
+    for _ in range(3000):
+        t = "".join(rng.choice(bits) for _ in range(rng.randint(1, 14)))
+        want = {p for n, v, places in secrets.name_literal_pairs(t) if secrets.name_score(n) >= 2 and secrets.name_score(n) + secrets.literal_score(v) >= secrets.REPORT_FROM for p in places}
+        assert {(a, b) for a, b, k in secrets.scan(t) if k == "literal"} == {(a, b) for a, b in want if b > a}
