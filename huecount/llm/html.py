@@ -2,7 +2,8 @@
 
 Pages of a host come from few templates. A token is a tag with its path, or a word (or a longer run as a
 whole) of text with its path. Its occurrence vector, how often it occurs in each page of the host, is kept
-as a number of pages and an exclusive-or of hashes of (page, count), which partial aggregation can merge.
+as a number of pages and an exclusive-or of hashes of (page, count), which partial aggregation can merge;
+pages of equal html are one page in it.
 Tokens of equal vectors form a class. A class is valid if it holds several tokens, a tag among them, and
 occurs in enough pages; valid classes nest by the span of their positions, a class belongs to the template
 if the classes around it reach down to one that all pages share. Text tokens of the template are its own
@@ -190,17 +191,28 @@ def _with_host(pages: DataFrame) -> DataFrame:
     return pages.select(F.col("page_id").cast("string").alias("page_id"), "url", "html", host.alias("host"))
 
 
+def distinct(pages: DataFrame) -> DataFrame:
+    """html, host, copy, first of the pages that count: those of equal html once a host, and once of all hosts
+    together, which ``first`` tells. Only pages that have copies are dealt out anew."""
+    rows = _with_host(pages).select("html", "host", F.md5(F.coalesce("html", F.lit("")).cast("binary")).alias("copy"))
+    copies = rows.groupBy("copy").agg(F.count("*").alias("n"), F.min("host").alias("first_host")).where("n > 1").drop("n")
+    copies = cut(copies, "html-copies")
+    alone = rows.join(copies, "copy", "left_anti").withColumn("first", F.lit(True))
+    once = rows.join(copies, "copy").dropDuplicates(["host", "copy"]).withColumn("first", F.col("host") == F.col("first_host")).drop("first_host")
+    return alone.unionByName(once)
+
+
 def occurrence(pages: DataFrame) -> DataFrame:
     """host, token, is_text, pages, vector, place: merged occurrence vectors of all tokens of all hosts, and
-    of all pages as one host."""
+    of all pages as one host. Each of the two has its own support."""
     small_batches(pages.sparkSession)
+    columns = ["host", "token", "is_text", "pages", "vector", "places", "all_pages", "all_vector", "all_places"]
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             seen: dict[tuple[str, int], list] = {}
-            for page, url, html, host in batch[["page_id", "url", "html", "host"]].itertuples(index=False):
+            for html, host, own, first in batch[["html", "host", "copy", "first"]].itertuples(index=False):
                 slots, tags = walked(html)
-                own = token_hash(f"{page} {url} {len(html or '')}")
                 found: dict[str, list] = {}
                 for k, t in enumerate(tags):
                     found.setdefault(t, [0, k, False])[0] += 1
@@ -210,17 +222,20 @@ def occurrence(pages: DataFrame) -> DataFrame:
                             found.setdefault(t, [0, s.block, True])[0] += 1
                 for t, (n, place, is_text) in found.items():
                     vector = token_hash(f"{own} {n}")
-                    one = seen.setdefault((host, token_hash(t)), [is_text, 0, 0, 0])
-                    one[1] += 1
-                    one[2] ^= vector
-                    one[3] += place
-            yield pd.DataFrame([(h, t, *v) for (h, t), v in seen.items()], columns=["host", "token", "is_text", "pages", "vector", "places"])
-
-    parts = _with_host(pages).mapInPandas(run, "host string, token long, is_text boolean, pages long, vector long, places long")
-    merge = [F.max("is_text").alias("is_text"), F.sum("pages").alias("pages"), F.bit_xor("vector").alias("vector"), F.sum("places").alias("places")]
-    per_host = cut(parts.groupBy("host", "token").agg(*merge).where(F.col("pages") >= SUPPORT), "html-tokens")
-    everywhere = per_host.groupBy(F.lit(ALL_HOSTS).alias("host"), "token").agg(*merge)
-    return per_host.unionByName(everywhere).withColumn("place", F.col("places") / F.col("pages"))
+                    one = seen.setdefault((host, token_hash(t)), [is_text, 0, 0, 0, 0, 0, 0])
+                    for at in (1, 4) if first else (1,):
+                        one[at] += 1
+                        one[at + 1] ^= vector
+                        one[at + 2] += place
+            yield pd.DataFrame([(h, t, *v) for (h, t), v in seen.items()], columns=columns)
+
+    parts = distinct(pages).mapInPandas(run, "host string, token long, is_text boolean, pages long, vector long, places long, all_pages long, all_vector long, all_places long")
+    merge = lambda of: [F.sum(f"{of}pages").alias(f"{of}pages"), F.bit_xor(f"{of}vector").alias(f"{of}vector"), F.sum(f"{of}places").alias(f"{of}places")]
+    is_text, enough = F.max("is_text").alias("is_text"), F.col("pages") >= SUPPORT
+    per_host = cut(parts.groupBy("host", "token").agg(is_text, *merge(""), *merge("all_")), "html-tokens")
+    everywhere = per_host.groupBy("token").agg(is_text, *merge("all_")).select(F.lit(ALL_HOSTS).alias("host"), "token", "is_text", *[F.col(f"all_{c}").alias(c) for c in ("pages", "vector", "places")])
+    both = per_host.drop("all_pages", "all_vector", "all_places").where(enough).unionByName(everywhere.where(enough))
+    return both.withColumn("place", F.col("places") / F.col("pages"))
 
 
 def templates(tokens: DataFrame) -> DataFrame:

@@ -66,6 +66,22 @@ def test_template_text_is_dropped(spark):
         assert "slogan" not in r["text"] and "rights" not in r["text"] and r["text"].count("alpha") == 8
 
 
+def test_copies_and_small_hosts(spark):
+    def page(i):
+        return f"<html><body><div><p>Site slogan here</p></div><div class=box><p>{'alpha beta gamma delta ' * 4}{i}</p><p>of {i}</p></div><div><p>All rights kept</p></div></body></html>"
+
+    schema = "page_id long, url string, html string"
+    small = [(i, f"http://h{i}.example/", page(i)) for i in range(12)]
+    for r in html.op7_html(spark.createDataFrame(small, schema)).collect():
+        assert "slogan" not in r["text"] and "rights" not in r["text"] and r["text"].count("alpha") == 4
+    copies = [(i, f"http://one.example/{i % 3}", page(7)) for i in range(4)] + [(3, "http://one.example/0", page(7))] + [(9, "http://two.example/", page(7))]
+    for r in html.op7_html(spark.createDataFrame(copies, schema)).collect():
+        assert r["text"].count("alpha") == 4 and "of 7" in r["text"]
+    for repeated in (small + small, small + small[:5]):
+        tokens = lambda rows: {tuple(r) for r in html.occurrence(spark.createDataFrame(rows, schema)).collect()}
+        assert tokens(repeated) == tokens(small)
+
+
 def test_top_k(spark):
     rng = np.random.default_rng(2)
     rows = [(i, [float(x) for x in rng.normal(0, 1 + i % 3, 6)]) for i in range(300)]
