@@ -419,6 +419,19 @@ add(
 )
 
 
+def _asof_every(s: SparkSession, d: str) -> DataFrame:
+    """For every event its user's last event before it."""
+    w = W.partitionBy("user_id").orderBy("ts", "event_id")
+    return table(s, d, "events").select("event_id", "user_id", F.lag("event_id").over(w).alias("before"))
+
+
+add(
+    "asof_every_event",
+    _asof_every,
+    "SELECT event_id, user_id, lag(event_id) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before FROM events",
+)
+
+
 def _core_sql(view: str, least: int) -> str:
     step = lambda e: f"(SELECT src, dst FROM {e} WHERE src IN (SELECT v FROM (SELECT src AS v FROM {e} UNION ALL SELECT dst FROM {e}) GROUP BY v HAVING count(*) >= {least}) AND dst IN (SELECT v FROM (SELECT src AS v FROM {e} UNION ALL SELECT dst FROM {e}) GROUP BY v HAVING count(*) >= {least}))"
     return f"WITH e0 AS MATERIALIZED ({VIEW_SQL[view]}), e1 AS MATERIALIZED (SELECT * FROM {step('e0')}), e2 AS MATERIALIZED (SELECT * FROM {step('e1')}) SELECT src, dst FROM e2"

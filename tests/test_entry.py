@@ -37,3 +37,12 @@ def test_entry_and_names(spark):
     assert entry.entry(spark).count() == 1
     assert set(entry.oracle_sql()) <= set(entry.queries())
     assert set(catalogue.queries()) <= set(entry.queries())
+
+
+def test_every_event_has_its_predecessor(spark):
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM read_parquet('{SF}/events.parquet')")
+    ours, theirs = catalogue.queries()["asof_every_event"](spark, SF).toPandas(), con.execute(catalogue.oracle_sql()["asof_every_event"]).df()
+    assert rows(ours) == rows(theirs) and len(ours) == con.execute("SELECT count(*) FROM events").fetchone()[0]
+    slow = con.execute("SELECT a.event_id, a.user_id, max_by(b.event_id, (b.ts, b.event_id)) AS before FROM events a LEFT JOIN events b ON a.user_id = b.user_id AND (b.ts, b.event_id) < (a.ts, a.event_id) GROUP BY ALL").df()
+    assert rows(ours) == rows(slow)
