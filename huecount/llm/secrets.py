@@ -66,10 +66,12 @@ _MESSAGE = re.compile(r"(?i)\b(?:please|enter|your|must|invalid|required|forgot|
 # Every repeat is possessive: a text is lexed in time proportional to its length, and no string, name or list of parts has a limit.
 _NAME = r"[A-Za-z_$][A-Za-z0-9_$.\-]*+"
 _STRING = r'"(?:[^"\\\n]|\\.)*+"' + r"|'(?:[^'\\\n]|\\.)*+'" + r"|`(?:[^`\\\n]|\\.)*+`"
+# A key over several lines: bare, in a block of a configuration file, or in quotes that may span lines.
+_BLOCK = r"-----BEGIN [A-Z0-9 ]*+-----[ \t\r]*+\n[^-]*+(?:-(?!----(?:BEGIN|END) )[^-]*+)*+-----END [A-Z0-9 ]*+-----"
 _PART = rf"""(?P<plus>[ \t]*+(?:\+[ \t]*+)?)(?P<part>{_STRING}|(?<=[+ ]){_NAME}(?![A-Za-z0-9_(]))(?![ \t]*+[:=])"""
 _STATEMENT = re.compile(
     rf"""(?:["'](?P<quoted>{_NAME})["']|(?P<bare>(?<![A-Za-z0-9_$.\-]){_NAME}))(?P<index>\[\s*+["']{_NAME}["']\s*+\])?"""
-    rf"""[ \t]*+(?P<sign>:=|=>|==?(?!=)|:(?![:/]))[ \t]*+(?P<value>{_STRING}|[^\s"'`,;(){{}}\[\]<>]++)"""
+    rf"""[ \t]*+(?P<sign>:=|=>|==?(?!=)|:(?![:/]))[ \t]*+(?:(?:[|>][+-]?|["'`]{{1,3}}+)?\s*+(?P<block>{_BLOCK})["'`]{{0,3}}+|(?P<value>{_STRING}|[^\s"'`,;(){{}}\[\]<>]++))"""
     rf"""(?P<more>(?:{re.sub(r"\?P<\w+>", "?:", _PART)})*+)""",
 )
 _ELEMENT = re.compile(rf"<(?P<name>{_NAME})>(?P<value>[^<>]++)</(?P=name)>")
@@ -125,7 +127,7 @@ def name_literal_pairs(text: str) -> list[tuple[str, str, tuple[tuple[int, int],
             continue
         name = (m["quoted"] or m["bare"]) + re.sub(r"[^\w$.\-]", "", "." + m["index"] if m["index"] else "")
         unknown = ("", ()) if m["more"].lstrip().startswith("+") else (m["value"], (m.span("value"),))
-        value, places = resolve(m["value"], m.start("value")) or unknown
+        value, places = (m["block"], (m.span("block"),)) if m["block"] else resolve(m["value"], m.start("value")) or unknown
         if m["more"]:
             values, seen = [value], dict.fromkeys(places)
             for p in _PIECE.finditer(text, m.start("more"), m.end("more")):

@@ -420,6 +420,10 @@ def test_whole_literals_are_found():
     assert value("x" * 200 + '_password = "P4ssw0rd!xyz"') == ["P4ssw0rd!xyz"]
     pem = r"-----BEGIN RSA PRIVATE KEY-----\nMIIEpAIBAAKCAQEA\n-----END RSA PRIVATE KEY-----"
     assert value(f'{{"private_key": "{pem}"}}') == [pem]
+    block = "-----BEGIN PRIVATE KEY-----\n  MIIEpAIBAAKCAQEA\n  Zx81kq77PPq+/=\n  -----END PRIVATE KEY-----"
+    for before, after in (("private_key: |\n  ", "\nnext: 1"), ('tls_key = """', '"""'), ("private_key := `", "`"), ("private_key:\n  ", "")):
+        assert value(before + block + after) == [block]
+    assert value("signing_key: |\n  " + block.replace("PRIVATE", "PUBLIC")) == []
     assert value('wallet_passphrase = "correct horse battery staple"') == ["correct horse battery staple"]
     assert value('user = "bob" password = "P4ssw0rd!xyz"') == ["P4ssw0rd!xyz"]
     assert value('{"password": "Please enter your new password"}') == []
