@@ -3,14 +3,16 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Iterator
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: A word is a run of anything but these six ASCII white-space characters.
 WORD = r"[^\x20\x09-\x0D]+"
-#: Arrow batches of texts stay small: one batch is held in a Python worker at a time.
-TEXT_BATCH_ROWS = "256"
+#: What a Python worker takes on at a time. An Arrow batch holds up to 64 MB, by Spark's own bound.
+SLICE_ROWS, SLICE_CHARS = 256, 1 << 21
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -31,17 +33,27 @@ def fresh_dir(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def cut(df: DataFrame, name: str) -> DataFrame:
+def cut(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
     """Write df to the shared folder and read it again: later stages neither recompute it nor depend
     on the executors that made it."""
     spark, path = df.sparkSession, fresh_dir(df.sparkSession, name)
-    df.write.parquet(path)
+    df.write.option("compression", compression).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
-def small_batches(spark: SparkSession) -> None:
-    """Bound the rows of an Arrow batch, since one text can have hundreds of kilobytes."""
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", TEXT_BATCH_ROWS)
+def slices(batches: Iterator[pd.DataFrame], column: str = "text") -> Iterator[pd.DataFrame]:
+    """The rows of all batches in frames of SLICE_ROWS rows and about SLICE_CHARS characters of the column at
+    most; a longer text is a frame of its own."""
+    for batch in batches:
+        size = batch[column].str.len().fillna(0).to_numpy() if len(batch) else ()
+        at = held = 0
+        for i, n in enumerate(size):
+            if i > at and (i - at == SLICE_ROWS or held + n > SLICE_CHARS):
+                yield batch.iloc[at:i].reset_index(drop=True)
+                at, held = i, 0
+            held += n
+        if at < len(batch):
+            yield batch.iloc[at:].reset_index(drop=True)
 
 
 def n_words(text: Column) -> Column:

@@ -32,7 +32,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from huecount.llm.common import cut, small_batches
+from huecount.llm.common import cut, slices
 
 SUPPORT = 3
 CLASS_SIZE = 3
@@ -205,11 +205,10 @@ def distinct(pages: DataFrame) -> DataFrame:
 def occurrence(pages: DataFrame) -> DataFrame:
     """host, token, is_text, pages, vector, place: merged occurrence vectors of all tokens of all hosts, and
     of all pages as one host. Each of the two has its own support."""
-    small_batches(pages.sparkSession)
     columns = ["host", "token", "is_text", "pages", "vector", "places", "all_pages", "all_vector", "all_places"]
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
+        for batch in slices(batches, "html"):
             seen: dict[tuple[str, int], list] = {}
             for html, host, own, first in batch[["html", "host", "copy", "first"]].itertuples(index=False):
                 slots, tags = walked(html)
@@ -256,14 +255,13 @@ def templates(tokens: DataFrame) -> DataFrame:
 
 def extracted(pages: DataFrame) -> DataFrame:
     """page_id, url, text of every page."""
-    small_batches(pages.sparkSession)
     template = cut(templates(occurrence(pages)), "html-templates")
     common = template.where(F.col("host") == ALL_HOSTS).select("template").first()  # one row
     common = frozenset(common[0]) if common else frozenset()
     own = template.where(F.col("host") != ALL_HOSTS).withColumnRenamed("host", "t_host")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
+        for batch in slices(batches, "html"):
             known: dict[str, frozenset[int]] = {}
             texts = []
             for host, html, template in zip(batch["host"], batch["html"], batch["template"], strict=True):

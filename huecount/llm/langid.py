@@ -20,12 +20,13 @@ table gives an empty result; lang, source and doc_id never enter a prediction; e
 from __future__ import annotations
 
 import re
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from huecount.llm.common import small_batches
+from huecount.llm.common import slices
 
 HIDDEN = 8
 WINDOW = 96
@@ -34,10 +35,16 @@ SAMPLE_PER_LANGUAGE = 600
 MAX_LANGUAGES = 256
 STEPS, BATCH, RATE = 160, 256, 0.02
 UNKNOWN = "und"
-_LETTER = re.compile(r"[^\W\d_]")
+_MAY_BE_LETTER = re.compile(r"[^\W\d_]")
 GATES = 3  # update, reset, candidate
 
 
+def has_letter(text: str | None) -> bool:
+    """Whether a character of the text is a letter (general category L). The pattern also lets through
+    fractions and numerals, which are none."""
+    return any(m[0].isalpha() for m in _MAY_BE_LETTER.finditer(text or ""))
+
+
 def held_out() -> Column:
     return F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2
 
@@ -234,11 +241,9 @@ def fitted(docs: DataFrame, usable: Column, seed: int = 7, **options) -> ByteGru
 def labeller(model: ByteGru | None):
     """A vectorised function of texts: (lang_pred, score)."""
 
-    @F.pandas_udf("lang_pred string, score double")
-    def label(text: pd.Series) -> pd.DataFrame:
-        texts = [t or "" for t in text]
+    def labels(texts: list[str | None]) -> pd.DataFrame:
         pred, score = [UNKNOWN] * len(texts), [0.0] * len(texts)
-        at = [i for i, t in enumerate(texts) if model is not None and _LETTER.search(t)]
+        at = [i for i, t in enumerate(texts) if model is not None and has_letter(t)]
         if at:
             prob = model.documents([texts[i].encode("utf-8", "surrogatepass") for i in at])
             for i, row in zip(at, prob, strict=True):
@@ -246,12 +251,16 @@ def labeller(model: ByteGru | None):
                 pred[i], score[i] = model.languages[k], float(row[k])
         return pd.DataFrame({"lang_pred": pred, "score": score})
 
+    @F.pandas_udf("lang_pred string, score double")
+    def label(text: pd.Series) -> pd.DataFrame:
+        parts = [labels(part["text"].tolist()) for part in slices([text.to_frame("text")])]
+        return pd.concat(parts, ignore_index=True) if parts else labels([])
+
     return label
 
 
 def predicted(docs: DataFrame, model: ByteGru | None) -> DataFrame:
     """doc_id, held_out, lang_pred, score of every document."""
-    small_batches(docs.sparkSession)
     rows = docs.select("doc_id", F.coalesce(held_out(), F.lit(False)).alias("held_out"), labeller(model)("text").alias("label"))
     return rows.select("doc_id", "held_out", "label.lang_pred", "label.score")
 
@@ -262,7 +271,6 @@ def language_id(docs: DataFrame) -> DataFrame:
 
 def identified(docs: DataFrame, least: float = 0.3) -> DataFrame:
     """docs without those whose language is unknown or whose score is under ``least``."""
-    small_batches(docs.sparkSession)
     known = docs.withColumn("__label", labeller(fitted(docs, ~held_out()))("text"))
     return known.where((F.col("__label.lang_pred") != UNKNOWN) & (F.col("__label.score") >= least)).drop("__label")
 

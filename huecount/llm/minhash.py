@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from huecount.llm.common import cut, small_batches
+from huecount.llm.common import cut, slices
 
 SHINGLE = 5
 BANDS, ROWS = 32, 5
@@ -153,13 +153,12 @@ def band_keys(signatures: np.ndarray, bands: int = BANDS, rows: int = ROWS) -> n
 
 def signed(docs: DataFrame, counts: bool = False) -> DataFrame:
     """doc_id, digest of the text, n (distinct shingles), keys (one per band), sig (16 bits a coordinate)."""
-    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         import hashlib
 
         known = WordHash()
-        for batch in batches:
+        for batch in slices(batches):
             texts = batch["text"].tolist()
             sets = [weighted(shingles(t, known), counts) for t in texts]
             sig = dart_signatures(sets)

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from huecount.llm.common import cut, small_batches
+from huecount.llm.common import cut, slices
 from huecount.llm.minhash import WordHash, shingles
 
 GAMMA = 1.02
@@ -76,11 +76,9 @@ def counts_of(text: str | None, known: WordHash) -> tuple[int, ...]:
 
 
 def measured(docs: DataFrame) -> DataFrame:
-    small_batches(docs.sparkSession)
-
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         known = WordHash()
-        for batch in batches:
+        for batch in slices(batches):
             rows = pd.DataFrame([counts_of(t, known) for t in batch["text"]], columns=list(COUNTS), dtype="int64")
             yield pd.concat([batch[["doc_id", "lang", "source"]].reset_index(drop=True), rows], axis=1)
 

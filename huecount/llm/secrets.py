@@ -27,7 +27,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from huecount.llm.common import small_batches
+from huecount.llm.common import slices
 
 KINDS = ("assign", "access", "hex", "literal")
 # Fixed patterns and lengths of the base scan.
@@ -182,10 +182,8 @@ def redact(text: str, spans: list[Span], mark: str = "[secret]") -> str:
 
 
 def op10_secret_scan(docs: DataFrame) -> DataFrame:
-    small_batches(docs.sparkSession)
-
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
+        for batch in slices(batches):
             rows = []
             for doc, text in zip(batch["doc_id"], batch["text"], strict=True):
                 spans = scan(text)
@@ -201,8 +199,6 @@ def op10_secret_scan(docs: DataFrame) -> DataFrame:
 
 def redacted(docs: DataFrame) -> DataFrame:
     """docs with secrets replaced in their texts; n_chars follows. No document goes."""
-    small_batches(docs.sparkSession)
-
     @F.pandas_udf("string")
     def clean(text: pd.Series) -> pd.Series:
         return pd.Series([t if t is None or not (s := scan(t)) else redact(t, s) for t in text], dtype=object)

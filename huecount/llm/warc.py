@@ -30,7 +30,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from huecount.llm.common import cut, fresh_dir, small_batches
+from huecount.llm.common import cut, fresh_dir, slices
 
 SMALLEST = 100
 ROLL = 32 << 20
@@ -163,8 +163,6 @@ def decided(pages: DataFrame, smallest: int = SMALLEST) -> DataFrame:
 
 def write_archives(records: DataFrame, folder: str, roll: int = ROLL) -> DataFrame:
     """Write page_id, url, payload, digest, refers_to to archives; return their names and numbers of records."""
-    small_batches(records.sparkSession)
-
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         from pyspark import TaskContext
 
@@ -179,7 +177,7 @@ def write_archives(records: DataFrame, folder: str, roll: int = ROLL) -> DataFra
                     f.write(p)
             return pd.DataFrame({"archive": [name], "records": [len(parts)]})
 
-        for batch in batches:
+        for batch in slices(batches, "payload"):
             for page, url, payload, digest, refers in batch.itertuples(index=False):
                 # A header is one line; what would break it is kept percent-encoded.
                 shown = (url or "").replace("\r", "%0D").replace("\n", "%0A")
