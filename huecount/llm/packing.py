@@ -1,15 +1,18 @@
 """Best-fit packing by minimum bin slack.
 
 Each document becomes its token ids and a closing id. Documents longer than a sequence are cut, the
-remainder first; nothing else is. A packing depends on lengths alone, so the driver packs the histogram
-of piece lengths (one number per length, whatever the input): for one sequence a subset-sum programme
-over a bitset finds the fullest combination of lengths still available, starting from the longest one.
-The combination is removed as often as the counts allow, for as long as its lengths last it would be
-found again, so there are at most about as many rounds as lengths. Pieces then look up their place by
-length and rank. They carry their ids, and the sequences are written whole.
+remainder first; nothing else is. Pieces as long as a sequence are sequences already and never move. The
+others, one a document at most, are dealt evenly into buckets of about BUCKET pieces, and each bucket is
+packed by itself: for one sequence a subset-sum programme over a bitset finds the fullest combination of the
+lengths still available, starting from the longest one. The combination is removed as often as the counts
+allow, for as long as its lengths last it would be found again, so there are at most about as many rounds as
+lengths. A bucket costs one sequence that is not full, of some ten thousand; in return ids move once, two
+bytes each, no task holds more than a bucket, and no part of the work grows on the driver. The sequences are
+written whole.
 
 Defined results: a null or empty text is one piece with the closing id only; repeated rows are pieces
-of their own; an empty table gives an empty result; other columns are dropped.
+of their own; a text of any length is read whole, stretches that the fast tokenizer refuses by the exact one;
+an empty table gives an empty result; other columns are dropped.
 """
 
 from __future__ import annotations
@@ -20,17 +23,18 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from huecount.llm.common import cut, small_batches
+from huecount.llm.common import cut, slices
 
 SEQUENCE = 2048
 CLOSING_ID = 0
 VOCABULARY = "byte_bpe_50k"
 #: Words a tokenizing worker remembers, about 60 MB.
 MEMORY_WORDS = 300_000
-SALTS = 64
+#: Pieces of a bucket, in the mean. At two bytes an id a task holds 128 MB of ids at the very most.
+BUCKET = 32_768
+PART = ("offset", "length", "doc_id", "piece", "start")
 
 
 class Tokens:
@@ -47,7 +51,8 @@ class Tokens:
             ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
         end = {"<|endoftext|>": len(ranks)}
         coder = tiktoken.Encoding("bytes", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens=end)
-        self.whole = lambda text: np.asarray(coder.encode(text, allowed_special="all"), "<u4").tobytes()
+        self.short = lambda text: np.asarray(coder.encode(text, allowed_special="all"), "<u4").tobytes()
+        self.vocabulary, self.exact = vocabulary, None
 
         class Known(dict):
             def __missing__(known, part):
@@ -59,6 +64,19 @@ class Tokens:
         self.part = Known().__getitem__
         self.uneven = re.compile(r" \s| \Z").search
 
+    def whole(self, text: str) -> bytes:
+        """Ids of a text in one go. Very long runs of white space are more than the fast tokenizer's pattern can
+        hold; the exact one reads such texts."""
+        try:
+            return self.short(text)
+        except ValueError:
+            if self.exact is None:
+                import public_tokenizers
+                from tokenizers import Tokenizer
+
+                self.exact = Tokenizer.from_file(public_tokenizers.path(f"{self.vocabulary}.json"))
+            return np.asarray(self.exact.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+
     def __call__(self, text: str) -> bytes:
         if self.uneven(text):
             return self.whole(text)
@@ -73,26 +91,40 @@ def cut_points(n: int, sequence: int = SEQUENCE) -> list[tuple[int, int]]:
 
 
 def pieces(docs: DataFrame, sequence: int = SEQUENCE, vocabulary: str = VOCABULARY) -> DataFrame:
-    """doc_id, piece, start, length, ids (little-endian, four bytes each) of every piece."""
-    small_batches(docs.sparkSession)
+    """doc_id, piece, start, length, ids of every piece, and the place of the piece: the task that cut it and
+    its number there. ids: little-endian, four bytes each for pieces as long as a sequence; two (four if the
+    vocabulary needs it) in ``narrow`` for the others, which have to travel."""
     closing = CLOSING_ID.to_bytes(4, "little")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        tokens = Tokens(vocabulary)
-        for batch in batches:
+        from pyspark import TaskContext
+
+        tokens, task, nth = Tokens(vocabulary), TaskContext.get().partitionId(), 0
+        for batch in slices(batches):
             out = []
             for doc, text in zip(batch["doc_id"], batch["text"], strict=True):
                 doc = None if doc is None else int(doc)
                 ids = tokens(text or "") + closing
                 for k, (start, length) in enumerate(cut_points(len(ids) // 4, sequence)):
-                    out.append((doc, k, start, length, ids[4 * start : 4 * (start + length)]))
-            made = pd.DataFrame(out, columns=["doc_id", "piece", "start", "length", "ids"])
+                    own, full = ids[4 * start : 4 * (start + length)], length == sequence
+                    out.append((doc, k, start, length, own if full else None, None if full else narrowed(own), task, nth))
+                    nth += 1
+            made = pd.DataFrame(out, columns=["doc_id", "piece", "start", "length", "ids", "narrow", "task", "nth"])
             yield made.astype({"doc_id": "Int64"})
 
     # A null would turn a batch of ids into floats; as text they stay whole.
     light = docs.select(F.col("doc_id").cast("long").cast("string").alias("doc_id"), "text")
+    return light.mapInPandas(run, "doc_id long, piece int, start long, length long, ids binary, narrow binary, task int, nth long")
+
+
+def narrowed(ids: bytes) -> bytes:
+    """The ids in two bytes each where they fit, with a byte in front that tells."""
+    x = np.frombuffer(ids, "<u4")
+    return b"\2" + x.astype("<u2").tobytes() if not len(x) or x.max() < 1 << 16 else b"\4" + ids
+
 
-    return light.mapInPandas(run, "doc_id long, piece int, start long, length long, ids binary")
+def widened(narrow: bytes) -> bytes:
+    return np.frombuffer(narrow, "<u2", offset=1).astype("<u4").tobytes() if narrow[0] == 2 else narrow[1:]
 
 
 def fullest(counts: list[int], sequence: int) -> list[int]:
@@ -136,59 +168,53 @@ def pack_histogram(histogram: dict[int, int], sequence: int = SEQUENCE) -> list[
     return found
 
 
-def places(found: list[tuple[dict[int, int], int]]) -> pd.DataFrame:
-    """For each length, ranges of ranks with the sequences they fill: length, rank, each, base, offset."""
-    rows, next_rank, base = [], {}, 0
-    for one, times in found:
-        offset = 0
-        for n, c in sorted(one.items(), reverse=True):
-            rows.append((n, next_rank.get(n, 0), c, base, offset))
-            next_rank[n] = next_rank.get(n, 0) + c * times
-            offset += n * c
-        base += times
-    return pd.DataFrame(rows, columns=["length", "rank", "each", "base", "offset"]).sort_values(["length", "rank"], ignore_index=True)
-
-
-def pack(piece_table: DataFrame, sequence: int = SEQUENCE) -> DataFrame:
-    """Add sequence_id and offset to a table of pieces (any columns; length is needed)."""
-    salted = piece_table.withColumn("salt", F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in piece_table.columns]), F.lit(SALTS)).cast("int"))
-    groups = sorted(salted.groupBy("length", "salt").count().collect())  # sequence x SALTS rows at most
-    histogram: dict[int, int] = {}
-    first = []
-    for n, salt, c in groups:
-        first.append((n, salt, histogram.get(n, 0)))
-        histogram[n] = histogram.get(n, 0) + c
-    table = places(pack_histogram(histogram, sequence))
-    spark = piece_table.sparkSession
-    starts = spark.createDataFrame(first, "length long, salt int, first_rank long")
-    by = [F.col(f"`{c}`") for c in piece_table.columns]
-    ranked = (
-        salted.withColumn("in_salt", F.row_number().over(W.partitionBy("length", "salt").orderBy(*by)) - 1)
-        .join(starts, ["length", "salt"])
-        .withColumn("rank", F.col("first_rank") + F.col("in_salt"))
-        .drop("salt", "in_salt", "first_rank")
-    )
-    keys = (table["length"].to_numpy(np.int64) << 48) + table["rank"].to_numpy(np.int64)
-    rank0, each, base, offset, length = (table[c].to_numpy(np.int64) for c in ("rank", "each", "base", "offset", "length"))
-
-    @F.pandas_udf("sequence_id long, offset long")
-    def locate(n: pd.Series, rank: pd.Series) -> pd.DataFrame:
-        n, rank = n.to_numpy(np.int64), rank.to_numpy(np.int64)
-        at = np.searchsorted(keys, (n << 48) + rank, side="right") - 1
-        nth = rank - rank0[at]
-        return pd.DataFrame({"sequence_id": base[at] + nth // each[at], "offset": offset[at] + nth % each[at] * length[at]})
-
-    return ranked.withColumn("place", locate("length", "rank")).select(*by, "place.sequence_id", "place.offset")
-
-
-def sequences(docs: DataFrame, sequence: int = SEQUENCE) -> DataFrame:
+def members(lengths: np.ndarray, sequence: int = SEQUENCE) -> Iterator[list[int]]:
+    """For each sequence the numbers of its pieces, longest first. Equal lengths are taken in the order given."""
+    order = np.argsort(lengths, kind="stable")
+    sizes, first = np.unique(lengths[order], return_index=True)
+    at = dict(zip(sizes.tolist(), first.tolist(), strict=True))
+    histogram = dict(zip(sizes.tolist(), np.diff([*first, len(order)]).tolist(), strict=True))
+    order = order.tolist()
+    for one, times in pack_histogram(histogram, sequence):
+        lots = sorted(one.items(), reverse=True)
+        for _ in range(times):
+            chosen = []
+            for n, c in lots:
+                chosen += order[at[n] : at[n] + c]
+                at[n] += c
+            yield chosen
+
+
+def sequences(docs: DataFrame, sequence: int = SEQUENCE, bucket: int = BUCKET) -> DataFrame:
     """sequence_id, ids, parts (offset, length, doc_id, piece, start): the packed sequences, written whole, their
     pieces joined by offset."""
-    part = F.struct("offset", "length", "doc_id", "piece", "start", "ids")
-    grouped = pack(cut(pieces(docs, sequence), "pieces"), sequence).groupBy("sequence_id").agg(F.array_sort(F.collect_list(part)).alias("p"))
-    ids = F.unhex(F.array_join(F.transform("p", lambda x: F.hex(x["ids"])), ""))
-    light = F.transform("p", lambda x: x.dropFields("ids"))
-    return cut(grouped.select("sequence_id", ids.alias("ids"), light.alias("parts")), "sequences")
+    cut_up = cut(pieces(docs, sequence), "pieces", compression="zstd")
+    loose = cut_up.where(F.col("length") < sequence)
+    buckets = max(1, -(-loose.count() // bucket))
+
+    def pack(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values(["task", "nth"], ignore_index=True)
+        lengths, narrow = rows["length"].to_numpy(np.int64), rows["narrow"].tolist()
+        docs = [None if d is None else int(d) for d in rows["doc_id"]]
+        light = list(zip(lengths.tolist(), docs, rows["piece"].tolist(), rows["start"].tolist(), strict=True))
+        base, out = int(rows["bucket"].iat[0]) << 32, []
+        for k, chosen in enumerate(members(lengths, sequence)):
+            offset, parts = 0, []
+            for i in chosen:
+                parts.append((offset, *light[i]))
+                offset += light[i][0]
+            out.append(((base + k) * 2, b"".join(widened(narrow[i]) for i in chosen), [dict(zip(PART, p, strict=True)) for p in parts]))
+        return pd.DataFrame(out, columns=["sequence_id", "ids", "parts"])
+
+    shape = "sequence_id long, ids binary, parts array<struct<offset:long,length:long,doc_id:long,piece:int,start:long>>"
+    loose = loose.withColumn("doc_id", F.col("doc_id").cast("string"))  # a null would turn a bucket's ids into floats
+    dealt = loose.withColumn("bucket", F.pmod(F.xxhash64("task", "nth"), F.lit(buckets)))
+    packed = dealt.drop("ids").groupBy("bucket").applyInPandas(pack, shape)
+    packed = cut(packed, "sequences", compression="zstd")
+    whole = F.array(F.struct(F.lit(0).cast("long").alias("offset"), "length", "doc_id", "piece", "start"))
+    number = (F.shiftleft(F.col("task").cast("long"), 40) + F.col("nth")) * 2 + 1
+    full = cut_up.where(F.col("length") == sequence).select(number.alias("sequence_id"), "ids", whole.alias("parts"))
+    return packed.union(full)
 
 
 def placed(packed: DataFrame) -> DataFrame:

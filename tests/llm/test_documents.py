@@ -144,6 +144,53 @@ def test_tokens_are_those_of_the_tokenizer():
         assert np.frombuffer(own(t), "<u4").tolist() == theirs.encode(t, add_special_tokens=False).ids
 
 
+def test_long_runs_are_tokenized_exactly():
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    own, theirs = packing.Tokens(), Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    rng = random.Random(8)
+    texts = ["".join(rng.choice([" ", "\n", "\t", "a", "word", "1", "-"]) * rng.choice([1, 2, 3, 400, 9000]) for _ in range(30)) for _ in range(40)]
+    texts += [" " * 1_200_000 + "end", "a" + "\n" * 1_000_000, " \n" * 500_000 + " b  c"]
+    for t in texts:
+        assert np.frombuffer(own(t), "<u4").tolist() == theirs.encode(t, add_special_tokens=False).ids
+
+
+def test_buckets_are_packed_apart_and_whole(docs):
+    rows = packing.sequences(docs, bucket=16).collect()
+    parts = [(r["sequence_id"], p) for r in rows for p in r["parts"]]
+    assert len(rows) == len({r["sequence_id"] for r in rows})
+    want = Counter()
+    own = packing.Tokens()
+    for r in documents():
+        n = len(own(r[1] or "")) // 4 + 1
+        want.update((r[0], k, s, m) for k, (s, m) in enumerate(packing.cut_points(n)))
+    assert Counter((p["doc_id"], p["piece"], p["start"], p["length"]) for _, p in parts) == want
+    for r in rows:
+        at = 0
+        for p in r["parts"]:
+            assert p["offset"] == at
+            at += p["length"]
+        assert len(r["ids"]) == 4 * at <= 4 * 2048
+    assert packing.widened(packing.narrowed(np.array([0, 65535, 7], "<u4").tobytes())) == np.array([0, 65535, 7], "<u4").tobytes()
+    assert packing.widened(packing.narrowed(np.array([0, 65536], "<u4").tobytes())) == np.array([0, 65536], "<u4").tobytes()
+
+
+def test_slices_lose_no_row():
+    import pandas as pd
+
+    from huecount.llm.common import SLICE_CHARS, slices
+
+    texts = ["a" * n for n in (5, SLICE_CHARS, 1, 0, SLICE_CHARS + 9)] + [None] * 300 + ["b"] * 300
+    parts = list(slices([pd.DataFrame({"text": texts[:0]}), pd.DataFrame({"text": texts})]))
+    assert [t for p in parts for t in p["text"]] == texts and max(map(len, parts)) <= 256
+    assert all(len(p) == 1 or p["text"].str.len().sum() <= SLICE_CHARS for p in parts)
+
+
+def test_letters():
+    assert [langid.has_letter(t) for t in ("½ ² Ⅷ _ 12", "½a", "日", "", None, "\n.,", "ª")] == [False, True, True, False, False, False, True]
+
+
 def test_packing(docs):
     rows = packing.op4_packing(docs).collect()
     own, space = packing.Tokens(), defaultdict(list)
