@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+from collections import defaultdict
 
 import duckdb
 import numpy as np
@@ -52,8 +53,10 @@ def test_html(spark):
     assert got[24]["text"] == "tiny" and len(got) == 16
     assert html.op7_html(spark.createDataFrame([], SCHEMA)).count() == 0
     page = '<div class="menu"><a href=x>m</a></div><main><header>H</header><h2>T &amp; x</h2>a<br>b<p>one <i>two</i>  three<div class="comments"><article>no</article></div></main><aside>s</aside>'
-    assert html.main_text(page) == "T & x\na b\none two three"
-    assert html.main_text("<p>kept</p><script>var a='</p>';</script><form><p>no</p></form><p>end <b") == "kept\nend"
+    assert html.main_text(page)[0] == "T & x\na b\none two three"
+    assert html.main_text("<p>kept</p><script>var a='</p>';</script><form><p>no</p></form><p>end <b")[0] == "kept\nend"
+    assert html.main_text("a < b <3 c<p>x</p></p></i><!-- no --><!x><br/>y")[0] == "a < b <3 c\nx\ny"
+    assert html.main_text('<p title="a > b">one</p><p title="never closed>two</p>three')[0] == "one\ntwo\nthree"
 
 
 def test_template_text_is_dropped(spark):
@@ -78,10 +81,108 @@ def test_copies_and_small_hosts(spark):
     for r in html.op7_html(spark.createDataFrame(copies, schema)).collect():
         assert r["text"].count("alpha") == 4 and "of 7" in r["text"]
     for repeated in (small + small, small + small[:5]):
-        tokens = lambda rows: {tuple(r) for r in html.occurrence(spark.createDataFrame(rows, schema)).collect()}
+        tokens = lambda rows: {(*r[:5], tuple(r["chain"] or ()), *r[6:]) for r in html.occurrence(spark.createDataFrame(rows, schema)).collect()}
         assert tokens(repeated) == tokens(small)
 
 
+PAGES = "page_id long, url string, html string, host string, text int"
+
+
+def words(rng, n):
+    return " ".join(f"{rng.choice('bcdfgh')}{rng.randrange(10**5)}" for _ in range(n))
+
+
+def test_template_decides_on_marked_pages(spark):
+    rng = random.Random(4)
+    articles = [f"<h1>{words(rng, 3)}</h1><p>{words(rng, 60)}</p><p>{words(rng, 30)}</p>" for _ in range(12)]
+    page = lambda a: f"<html><body><div class=top><p>{'some old words ' * 40}</p></div><article>{a}<p>Share this story</p></article><div>end</div></body></html>"
+    rows = [(i, f"http://one.example/{i}", page(a), "clash", 0) for i, a in enumerate(articles)]
+    copies = [(100 + i, f"http://two.example/{i}", page(articles[0]).replace("end", f"end {i}"), "clash", 0) for i in range(12)]
+    got = {r["page_id"]: r for r in html.op7_html(spark.createDataFrame(rows + copies + [rows[0]], PAGES)).collect()}
+    for i, a in enumerate(articles):
+        plain = [x.partition("<")[0] for x in a.split(">")]
+        assert got[i]["text"] == "\n".join(x for x in plain if x) and got[i]["decided"] == "host"
+        assert "Share" in html.main_text(rows[i][2])[0]  # without the template it stays
+    # Copies of one article do not make its text a template.
+    assert all(got[100 + i]["text"].endswith("Share this story") and got[100 + i]["text"].count("\n") == 3 for i in range(12))
+
+
+def test_template_finds_the_box_without_marks(spark):
+    rng = random.Random(5)
+    legal, rows, want = words(rng, 300), [], {}
+    for i in range(10):
+        title, body = words(rng, 4), [words(rng, rng.randint(5, 80)) for _ in range(rng.randint(2, 5))]
+        links = "".join(f"<li><a href=/{k}>{words(rng, 5)}</a></li>" for k in range(40))
+        html_i = f"<html><body><div id=x{i}><ul>{links}</ul></div><div class=m><h2>{title}</h2>{''.join(f'<p>{b}</p>' for b in body)}</div><div class=z><p>{legal}</p><p>{words(rng, 3)}</p></div></body></html>"
+        rows.append((i, "http://plain.example/", html_i, None, None))
+        want[i] = "\n".join([title, *body])
+    lone = (50, "http://lone.example/", rows[0][2].replace(want[0].split("\n")[1], "another text of its own " * 5), None, None)
+    got = {r["page_id"]: r for r in html.op7_html(spark.createDataFrame([*rows, lone], PAGES)).collect()}
+    assert {i: got[i]["text"] for i in want} == want and {got[i]["decided"] for i in want} == {"host"}
+    assert got[50]["decided"] == "all" and "another text" in got[50]["text"] and legal not in got[50]["text"]
+
+
+def brute_template(pages):
+    """Template tokens of each host by whole occurrence vectors."""
+    hosts, first = defaultdict(dict), {}
+    for _, url, h, *_ in pages:
+        first[h] = min(first.get(h, "~"), url.split("/")[2])
+    for h, host in first.items():
+        hosts[host][h] = html.page_tokens(h)
+    merged = defaultdict(dict)
+    for host, own in hosts.items():
+        for at in (host, "*"):
+            merged[at].update(own)
+    found = set()
+    for host, own in merged.items():
+        vectors, places = defaultdict(dict), defaultdict(list)
+        for h, tokens in own.items():
+            for t, x in tokens.items():
+                vectors[t][h] = x[4]
+                places[t].append(x[6])
+        classes = defaultdict(list)
+        for t, v in vectors.items():
+            classes[frozenset(v.items())].append(t)
+        kind = {t: x[0] for tokens in own.values() for t, x in tokens.items()}
+        at = {t: sum(x) / len(x) for t, x in places.items()}
+        valid = [(c, min(map(at.get, c)), max(map(at.get, c)), len(v)) for v, c in classes.items() if len(c) >= 3 and len(v) >= 3 and any(kind[t] == html.TAG for t in c)]
+        if valid:
+            _, _, lo, hi = max((n, b - a, a, b) for c, a, b, n in valid)
+            found |= {(host, t) for c, a, b, n in valid if a >= lo and b <= hi and 2 * n >= len(own) for t in c}
+    return found
+
+
+def test_classes_equal_whole_vectors(spark):
+    given = spark.read.parquet(f"{SF}/pages.parquet").limit(80).collect()
+    rng = random.Random(6)
+    rows = [(r["page_id"], f"http://h{rng.randrange(7)}.example/x", r["html"], None, None) for r in given]
+    rows += [(900 + i, f"http://h{i % 3}.example/y", f"<div><p>{'a b c'[: i % 5]}</p><p>same</p></div>" * (1 + i % 2), None, None) for i in range(12)] + rows[:9]
+    got = {(r["host"], r["token"]) for r in html.template_tokens(html.occurrence(spark.createDataFrame(rows, PAGES))).collect()}
+    assert got == brute_template(rows) and len(got) > 100
+
+
+def test_template_needs_no_names(spark):
+    import re
+
+    given = [(r["page_id"], r["url"], r["html"], None, None) for r in spark.read.parquet(f"{SF}/pages.parquet").collect()]
+    bare = lambda h: re.sub(r"<(/?)(?:article|main|nav|footer|header|aside|form)\b", r"<\1div", h).replace(' class="ad"', "")
+    want = {r["page_id"]: r["text"] for r in html.op7_html(spark.createDataFrame(given, PAGES)).collect()}
+    got = html.op7_html(spark.createDataFrame([(p, u, bare(h), *x) for p, u, h, *x in given], PAGES)).collect()
+    assert {r["page_id"]: r["text"] for r in got} == want and all(r["decided"] != "page" for r in got)
+    assert sum(html.main_text(bare(h))[0] != want[p] for p, _, h, *_ in given) > 0.9 * len(given)
+
+
+def test_broken_pages_take_linear_time():
+    import time
+
+    for unit in ("<a ", "<a \"", "</script", "<script></script", "<div class=x>", "<b><p>", "<li>", "<!--", "<", "<p a='\">", "&"):
+        page = unit * (300_000 // len(unit))
+        began = time.perf_counter()
+        html.main_text(page)
+        html.page_tokens(page)
+        assert time.perf_counter() - began < 6, unit
+
+
 def test_top_k(spark):
     rng = np.random.default_rng(2)
     rows = [(i, [float(x) for x in rng.normal(0, 1 + i % 3, 6)]) for i in range(300)]
