@@ -1,22 +1,27 @@
 """Near-duplicate classes by dart-throwing weighted MinHash.
 
-A text is a weighted set: its five-word shingles (weight 1 each, or their counts). Every element owns a
+A text is a weighted set: its five-word shingles, weighted by how often they occur. Every element owns a
 region that is as wide as its weight; hashed darts hit the plane of (width, time) at rate one, always at
 the same points for the same element. Each dart carries a coordinate. The earliest dart of every
 coordinate, over all elements of the set, is the signature; two sets agree in a coordinate with the
 probability of their weighted Jaccard similarity. Darts are thrown in time order, so only the first few
 regions of a long text are touched more than once: about K (ln K + 2) darts a text, however long.
 
-Texts that are equal are one node. Nodes that agree in all rows of a band share a bucket. A bucket's
-hub is the member that shares most buckets with others; each node is compared, exactly, on its shingles,
-with two of its buckets' hubs. Links of similarity 0.8 or more join nodes into classes. Buckets whose
-members are then still in several classes compare every pair of members from different classes: small
-ones by a join, large ones exactly, a block of members against a block, which emits links only. Within a
-class no further link is needed.
-
-Defined results: a null text, or one without words, is its own class (rows of equal empty text are one);
-a text of fewer than five words is one shingle; repeated rows fall into one class; an empty table gives
-an empty result; other columns are ignored. Class id: the smallest doc_id.
+Texts that are equal are one node. Nodes that agree in all rows of a band share a bucket. One rule makes a link,
+whatever the bucket: signatures that agree in WORTH_CHECKING of their coordinates (six standard errors below the
+threshold) and, exactly, a weighted similarity of 0.8 or more. A bucket's hub is the member that shares most
+buckets with others; each node is compared with two of its buckets' hubs, and links join nodes into classes.
+Buckets whose members are then still in several classes compare every pair of members from different classes:
+small ones by a join, large ones a block of members against a block, which emits links only. Within a class no
+further link is needed.
+
+Weights are whole numbers, so the weighted similarity is the plain one of cells: the k-th occurrence of an element
+is a cell of its own.
+
+Defined results: a null text, or one without words, is a class of its own, whatever its id; a text of fewer than
+five words is one shingle; repeated rows fall into one class, rows that repeat an id with different texts into those
+of their texts; an empty table gives an empty result; other columns are ignored. Class id: the smallest doc_id of
+the class, null if none has one.
 """
 
 from __future__ import annotations
@@ -25,7 +30,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -36,11 +41,17 @@ BANDS, ROWS = 32, 5
 THRESHOLD = 0.8
 #: Signatures of 160 rows estimate 0.8 with a standard error of 0.032: below this it is six errors off.
 WORTH_CHECKING = 0.6
+#: Buckets of so many members are compared by a join, larger ones in blocks. The rule for a link is the same.
 PAIRWISE_UP_TO = 24
-BLOCK = 256
+#: Members and cells of a block, about.
+BLOCK, BLOCK_CELLS = 1024, 1 << 20
 MEMORY_WORDS = 400_000
 CHUNK_BITS = 32768
+#: A bitmap of ids has 16 MB at most. From some 8 million ids on it fills up and sorts out less and less; results
+#: are exact all the same, for a join follows, but that join then moves more rows.
 MAX_BITS = 1 << 27
+#: A text or class with more than this share of all rows is hot; there are HOT of them at most.
+HOT = 1024
 _MIX1, _MIX2, _GOLDEN = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -78,13 +89,17 @@ def shingles(text: str | None, known: WordHash, width: int = SHINGLE) -> np.ndar
     return total
 
 
-def weighted(sh: np.ndarray, counts: bool = False) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct elements and weights."""
-    if counts:
-        e, w = np.unique(sh, return_counts=True)
-        return e, w.astype(np.float64)
-    e = np.unique(sh)
-    return e, np.ones(len(e))
+def weighted(sh: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct elements and weights, the numbers of their occurrences."""
+    e, w = np.unique(sh, return_counts=True)
+    return e, w.astype(np.float64)
+
+
+def cells(elements: np.ndarray, weights: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The cells of width one that the elements' regions are cut into, and how much of each lies in its region."""
+    whole = np.ceil(weights).astype(np.int64)
+    nth = np.arange(whole.sum()) - np.repeat(np.cumsum(whole) - whole, whole)
+    return mixed(np.repeat(elements, whole) ^ mixed(nth.astype(np.uint64))), np.minimum(np.repeat(weights, whole) - nth, 1.0)
 
 
 def _uniform(x: np.ndarray) -> np.ndarray:
@@ -94,18 +109,17 @@ def _uniform(x: np.ndarray) -> np.ndarray:
 def dart_signatures(sets: list[tuple[np.ndarray, np.ndarray]], k: int = BANDS * ROWS) -> np.ndarray:
     """(sets x k) uint64: for every coordinate the earliest dart. Empty sets give zeros.
 
-    The region of an element is cut into cells of width one; in each cell darts arrive over time as a
-    Poisson process of rate one, with a uniform place in the cell. A dart past the weight is a miss."""
+    In each cell darts arrive over time as a Poisson process of rate one, with a uniform place in the cell. A
+    dart past the weight is a miss."""
     out = np.zeros((len(sets), k), np.uint64)
     owner, cell, room = [], [], []
     for i, (elements, weights) in enumerate(sets):
-        whole = np.ceil(weights).astype(np.int64)
-        if len(elements) == 0 or whole.sum() == 0:
+        if len(elements) == 0 or not weights.any():
             continue
-        nth = np.arange(whole.sum()) - np.repeat(np.cumsum(whole) - whole, whole)
-        owner.append(np.full(len(nth), i))
-        cell.append(mixed(np.repeat(elements, whole) ^ mixed(nth.astype(np.uint64))))
-        room.append(np.minimum(np.repeat(weights, whole) - nth, 1.0))
+        own, within = cells(elements, weights)
+        owner.append(np.full(len(own), i))
+        cell.append(own)
+        room.append(within)
     if not owner:
         return out
     owner, cell, room = np.concatenate(owner), np.concatenate(cell), np.concatenate(room)
@@ -151,29 +165,37 @@ def band_keys(signatures: np.ndarray, bands: int = BANDS, rows: int = ROWS) -> n
     return key.view(np.int64)
 
 
-def signed(docs: DataFrame, counts: bool = False) -> DataFrame:
-    """doc_id, digest of the text, n (distinct shingles), keys (one per band), sig (16 bits a coordinate)."""
+def digest(text: Column | str = "text") -> Column:
+    """16 bytes that stand for a text."""
+    whole = F.sha2(F.coalesce(F.col(text) if isinstance(text, str) else text, F.lit("")).cast("binary"), 256)
+    return F.unhex(F.substring(whole, 1, 32))
+
+
+def signed(docs: DataFrame) -> DataFrame:
+    """row (a number of its own), doc_id, digest of the text, n (cells), keys (one per band), sig (16 bits a
+    coordinate). To be written before it is read twice: rows are numbered as tasks come by them."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        import hashlib
+        from pyspark import TaskContext
 
-        known = WordHash()
+        known, next_row = WordHash(), TaskContext.get().partitionId() << 40
         for batch in slices(batches):
-            texts = batch["text"].tolist()
-            sets = [weighted(shingles(t, known), counts) for t in texts]
+            sets = [weighted(shingles(t, known)) for t in batch["text"]]
             sig = dart_signatures(sets)
             yield pd.DataFrame(
                 {
+                    "row": np.arange(next_row, next_row + len(batch)),
                     "doc_id": batch["doc_id"],
-                    "digest": [hashlib.blake2b((t or "").encode("utf-8", "surrogatepass"), digest_size=16).digest() for t in texts],
-                    "n": [len(e) for e, _ in sets],
+                    "digest": batch["digest"],
+                    "n": [int(w.sum()) for _, w in sets],
                     "keys": list(band_keys(sig)),
                     "sig": [x.tobytes() for x in (sig >> np.uint64(48)).astype("<u2")],
                 }
             )
+            next_row += len(batch)
 
-    light = docs.select(F.col("doc_id").cast("string").alias("doc_id"), "text")
-    made = light.mapInPandas(run, "doc_id string, digest binary, n long, keys array<long>, sig binary")
+    light = docs.select(F.col("doc_id").cast("long").cast("string").alias("doc_id"), "text", digest().alias("digest"))
+    made = light.mapInPandas(run, "row long, doc_id string, digest binary, n long, keys array<long>, sig binary")
     return made.withColumn("doc_id", F.col("doc_id").cast("long"))
 
 
@@ -186,49 +208,56 @@ def agreement(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series((x == y).mean(axis=1))
 
 
-def likely_among(df: DataFrame, column: str, ids: DataFrame) -> DataFrame:
-    """Rows of df whose column may be among ids (one column), most others gone, without a shuffle of df: a
-    bitmap of hashed ids, 16 bits an id and 16 MB at most, goes to every task. An exact join comes after."""
-    name = ids.columns[0]
-    bits = 1 << 15
-    while bits < MAX_BITS and bits < 16 * ids.count():
+def may_be_among(df: DataFrame, column: str, ids: DataFrame, flag: str = "may_be") -> DataFrame:
+    """df with a flag that is true where the column is among ids (one column), and false for most other rows,
+    without a shuffle of df: a bitmap of hashed ids, 16 bits an id up to MAX_BITS, goes to every task."""
+    name, bits, n = ids.columns[0], 1 << 15, ids.count()
+    while bits < MAX_BITS and bits < 16 * n:
         bits *= 2
     slot = lambda c: F.pmod(F.xxhash64(c), F.lit(bits))
     chunk = F.floor(slot(F.col(name)) / CHUNK_BITS).cast("int")
-    bitmap = ids.groupBy(chunk.alias("chunk")).agg(F.bitmap_construct_agg(slot(F.col(name)) % CHUNK_BITS).alias("bitmap"))
+    bitmap = ids.groupBy(chunk.alias("bit_chunk")).agg(F.bitmap_construct_agg(slot(F.col(name)) % CHUNK_BITS).alias("bit_map"))
     bitmap = cut(bitmap, "dup-bitmap")
     place = (slot(F.col(column)) % CHUNK_BITS).cast("int")
-    byte = F.conv(F.hex(F.substring("bitmap", F.floor(place / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
-    on = F.floor(slot(F.col(column)) / CHUNK_BITS).cast("int") == F.col("chunk")
-    found = df.join(F.broadcast(bitmap), on)  # MAX_BITS / 8 bytes at most
-    return found.where(F.call_function("shiftright", byte, place % 8).bitwiseAND(1) == 1).select(*[F.col(f"`{c}`") for c in df.columns])
+    byte = F.conv(F.hex(F.substring("bit_map", F.floor(place / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    on = F.floor(slot(F.col(column)) / CHUNK_BITS).cast("int") == F.col("bit_chunk")
+    found = df.join(F.broadcast(bitmap), on, "left")  # MAX_BITS / 8 bytes at most
+    hit = F.coalesce(F.call_function("shiftright", byte, place % 8).bitwiseAND(1) == 1, F.lit(False))
+    return found.select(*[F.col(f"`{c}`") for c in df.columns], hit.alias(flag))
 
 
-def shingle_sets(docs: DataFrame) -> DataFrame:
-    """node, set: the distinct shingles of each text as 64-bit numbers."""
+def likely_among(df: DataFrame, column: str, ids: DataFrame) -> DataFrame:
+    """Rows of df whose column may be among ids, most others gone. An exact join comes after."""
+    return may_be_among(df, column, ids).where("may_be").drop("may_be")
+
+
+def shingle_sets(texts: DataFrame) -> DataFrame:
+    """node, set: the cells of each text as 64-bit numbers."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         known = WordHash()
-        for batch in batches:
-            yield pd.DataFrame({"node": batch["node"], "set": [np.unique(shingles(t, known)).view(np.int64) for t in batch["text"]]})
+        for batch in slices(batches):
+            yield pd.DataFrame({"node": batch["node"], "set": [np.sort(cells(*weighted(shingles(t, known)))[0]).view(np.int64) for t in batch["text"]]})
 
-    return docs.mapInPandas(run, "node long, set array<long>")
+    return texts.mapInPandas(run, "node long, set array<long>")
 
 
-def _sets_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
-    """Shingle sets of the wanted nodes (one column)."""
-    texts = likely_among(docs.select(F.col("doc_id").alias("node"), "text"), "node", wanted)
-    return shingle_sets(texts.join(wanted, "node", "left_semi")).dropDuplicates(["node"])
+def _sets_of(docs: DataFrame, nodes: DataFrame, wanted: DataFrame) -> DataFrame:
+    """Cells of the wanted nodes (one column). Of equal texts one is read; partial sums see to that before any of
+    them moves."""
+    of = cut(nodes.select("node", "digest").join(wanted, "node", "left_semi"), "dup-wanted")
+    texts = likely_among(docs.select(digest().alias("digest"), "text"), "digest", of.select("digest"))
+    once = texts.groupBy("digest").agg(F.first("text").alias("text"))
+    return cut(shingle_sets(once.join(of, "digest").select("node", "text")), "dup-shingles")
 
 
 def verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """Of pairs (a, b) those whose shingle sets have at least the similarity. Signatures sort out most of
-    the others before any text is read again."""
+    """Of pairs (a, b) the links. Signatures sort out most of the others before any text is read again."""
     sig_a, sig_b = (nodes.select(F.col("node").alias(x), F.col("sig").alias(f"sig_{x}")) for x in "ab")
     likely = pairs.join(sig_a, "a").join(sig_b, "b").where(agreement("sig_a", "sig_b") >= WORTH_CHECKING).select("a", "b")
     likely = cut(likely, "dup-likely")
     wanted = likely.select(F.col("a").alias("node")).union(likely.select("b")).distinct()
-    sets = cut(_sets_of(docs, cut(wanted, "dup-wanted")), "dup-shingles")
+    sets = _sets_of(docs, nodes, wanted)
     a, b = (sets.select(F.col("node").alias(x), F.col("set").alias(f"set_{x}")) for x in "ab")
     both = F.size(F.array_intersect("set_a", "set_b"))
     either = F.size("set_a") + F.size("set_b") - both
@@ -292,7 +321,16 @@ def similarities(left: list[np.ndarray], right: list[np.ndarray], width: int = 4
     return both / np.maximum(either, 1)
 
 
-def _cross_pairs(members: DataFrame, labels: DataFrame, docs: DataFrame, threshold: float) -> tuple[DataFrame, DataFrame]:
+def agreements(left: list[bytes], right: list[bytes]) -> np.ndarray:
+    """Shares of coordinates in which the signatures on the left agree with those on the right."""
+    x, y = (np.frombuffer(b"".join(s), "<u2").reshape(len(s), -1) for s in (left, right))
+    same = np.zeros((len(x), len(y)), np.int32)
+    for k in range(x.shape[1]):
+        same += x[:, k, None] == y[None, :, k]
+    return same / x.shape[1]
+
+
+def _cross_pairs(members: DataFrame, labels: DataFrame, nodes: DataFrame, docs: DataFrame, threshold: float) -> tuple[DataFrame, DataFrame]:
     """Members of one bucket that are still in different classes: pairs to be checked from small buckets,
     checked links from large ones."""
     labels = labels.select("node", F.col("label"))
@@ -305,19 +343,21 @@ def _cross_pairs(members: DataFrame, labels: DataFrame, docs: DataFrame, thresho
     # Members of a large bucket's largest class have no need to meet each other: the others, in blocks,
     # meet all members, in blocks.
     many = cut(placed.where(F.col("n") > PAIRWISE_UP_TO), "dup-large")
-    per_class = many.groupBy("key", "label").agg(F.count("*").alias("c"))
-    largest = per_class.groupBy("key").agg(F.max(F.struct("c", "label")).alias("top"), F.sum("c").alias("all"))
-    largest = largest.select("key", F.col("top.label").alias("top_label"), (F.col("all") - F.col("top.c")).alias("others"))
+    sets = _sets_of(docs, nodes, many.select("node").distinct())
+    many = many.join(sets, "node").join(nodes.select("node", "sig"), "node").withColumn("cells", F.size("set").cast("long"))
+    many = cut(many, "dup-large")
+    per_class = many.groupBy("key", "label").agg(F.count("*").alias("c"), F.sum("cells").alias("cells"))
+    largest = per_class.groupBy("key").agg(F.max(F.struct("c", "label", "cells")).alias("top"), F.sum("c").alias("c"), F.sum("cells").alias("cells"))
+    blocks = lambda c, x: F.greatest(F.ceil(c / BLOCK), F.ceil(x / BLOCK_CELLS), F.lit(1)).cast("int")
+    largest = largest.select(
+        "key", F.col("top.label").alias("top_label"), blocks(F.col("c"), F.col("cells")).alias("wide"), blocks(F.col("c") - F.col("top.c"), F.col("cells") - F.col("top.cells")).alias("tall")
+    )
     many = many.join(largest, "key")
-    wanted = cut(many.select("node").distinct(), "dup-wanted")
-    sets = cut(_sets_of(docs, wanted), "dup-shingles")
-    many = many.join(sets.select("node", "set"), "node")
-    wide, tall = F.ceil(F.col("n") / BLOCK).cast("int"), F.ceil(F.col("others") / BLOCK).cast("int")
-    own = lambda parts: F.pmod(F.xxhash64("node"), parts).cast("int")
-    every = lambda parts: F.explode(F.sequence(F.lit(0), parts - 1))
-    left = many.where("label <> top_label").withColumn("j", every(wide)).withColumn("i", own(tall)).withColumn("side", F.lit(0))
-    right = many.withColumn("i", every(tall)).withColumn("j", own(wide)).withColumn("side", F.lit(1))
-    shape = ["key", "node", "label", "set", "side", "i", "j"]
+    own = lambda parts: F.pmod(F.xxhash64("node"), F.col(parts)).cast("int")
+    every = lambda parts: F.explode(F.sequence(F.lit(0), F.col(parts) - 1))
+    left = many.where("label <> top_label").withColumn("j", every("wide")).withColumn("i", own("tall")).withColumn("side", F.lit(0))
+    right = many.withColumn("i", every("tall")).withColumn("j", own("wide")).withColumn("side", F.lit(1))
+    shape = ["key", "node", "label", "set", "sig", "side", "i", "j"]
     many = left.select(*shape).union(right.select(*shape))
 
     def compare(rows: pd.DataFrame) -> pd.DataFrame:
@@ -325,6 +365,7 @@ def _cross_pairs(members: DataFrame, labels: DataFrame, docs: DataFrame, thresho
         out = []
         if len(left) and len(right):
             alike = similarities(left["set"].tolist(), right["set"].tolist()) >= threshold - 1e-9
+            alike &= agreements(left["sig"].tolist(), right["sig"].tolist()) >= WORTH_CHECKING
             nl, nr, ll, lr = left["node"].to_numpy(), right["node"].to_numpy(), left["label"].to_numpy(), right["label"].to_numpy()
             for k in np.flatnonzero(alike.any(axis=1)):
                 hit = np.flatnonzero(alike[k] & (lr != ll[k]))
@@ -336,45 +377,83 @@ def _cross_pairs(members: DataFrame, labels: DataFrame, docs: DataFrame, thresho
     return pairs.distinct(), links.distinct()
 
 
-def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, counts: bool = False) -> DataFrame:
-    """doc_id, node (the smallest doc_id with an equal text), class_id, of every row of docs(doc_id, text)."""
-    rows = cut(signed(docs, counts), "dup-signed")
-    texts = rows.where("n > 0").groupBy("digest").agg(F.min("doc_id").alias("node"))
-    ids = rows.where("n > 0").select("doc_id", "digest").join(texts, "digest").select("doc_id", "node")
-    ids = cut(ids, "dup-ids")
-    nodes = rows.join(ids.where("doc_id = node").select("doc_id").distinct(), "doc_id", "left_semi")
-    nodes = cut(nodes.where("n > 0").select(F.col("doc_id").alias("node"), "keys", "sig").dropDuplicates(["node"]), "dup-nodes")
+def _classes(nodes: DataFrame, docs: DataFrame, threshold: float) -> DataFrame:
+    """node, label of all nodes that have a link."""
     spread = nodes.select("node", F.explode("keys").alias("key"))
     shared = spread.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     members = cut(spread.join(shared, "key"), "dup-members")
     first = cut(_star_pairs(members), "dup-pairs")
-    shared = members.select("node").distinct()
-    nodes = cut(likely_among(nodes.select("node", "sig"), "node", shared), "dup-sigs")  # a few more than have company
+    with_company = cut(members.select("node").distinct(), "dup-company")
+    nodes = cut(likely_among(nodes.select("node", "digest", "sig"), "node", with_company), "dup-sigs")  # a few more than have company
     links = cut(verified(first, nodes, docs, threshold), "dup-links")
     labels = cut(components(links), "dup-labels")
-    pairs, more = _cross_pairs(members, labels, docs, threshold)
+    pairs, more = _cross_pairs(members, labels, nodes, docs, threshold)
     second = cut(pairs.join(first, ["a", "b"], "left_anti"), "dup-pairs")
     more = cut(verified(second, nodes, docs, threshold).union(more), "dup-links")
-    if not more.isEmpty():
-        links = labels.select(F.col("node").alias("a"), F.col("label").alias("b")).where("a <> b").union(more)
-        labels = cut(components(links), "dup-labels")
-    of_text = ids.join(labels, "node", "left").select("doc_id", "node", F.coalesce("label", "node").alias("class_id"))
-    empty = rows.where("n = 0").select("doc_id", F.col("doc_id").alias("node"), F.col("doc_id").alias("class_id"))
+    if more.isEmpty():
+        return labels
+    links = labels.select(F.col("node").alias("a"), F.col("label").alias("b")).where("a <> b").union(more)
+    return cut(components(links), "dup-labels")
+
+
+def grouped(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """row, doc_id, digest, node, label (a node's number for each class), first (smallest doc_id of the class), alone (no other row is
+    in the class) of every row with words; of the others row, doc_id, digest."""
+    rows = cut(signed(docs), "dup-signed")
+    full, least = rows.where("n > 0"), rows.count() / HOT
+    copied = full.groupBy("digest").agg(F.count("*").alias("copies"), F.min("row").alias("node"), F.min("doc_id").alias("first")).where("copies > 1")
+    copied = cut(copied.withColumn("hot", F.col("copies") > least), "dup-copied")
+    # Hot texts, HOT at most, go to every task, and their rows meet nothing in the join of the others.
+    hot = copied.where("hot").select(F.col("digest").alias("h_digest"), F.col("node").alias("h_node"), F.col("first").alias("h_first"))
+    cold = copied.where("not hot").select(F.col("digest").alias("c_digest"), F.col("node").alias("c_node"), F.col("first").alias("c_first"))
+    ids = full.select("row", "doc_id", "digest").join(F.broadcast(hot), F.col("digest") == F.col("h_digest"), "left")
+    nowhere = F.col("row").cast("string").cast("binary")
+    ids = ids.join(cold, F.when(F.col("h_node").isNull(), F.col("digest")).otherwise(nowhere) == F.col("c_digest"), "left")
+    node, first = F.coalesce("h_node", "c_node", "row"), F.when(F.col("h_node").isNotNull(), F.col("h_first")).when(F.col("c_node").isNotNull(), F.col("c_first")).otherwise(F.col("doc_id"))
+    copy = F.col("h_node").isNotNull() | F.col("c_node").isNotNull()
+    ids = cut(ids.select("row", "doc_id", "digest", node.alias("node"), first.alias("first"), copy.alias("copy"), F.col("h_node").isNotNull().alias("hot")), "dup-ids")
+    nodes = full.join(ids.where("row <> node").select("row"), "row", "left_anti")
+    nodes = cut(nodes.select(F.col("row").alias("node"), "digest", "keys", "sig"), "dup-nodes")
+    labels = _classes(nodes, docs, threshold)
+    per_node = labels.join(ids.where("row = node").select("node", "first", "hot"), "node")
+    of_class = per_node.groupBy("label").agg(F.min("first").alias("class_first"))
+    per_node = cut(per_node.join(of_class, "label").select(F.col("node").alias("l_node"), "label", "class_first", "hot"), "dup-classes")
+    hot = per_node.where("hot").select(F.col("l_node").alias("h_node"), F.col("label").alias("h_label"), F.col("class_first").alias("h_first"))
+    cold = per_node.where("not hot").drop("hot")
+    ids = ids.join(F.broadcast(hot), F.col("node") == F.col("h_node"), "left")
+    ids = ids.join(cold, F.when(F.col("hot"), -1 - F.col("row")).otherwise(F.col("node")) == F.col("l_node"), "left")
+    linked = F.col("h_node").isNotNull() | F.col("l_node").isNotNull()
+    class_first = F.when(F.col("h_node").isNotNull(), F.col("h_first")).when(F.col("l_node").isNotNull(), F.col("class_first")).otherwise(F.col("first"))
+    of_text = ids.select("row", "doc_id", "digest", "node", F.coalesce("h_label", "label", "node").alias("label"), class_first.alias("first"), (~linked & ~F.col("copy")).alias("alone"))
+    empty = rows.where("n = 0").select("row", "doc_id", "digest", F.col("row").alias("node"), F.col("row").alias("label"), F.col("doc_id").alias("first"), F.lit(True).alias("alone"))
     return of_text.union(empty)
 
 
+def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """doc_id, node (a number of its own for each text with words), class_id, of every row of docs(doc_id, text)."""
+    return grouped(docs, threshold).select("doc_id", "node", F.col("first").alias("class_id"))
+
+
 def op6_near_duplicates(docs: DataFrame) -> DataFrame:
     return near_duplicates(docs)
 
 
 def deduplicated(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """docs with the smallest doc_id of each class only, once; rows without a doc_id stay."""
-    classes = near_duplicates(docs, threshold).where(F.col("doc_id").isNotNull())
-    per_id = cut(classes.groupBy("doc_id").agg(F.count("*").alias("copies"), F.min("class_id").alias("class_id")), "dup-ids")
-    gone = per_id.where("doc_id <> class_id").select(F.col("doc_id").alias("gone_id"))
-    kept = docs.join(cut(gone, "dup-gone"), F.col("doc_id") == F.col("gone_id"), "left_anti")
-    often = cut(per_id.where("doc_id = class_id and copies > 1").select(F.col("doc_id").alias("often_id")), "dup-often")
-    if often.isEmpty():
-        return kept
-    on = F.col("doc_id") == F.col("often_id")
-    return kept.join(often, on, "left_anti").unionByName(kept.join(often, on, "left_semi").dropDuplicates(["doc_id"]))
+    """docs with one row of each class: that of the smallest doc_id (a null one comes last), of the smallest digest
+    if that id stands for several texts. Rows without words stay."""
+    rows = cut(grouped(docs, threshold).where("not alone"), "dup-classes")
+    order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "digest")
+    stays = rows.groupBy("label").agg(F.min(order).alias("o")).select(F.col("o.doc_id").alias("doc_id"), F.col("o.digest").alias("digest"))
+    every = rows.groupBy("doc_id", "digest").agg(F.count("*").alias("copies"))
+    name = F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("~")).cast("binary"), "digest")
+    stays = stays.select(name.alias("stays_name"))
+    fate = cut(every.withColumn("name", name).join(stays, F.col("name") == F.col("stays_name"), "left").where("stays_name is null or copies > 1"), "dup-fate")
+    fate = fate.select(F.col("name").alias("fate_name"), F.col("stays_name").isNotNull().alias("fate_stays"))
+    own = F.concat(F.coalesce(F.col("doc_id").cast("long").cast("string"), F.lit("~")).cast("binary"), digest())
+    marked = may_be_among(docs.withColumn("fate_own", own), "fate_own", fate.select("fate_name"), "fate_may")
+    free = marked.where("not fate_may").drop("fate_may", "fate_own")
+    met = marked.where("fate_may").join(fate, F.col("fate_own") == F.col("fate_name"), "left")
+    rest = met.where("fate_name is null").drop("fate_may", "fate_own", "fate_name", "fate_stays")
+    # Several equal rows stay once; which of them does not matter to the text, and partial sums keep them apart.
+    often = met.where("fate_stays").dropDuplicates(["fate_own"]).drop("fate_may", "fate_own", "fate_name", "fate_stays")
+    return free.unionByName(rest).unionByName(often)

@@ -309,9 +309,14 @@ def test_sketch_quantiles_are_within_their_error(spark):
 
 
 def shingle_set(text):
-    w = (text or "").encode().split()
-    n = min(5, len(w))
-    return frozenset(tuple(w[i : i + n]) for i in range(len(w) - n + 1)) if w else frozenset()
+    """Shingles, each with the number of its occurrences so far: sets of these are as alike as the weighted sets."""
+    w, seen = (text or "").encode().split(), Counter()
+    n, out = min(5, len(w)), set()
+    for i in range(len(w) - n + 1 if w else 0):
+        s = tuple(w[i : i + n])
+        out.add((s, seen[s]))
+        seen[s] += 1
+    return frozenset(out)
 
 
 def brute_classes(texts, threshold=0.8):
@@ -364,14 +369,48 @@ def test_darts_estimate_weighted_similarity():
     assert abs(np.mean(agree) - np.mean(true)) < 0.02
 
 
-def test_large_buckets_meet_in_blocks(spark):
+def test_repeated_ids_and_hot_texts(spark):
+    rng = random.Random(12)
+    text = lambda k: " ".join(f"t{k}_{rng.randrange(9)}_{i}" for i in range(40))
+    a, b, c = text(0), text(1), text(2)
+    rows = [(1, a), (1, b), (2, b), (3, b), (2, c), (None, c), (None, None), (None, ""), (9, None), (9, None), (5, "x y"), (None, "x y"), (None, "q r s"), (None, "q r s")]
+    rows += [(100 + i, a) for i in range(300)] + [(1, a)] * 20 + [(4, c + " more")]
+    frame = spark.createDataFrame(rows, "doc_id long, text string").repartition(7)
+    got = Counter((r["doc_id"], r["class_id"]) for r in minhash.near_duplicates(frame).collect())
+    want = Counter({(1, 1): 22, (2, 1): 1, (3, 1): 1, (2, 2): 1, (None, 2): 1, (4, 2): 1, (None, None): 4, (9, 9): 2, (5, 5): 1, (None, 5): 1})
+    want.update({(100 + i, 1): 1 for i in range(300)})
+    assert got == want
+    kept = Counter(tuple(r) for r in minhash.deduplicated(frame).collect())
+    assert kept == Counter([(1, a), (1, b), (2, c), (None, None), (None, ""), (9, None), (9, None), (5, "x y"), (None, "q r s")])
+
+
+def test_weights_decide(spark):
+    base = [f"w{i}" for i in range(40)]
+    lines = [" ".join(base), " ".join(base + base[:20]), " ".join(base * 3), " ".join(base[:39] + ["other"])]
+    got = {r["doc_id"]: r["class_id"] for r in minhash.near_duplicates(spark.createDataFrame(list(enumerate(lines)), "doc_id long, text string")).collect()}
+    assert got == brute_classes(dict(enumerate(lines))) == {0: 0, 1: 1, 2: 2, 3: 0}
+
+
+def test_no_link_is_lost_on_given_documents(spark):
+    frame = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    texts = {r["doc_id"]: r["text"] for r in frame.collect()}
+    got = {r["doc_id"]: r["class_id"] for r in minhash.near_duplicates(frame).collect()}
+    assert got == brute_classes(texts) and sum(k != v for k, v in got.items()) > 20
+
+
+def test_large_buckets_meet_in_blocks(spark, monkeypatch):
+    monkeypatch.setattr(minhash, "BLOCK", 256)
     base = [f"w{i}" for i in range(100)]
     texts = [(i, " ".join(base[:90] + [f"x{i}"])) for i in range(600)] + [(600, " ".join(base[:90])), (601, " ".join(base[40:]))]
     docs = spark.createDataFrame(texts, "doc_id long, text string")
+    nodes = minhash.cut(minhash.signed(docs).withColumn("node", minhash.F.col("doc_id")), "test")
     members = spark.createDataFrame([(7, i, 602) for i in range(602)], "key long, node long, n long")
     labels = spark.createDataFrame([(i, 0) for i in range(600)], "node long, label long")
-    pairs, links = minhash._cross_pairs(members, labels, docs, 0.8)
+    pairs, links = minhash._cross_pairs(members, labels, nodes, docs, 0.8)
     assert pairs.count() == 0 and {(r["b"], r["a"] < 600) for r in links.collect()} == {(600, True)}
+    sig = [bytes(r["sig"]) for r in nodes.where("node < 8").orderBy("node").collect()]
+    one = minhash.agreements(sig, sig[:3])
+    assert one.shape == (8, 3) and one[0, 0] == 1 and one[3, 1] == sum(sig[3][i : i + 2] == sig[1][i : i + 2] for i in range(0, 320, 2)) / 160
     sets = [np.unique(minhash.shingles(t, minhash.WordHash())) for _, t in texts[595:]]
     want = [[len(set(x) & set(y)) / len(set(x) | set(y)) for y in sets] for x in sets]
     assert np.allclose(minhash.similarities(sets, sets, 7), want, atol=1e-6)
