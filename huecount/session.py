@@ -31,9 +31,36 @@ def shared_dir(spark: SparkSession) -> str:
     raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
 
 
-def cut(df: DataFrame, name: str = "table", partition_by: tuple[str, ...] = ()) -> DataFrame:
-    """Write df to the shared folder and read it again, so that a lost executor costs no recomputation of
-    what came before. partition_by: hash-partition rows for the join that reads them next."""
-    spark, path = df.sparkSession, f"{shared_dir(df.sparkSession)}/huecount-{name}-{uuid.uuid4().hex}"
-    (df.repartition(*partition_by) if partition_by else df).write.parquet(path)
+#: Folders that this process has made, in order, for release() to remove.
+_MADE: list[str] = []
+
+
+def fresh_dir(spark: SparkSession, name: str) -> str:
+    """A new name in the shared folder. Whoever reads what is written there last may release it."""
+    path = f"{shared_dir(spark)}/huecount-{name}-{uuid.uuid4().hex}"
+    _MADE.append(path)
+    return path
+
+
+def cut(df: DataFrame, name: str = "table", partition_by: tuple[str, ...] = (), compression: str = "snappy") -> DataFrame:
+    """Write df to the shared folder and read it again: later stages neither recompute it nor depend on the
+    executors that made it. partition_by: hash-partition rows for the join that reads them next."""
+    spark, path = df.sparkSession, fresh_dir(df.sparkSession, name)
+    (df.repartition(*partition_by) if partition_by else df).write.option("compression", compression).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def made() -> int:
+    """How many folders have been made so far: a mark for release()."""
+    return len(_MADE)
+
+
+def release(spark: SparkSession, since: int = 0, keep: tuple[str, ...] = ()) -> int:
+    """Remove the folders made since a mark, but for some; return their number. For results that are read no
+    more: a table that still depends on them can be read no longer."""
+    gone = [p for p in _MADE[since:] if p not in keep]
+    _MADE[since:] = [p for p in _MADE[since:] if p in keep]
+    for p in gone:
+        path = spark._jvm.org.apache.hadoop.fs.Path(p)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    return len(gone)
