@@ -7,6 +7,9 @@ source is above its cap. Sorting sources by cap/weight turns that loop into one
 before k clamped, the level is (total - clamped caps) / (weights from k on), and the first source whose
 share at that level fits under its cap ends the clamping.
 
+The orderings over sources run in one task, which holds a row a source: sources may be many, but not as many as
+documents.
+
 A source then repeats each document floor(target / source words) times, and a seeded prefix of its
 documents once more. The prefix follows the md5 of seed and doc_id, and ends at the document where the
 words reach the rest of the target. Finding that document takes sums over 4096 ranges of the order and a
@@ -95,7 +98,8 @@ def source_plan(sized: DataFrame, weight_cycle=WEIGHT_CYCLE, max_epochs: int = M
         .agg(F.max("mix_order").alias("last"))
     )
     ends = ends.withColumnRenamed("m_source", "e_source").select("e_source", "end_range")
-    upto = F.coalesce("last", "end_range", F.lit(""))
+    # Without a rest nothing is taken once more, not even a text without words: no document passes max_epochs.
+    upto = F.when(F.col("rest") > 0, F.coalesce("last", "end_range", F.lit(""))).otherwise("")
     full = targets.join(ends, F.col("m_source").eqNullSafe(F.col("e_source")), "left").join(last, F.col("m_source").eqNullSafe(F.col("l_source")), "left")
     return cut(full.select("m_source", "source_size", "target", "whole", upto.alias("upto")), "mix-plan")
 
@@ -141,7 +145,7 @@ lvl AS (SELECT total - caps_before AS rest, weights_left, place AS first FROM r
 t AS (SELECT source, source_size, CASE WHEN place < first THEN cap::DOUBLE ELSE (lvl.rest * weight)::DOUBLE / lvl.weights_left END AS target FROM r, lvl),
 f AS (SELECT *, CASE WHEN source_size > 0 THEN floor(target / source_size)::BIGINT ELSE 0 END AS whole FROM t),
 p AS (SELECT s.doc_id, s.source, s.size, f.source_size, f.target, f.whole,
-        sum(s.size) OVER (PARTITION BY s.source ORDER BY s.o) - sum(s.size) OVER (PARTITION BY s.source, s.o) / 2 <= f.target - f.whole * f.source_size AS more
+        sum(s.size) OVER (PARTITION BY s.source ORDER BY s.o) - sum(s.size) OVER (PARTITION BY s.source, s.o) / 2 <= f.target - f.whole * f.source_size AND f.target - f.whole * f.source_size > 0 AS more
       FROM sized s JOIN f ON s.source IS NOT DISTINCT FROM f.source)
 SELECT doc_id, size, source_size, target, ((whole + more::BIGINT) * size)::BIGINT AS taken, source, (whole + more::BIGINT)::BIGINT AS reps FROM p
 """
