@@ -7,13 +7,15 @@ an index entry (archive, offset) opens it directly. Names carry the task's attem
 leaves behind is never read.
 
 Reading: a task reads one archive after another and checks every digest. An archive's index entries,
-sorted by URL key and time, are a run. Runs are dealt by ranges of (URL key, time, page_id), so one URL
-with very many captures spreads, and each range merges its runs with a loser tree: one comparison a level
-for each entry, however many runs there are.
+sorted by URL key, time and page_id, are a run, written as a file of small record batches that can be entered
+anywhere. The merge is external: a loser tree over k runs holds one batch of each, whatever their lengths, and costs one
+comparison a level for each entry. As long as there are more than FAN_IN runs, groups of FAN_IN are merged into
+longer ones; the rest is merged range by range of the keys, so that one URL with very many captures spreads. A range's
+task finds its place in every run by bisection.
 
 Defined results: a null html is an empty payload; a null url has the key ''; rows that repeat the smallest
-page_id of their payload are responses each; a null page_id is never the smallest, and its row has none in
-the archive either; captures at the same time order by page_id; an empty table gives an empty result; extra columns
+page_id of their payload are responses each; a null page_id is never the smallest, its row has none in
+the archive either, and its record is named after its place; captures at the same time order by page_id; an empty table gives an empty result; extra columns
 are ignored. A page without a capture time gets one from its page_id, a second apart.
 """
 
@@ -22,29 +24,35 @@ from __future__ import annotations
 import hashlib
 import uuid
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from datetime import UTC, datetime, timedelta
+from itertools import islice
 from urllib.parse import urlsplit
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from huecount.llm.common import cut, fresh_dir, slices
 
 SMALLEST = 100
 ROLL = 32 << 20
+#: Runs that one task merges, entries of a batch, and entries of a range, about.
+FAN_IN, BATCH, RANGE = 1024, 256, 16_384
+#: Keys that the driver looks at to cut ranges, at most about.
+KEY_SAMPLE = 20_000
 EPOCH = datetime(2024, 1, 1, tzinfo=UTC)
 SPACE = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8")
 RECORD = "page_id string, url string, url_key string, captured_at string, payload_bytes long, payload_digest string, record_type string, refers_to string, archive string, offset long, length long"
 
 
 class LoserTree:
-    """Merges sorted iterables. Inner nodes remember the loser of their match; taking the winner replays
-    only its path to the root. Ties go to the earlier iterable."""
+    """Merges iterables that are sorted by key. Inner nodes remember the loser of their match; taking the winner
+    replays only its path to the root. Ties go to the earlier iterable."""
 
-    def __init__(self, runs: list[Iterator]):
-        self.runs = runs
+    def __init__(self, runs: list[Iterator], key: Callable = lambda x: x):
+        self.runs, self.key = runs, key
         self.heads = [self._next(i) for i in range(len(runs))]
         self.size = 1 << max(0, (len(runs) - 1).bit_length())
         self.losers = [-1] * self.size
@@ -68,6 +76,7 @@ class LoserTree:
         x, y = (self.heads[k] if k >= 0 else None for k in (a, b))
         if x is None or y is None:
             return y is None and (x is not None or a >= 0 > b or a < b)
+        x, y = self.key(x), self.key(y)
         return x < y or (x == y and a < b)
 
     def __iter__(self):
@@ -100,19 +109,19 @@ def stamp(page_id: int | None) -> str:
     return (EPOCH + timedelta(seconds=(page_id or 0) % (1 << 31))).strftime("%Y-%m-%dT%H:%M:%SZ")
 
 
-def record_bytes(page_id: str | None, url: str, at: str, payload: bytes, digest: str, refers_to: str | None) -> bytes:
+def record_bytes(name: str, page_id: str | None, url: str, at: str, payload: bytes, digest: str, refers_to: str | None) -> bytes:
     """One record, uncompressed."""
     http = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: %d\r\n\r\n" % len(payload)
     block = http if refers_to is not None else http + payload
-    named = lambda p: f"<urn:uuid:{uuid.uuid5(SPACE, f'page:{p}')}>"
+    named = lambda x: f"<urn:uuid:{uuid.uuid5(SPACE, x)}>"
     head = [
-        "WARC/1.1", f"WARC-Type: {'revisit' if refers_to is not None else 'response'}", f"WARC-Record-ID: {named(page_id)}", f"WARC-Date: {at}",
+        "WARC/1.1", f"WARC-Type: {'revisit' if refers_to is not None else 'response'}", f"WARC-Record-ID: {named(name)}", f"WARC-Date: {at}",
         f"WARC-Target-URI: {url}", "Content-Type: application/http; msgtype=response", f"WARC-Payload-Digest: sha256:{digest}", f"Content-Length: {len(block)}",
     ]
     if page_id is not None:
         head.append(f"Page-Id: {page_id}")
     if refers_to is not None:
-        head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {named(refers_to)}", f"Refers-To-Page: {refers_to}"]
+        head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {named(f'page:{refers_to}')}", f"Refers-To-Page: {refers_to}"]
     return "\r\n".join(head).encode("utf-8", "surrogatepass") + b"\r\n\r\n" + block + b"\r\n\r\n"
 
 
@@ -181,7 +190,8 @@ def write_archives(records: DataFrame, folder: str, roll: int = ROLL) -> DataFra
             for page, url, payload, digest, refers in batch.itertuples(index=False):
                 # A header is one line; what would break it is kept percent-encoded.
                 shown = (url or "").replace("\r", "%0D").replace("\n", "%0A")
-                raw = record_bytes(page, shown, stamp(None if page is None else int(page)), payload, digest, refers)
+                name = f"page:{page}" if page is not None else f"place:{task.partitionId()}/{task.taskAttemptId()}/{serial}/{len(parts)}"
+                raw = record_bytes(name, page, shown, stamp(None if page is None else int(page)), payload, digest, refers)
                 z = zlib.compressobj(6, zlib.DEFLATED, 31)
                 parts.append(z.compress(raw) + z.flush())
                 size += len(parts[-1])
@@ -194,11 +204,71 @@ def write_archives(records: DataFrame, folder: str, roll: int = ROLL) -> DataFra
     return records.mapInPandas(run, "archive string, records long")
 
 
-def read_archives(names: DataFrame, folder: str) -> DataFrame:
-    """Every record of the named archives, run by run, each run sorted by URL key, time and page."""
+COLUMNS = [c.split()[0] for c in RECORD.split(", ")]
+KEY = [COLUMNS.index(c) for c in ("url_key", "captured_at", "page_id")]
+RUN = "run string, entries long"
+
+
+def key_of(row: tuple) -> tuple[str, str, int]:
+    return row[KEY[0]], row[KEY[1]], int(row[KEY[2]] or -1)
+
+
+def write_run(system, path: str, rows: Iterator[tuple]) -> int:
+    """Write sorted rows as a file of record batches; return their number. One batch is held at a time."""
+    import pyarrow as pa
+
+    kinds = {"string": pa.string(), "long": pa.int64()}
+    schema, n = pa.schema([(c.split()[0], kinds[c.split()[1]]) for c in RECORD.split(", ")]), 0
+    with system.open_output_stream(path) as out, pa.ipc.new_file(out, schema) as file:
+        while part := list(islice(rows, BATCH)):
+            file.write_batch(pa.RecordBatch.from_arrays([pa.array(c, f.type) for c, f in zip(zip(*part, strict=True), schema, strict=True)], schema=schema))
+            n += len(part)
+    return n
+
+
+class Run:
+    """A run file, entered at any key."""
+
+    def __init__(self, system, path: str):
+        import pyarrow as pa
+
+        self.file = pa.ipc.open_file(system.open_input_file(path))
+
+    def rows(self, batch: int) -> list[tuple]:
+        return list(zip(*(c.to_pylist() for c in self.file.get_batch(batch).columns), strict=True))
+
+    def fences(self) -> Iterator[tuple[str, str, int]]:
+        """The first key of every batch."""
+        for i in range(self.file.num_record_batches):
+            yield key_of(next(zip(*(c.slice(0, 1).to_pylist() for c in self.file.get_batch(i).columns), strict=True)))
+
+    def within(self, low: tuple | None = None, high: tuple | None = None) -> Iterator[tuple]:
+        """Rows of keys from low up to but not high."""
+        a, b = 0, self.file.num_record_batches
+        while low is not None and b - a > 1:  # the first key of batch a is below low, or a is 0
+            middle = (a + b) // 2
+            if key_of(self.rows(middle)[0]) < low:
+                a = middle
+            else:
+                b = middle
+        for i in range(a, self.file.num_record_batches):
+            for row in self.rows(i):
+                key = key_of(row)
+                if high is not None and key >= high:
+                    return
+                if low is None or key >= low:
+                    yield row
+
+
+def read_archives(names: DataFrame, folder: str, runs_folder: str) -> DataFrame:
+    """run, entries: the entries of each named archive, sorted, as a file in runs_folder."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        from pyspark import TaskContext
+
         system, path = _opened(folder)
+        _, to = _opened(runs_folder)
+        system.create_dir(to, recursive=True)
         for batch in batches:
             for name in batch["archive"]:
                 with system.open_input_stream(f"{path}/{name}", compression=None) as f:
@@ -212,41 +282,73 @@ def read_archives(names: DataFrame, folder: str) -> DataFrame:
                     n = int(h["HTTP"].rpartition("Content-Length: ")[2])
                     url = h["WARC-Target-URI"]
                     rows.append((h.get("Page-Id"), url, url_key(url), h["WARC-Date"], n, digest, h["WARC-Type"], h.get("Refers-To-Page"), name, at, used))
-                out = pd.DataFrame(rows, columns=[c.split()[0] for c in RECORD.split(", ")])
-                yield out.sort_values(["url_key", "captured_at", "page_id"], key=lambda c: c.map(lambda x: int(x or -1)) if c.name == "page_id" else c)
+                made = f"{name}-{TaskContext.get().taskAttemptId()}.run"
+                yield pd.DataFrame({"run": [made], "entries": [write_run(system, f"{to}/{made}", iter(sorted(rows, key=key_of)))]})
 
-    return names.select("archive").mapInPandas(run, RECORD)
+    return names.select("archive").mapInPandas(run, RUN)
 
 
-def merged_index(runs: DataFrame) -> DataFrame:
+def longer_runs(runs: DataFrame, folder: str, fan_in: int = FAN_IN) -> DataFrame:
+    """run, entries of runs that hold up to fan_in of the given ones each."""
+
+    def merge(group: pd.DataFrame) -> pd.DataFrame:
+        from pyspark import TaskContext
+
+        system, path = _opened(folder)
+        names = sorted(group["run"])
+        made = f"merged-{TaskContext.get().taskAttemptId()}-{names[0]}"
+        tree = LoserTree([Run(system, f"{path}/{x}").within() for x in names], key_of)
+        return pd.DataFrame({"run": [made], "entries": [write_run(system, f"{path}/{made}", iter(tree))]})
+
+    numbered = runs.withColumn("group", F.floor((F.row_number().over(W.orderBy("run")) - 1) / fan_in))  # a row an archive
+    return numbered.groupBy("group").applyInPandas(merge, RUN)
+
+
+def ranges(runs: DataFrame, folder: str, entries: int, rows: int = RANGE) -> list[tuple]:
+    """Keys that cut all entries into ranges of about as many rows."""
+    share = min(1.0, KEY_SAMPLE * BATCH / max(entries, 1))
+
+    def fences(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        system, path = _opened(folder)
+        for batch in batches:
+            for name in batch["run"]:
+                yield pd.DataFrame(list(Run(system, f"{path}/{name}").fences()), columns=["url_key", "captured_at", "page_no"])
+
+    found = runs.select("run").mapInPandas(fences, "url_key string, captured_at string, page_no long")
+    keys = sorted(tuple(r) for r in (found if share == 1.0 else found.sample(share, seed=1)).collect())  # about KEY_SAMPLE rows
+    parts = max(1, -(-entries // rows))
+    return sorted({keys[len(keys) * i // parts] for i in range(1, parts)}) if keys else []
+
+
+def merged_index(runs: DataFrame, folder: str, fan_in: int = FAN_IN, rows: int = RANGE) -> DataFrame:
     """The capture history: all entries by URL key, time and page. Partitions are consecutive ranges."""
-    runs = runs.withColumn("page_no", F.coalesce(F.col("page_id").cast("long"), F.lit(-1)))
-    key = ["url_key", "captured_at", "page_no"]
-    dealt = runs.repartitionByRange(*key).sortWithinPartitions("archive", *key)
-    columns = runs.columns
-    at = [columns.index(c) for c in key]
+    spark = runs.sparkSession
+    number, entries = runs.agg(F.count("*"), F.sum("entries")).first()
+    while number > fan_in:
+        runs = cut(longer_runs(runs, folder, fan_in), "warc-runs")
+        number = runs.count()
+    names = sorted(r["run"] for r in runs.select("run").collect())  # fan_in names at most
+    splits = ranges(runs, folder, entries or 0, rows)
+    bounds = list(zip([None, *splits], [*splits, None], strict=True))
 
     def merge(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        tables = [b for b in batches if len(b)]
-        if not tables:
-            return
-        rows = pd.concat(tables, ignore_index=True)
-        keys = list(zip(*(rows.iloc[:, i] for i in at), range(len(rows)), strict=True))
-        starts = [*rows.index[rows["archive"].ne(rows["archive"].shift())], len(rows)]
-        order = [k[-1] for k in LoserTree([iter(keys[a:b]) for a, b in zip(starts, starts[1:], strict=False)])]
-        for i in range(0, len(order), 8192):
-            yield rows.iloc[order[i : i + 8192]]
+        system, path = _opened(folder)
+        for batch in batches:
+            for i in batch["id"]:
+                tree = iter(LoserTree([Run(system, f"{path}/{x}").within(*bounds[i]) for x in names], key_of))
+                while part := list(islice(tree, 4096)):
+                    yield pd.DataFrame(part, columns=COLUMNS)
 
-    return dealt.mapInPandas(merge, dealt.schema).drop("page_no")
+    return spark.range(0, len(bounds), 1, len(bounds)).mapInPandas(merge, RECORD)
 
 
 def archived(pages: DataFrame, folder: str | None = None) -> DataFrame:
     """Write pages as archives, read them back, and return their capture history."""
     spark: SparkSession = pages.sparkSession
-    folder = folder or fresh_dir(spark, "warc")
+    folder, runs_folder = folder or fresh_dir(spark, "warc"), fresh_dir(spark, "warc-runs")
     names = cut(write_archives(decided(pages), folder), "warc-names")
     names = names.repartition(max(2, min(10_000, names.count())))
-    return merged_index(cut(read_archives(names, folder), "warc-runs"))
+    return merged_index(cut(read_archives(names, folder, runs_folder), "warc-runs"), runs_folder)
 
 
 def op8_warc(pages: DataFrame) -> DataFrame:
