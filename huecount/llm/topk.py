@@ -7,12 +7,13 @@ candidate times its own cannot reach its k-th best score; for others it adds up
 drops a candidate as soon as partial sum plus the product of what is left of both lengths
 (Cauchy-Schwarz) is below that score. Survivors are scored exactly, in integers.
 
-Queries and candidates meet in blocks: a block of queries travels to every group of candidates, after
-its k-th best scores within the head group of the longest candidates (a fixed number of rows) are known.
+Queries and candidates meet in blocks. The k-th best scores of a block's queries within the head group of the longest
+candidates (a fixed number of rows) are known first, and give the least length that a candidate of any of its
+queries must have: the block travels only to groups of candidates from bands that reach it.
 Each group answers with k rows a query, which a ranked window cuts to k.
 
-Defined results: vectors that are null, or hold a null, NaN or infinite component, or differ in
-dimension from the first, take no part; repeated vec_ids are candidates each, except of their own id;
+Defined results: vectors that are null or empty, or hold a null, NaN or infinite component, take no part; nor do
+those that differ in dimension from most (of dimensions as frequent, the larger), for they have no inner product with them; repeated vec_ids are candidates each, except of their own id;
 ties go to the smaller vec_id; an empty table gives an empty result; extra columns are ignored.
 """
 
@@ -104,6 +105,16 @@ def best(q: np.ndarray, q_id: np.ndarray, floor: np.ndarray, c: np.ndarray, c_id
     return out, finished
 
 
+def groups_within(q: np.ndarray, floor: np.ndarray, tops: np.ndarray, ends: np.ndarray) -> int:
+    """How many groups, from the longest candidates on, can hold one that reaches the floor of a query. tops:
+    lengths that no candidate of a band passes; ends: the groups up to each band's end."""
+    norm = np.sqrt((q * q).sum(axis=1))
+    with np.errstate(divide="ignore", invalid="ignore"):
+        least = np.where(norm > 0, (floor - 1e-6) / norm * (1 - 1e-9), np.where(floor <= 1e-6, -np.inf, np.inf))
+    bands = np.flatnonzero(tops >= least.min(initial=np.inf))
+    return int(ends[bands[-1]]) if len(bands) else 0
+
+
 def _packed(rows: DataFrame, by: list[str]) -> DataFrame:
     """Rows of a block as one row of two binaries; blocks have a bounded number of rows."""
 
@@ -119,7 +130,8 @@ def top_k(rows: DataFrame, is_query: Column, k: int = K, scale: int = SCALE) ->
     """query_id, rank, vec_id, score."""
     spark = rows.sparkSession
     vectors = scaled(rows, scale)
-    first = vectors.select(F.size("v").alias("d")).where("d > 0").first()
+    dims = vectors.groupBy(F.size("v").alias("d")).count().where("d > 0")
+    first = dims.orderBy(F.desc("count"), F.desc("d")).first()
     empty = spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
     if first is None:
         return empty
@@ -148,20 +160,23 @@ def top_k(rows: DataFrame, is_query: Column, k: int = K, scale: int = SCALE) ->
 
     def start(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            floors = []
+            floors, reach = [], []
             for ids, x in zip(batch["ids"], batch["x"], strict=True):
                 q_id = np.frombuffer(ids, np.int64)
                 got, _ = best(matrix(x), q_id, np.full(len(q_id), -np.inf), head_x, head_ids, basis, k)
                 known: dict[int, list[int]] = {}
                 for q, _, s in got:
                     known.setdefault(q, []).append(s)
-                floors.append(np.array([min(known[q]) if len(known.get(q, ())) >= k else -np.inf for q in q_id.tolist()]).tobytes())
-            yield batch.assign(floor=floors)
+                floor = np.array([min(known[q]) if len(known.get(q, ())) >= k else -np.inf for q in q_id.tolist()])
+                floors.append(floor.tobytes())
+                reach.append(groups_within(matrix(x), floor, tops, ends))
+            yield batch.assign(floor=floors, groups=reach)
 
-    started = _packed(queries, ["block"]).mapInPandas(start, "block int, ids binary, x binary, floor binary")
+    tops, ends = np.array([np.inf, *bounds]), np.cumsum(parts)
+    started = _packed(queries, ["block"]).mapInPandas(start, "block int, ids binary, x binary, floor binary, groups int")
     started = cut(started, "query-blocks")
-    # Every block goes to every group once: the groups' numbers are multiplied out, then joined.
-    routed = started.withColumn("group", F.explode(F.sequence(F.lit(0), F.lit(sum(parts) - 1))))
+    # The numbers of the groups that a block has to visit are multiplied out, then joined.
+    routed = started.where("groups > 0").withColumn("group", F.explode(F.sequence(F.lit(0), F.col("groups") - 1)))
     met = routed.select("ids", "x", "floor", "group").join(packed, "group")
 
     def search(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -170,7 +185,6 @@ def top_k(rows: DataFrame, is_query: Column, k: int = K, scale: int = SCALE) ->
                 got, _ = best(matrix(r.x), np.frombuffer(r.ids, np.int64), np.frombuffer(r.floor), matrix(r.c_x), np.frombuffer(r.c_ids, np.int64), basis, k)
                 yield pd.DataFrame(got, columns=["query_id", "vec_id", "score"], dtype="int64")
 
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "16")  # a row here is a block against a group
     found = cut(met.repartition(max(2, min(sum(parts) * blocks, MEETINGS))).mapInPandas(search, "query_id long, vec_id long, score long"), "top-parts")
     rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
