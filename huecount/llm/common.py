@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from huecount.session import cut, fresh_dir, made, release  # noqa: F401 (the operators take them from here)
+
 #: A word is a run of anything but these six ASCII white-space characters.
 WORD = r"[^\x20\x09-\x0D]+"
 #: What a Python worker takes on at a time. An Arrow batch holds up to 64 MB, by Spark's own bound.
@@ -19,28 +20,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a local one only where the session runs in one process."""
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    if spark.sparkContext.master.startswith("local"):
-        return "file:///tmp/checkpoints"
-    raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-
-
-def fresh_dir(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-
-
-def cut(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
-    """Write df to the shared folder and read it again: later stages neither recompute it nor depend
-    on the executors that made it."""
-    spark, path = df.sparkSession, fresh_dir(df.sparkSession, name)
-    df.write.option("compression", compression).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def slices(batches: Iterator[pd.DataFrame], column: str = "text") -> Iterator[pd.DataFrame]:
     """The rows of all batches in frames of SLICE_ROWS rows and about SLICE_CHARS characters of the column at
     most; a longer text is a frame of its own."""

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from huecount.llm import html, langid, minhash, mixing, packing, quality, secrets, sharding, topk, warc
+from huecount.llm import html, langid, minhash, mixing, packing, pipeline, quality, secrets, sharding, topk, warc
 from huecount.llm.common import table
 
 DOCUMENT_OPERATORS = {
@@ -24,9 +24,7 @@ def queries():
     named["op7_html"] = on("pages", html.op7_html)
     named["op8_warc"] = on("pages", warc.op8_warc)
     named["op9_top_k"] = on("embeddings", topk.op9_top_k)
-    import corpus_pipeline
-
-    named["pipeline"] = corpus_pipeline.run
+    named["pipeline"] = pipeline.run
     return named
 
 

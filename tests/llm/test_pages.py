@@ -42,6 +42,34 @@ def test_loser_tree():
         assert list(warc.LoserTree([iter(r) for r in runs])) == sorted(x for r in runs for x in r)
 
 
+def test_external_merge(spark, tmp_path):
+    rng = random.Random(9)
+    folder, runs, want = f"file://{tmp_path}", [], []
+    from pyarrow import fs
+
+    system, path = fs.FileSystem.from_uri(folder)
+    for k in range(11):
+        rows = [(str(rng.randrange(60)) if rng.random() > 0.1 else None, "u", f"com,{rng.choice('abc')})/", f"2024-01-0{rng.randint(1, 3)}", 1, "d", "response", None, f"a{k}", i, 1) for i in range(rng.choice([0, 1, 300, 900]))]
+        rows.sort(key=warc.key_of)
+        want += rows
+        assert warc.write_run(system, f"{path}/r{k:02d}", iter(rows)) == len(rows)
+        runs.append((f"r{k:02d}", len(rows)))
+        run = warc.Run(system, f"{path}/r{k:02d}")
+        low, high = ("com,a)/", "2024-01-02", 7), ("com,b)/", "2024-01-03", -1)
+        assert list(run.within()) == rows and list(run.within(low, high)) == [r for r in rows if low <= warc.key_of(r) < high]
+    table = spark.createDataFrame(runs, warc.RUN)
+    for fan_in, size in ((1024, 10**9), (3, 200), (2, 500)):
+        index = warc.merged_index(table, folder, fan_in, size)
+        got = [tuple(r) for r in index.toLocalIterator()]
+        assert [warc.key_of(r) for r in got] == sorted(map(warc.key_of, want)) and sorted(map(repr, got)) == sorted(map(repr, want))
+        assert (index.rdd.getNumPartitions() > 3) == (size < 10**6)
+
+
+def test_records_have_names_of_their_own():
+    a = [warc.parsed(warc.record_bytes(n, p, "u", warc.stamp(None), b"x" * 3, "d", r))[0] for n, p, r in (("page:1", "1", None), ("place:0/1/0/0", None, "1"), ("place:0/1/0/1", None, "1"))]
+    assert len({x["WARC-Record-ID"] for x in a}) == 3 and a[1]["WARC-Refers-To"] == a[0]["WARC-Record-ID"] and "Page-Id" not in a[1]
+
+
 def test_history_is_in_order(spark):
     rows = [(r["url_key"], r["captured_at"]) for r in warc.op8_warc(pages(spark).where("page_id is not null")).toLocalIterator()]
     assert rows == sorted(rows)
@@ -198,6 +226,30 @@ def test_top_k(spark):
     assert topk.op9_top_k(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
 
 
+def brute_top(v, step=50, k=5):
+    want = []
+    for q in (i for i in v if i % step == 0):
+        best = sorted((-int(v[q] @ v[c]), c) for c in v if c != q)[:k]
+        want += [(q, r + 1, c, -s) for r, (s, c) in enumerate(best)]
+    return sorted(want)
+
+
+def test_top_k_over_many_bands(spark, monkeypatch):
+    for name, value in (("CANDIDATE_GROUP", 64), ("QUERY_BLOCK", 4), ("HEAD", 32)):
+        monkeypatch.setattr(topk, name, value)
+    rng = np.random.default_rng(5)
+    rows = [(i, [float(x) for x in rng.normal(0, 1, 6) * np.exp(rng.normal(0, 1.5)) * (i % 13 > 0)]) for i in range(1200)]
+    rows += [(2000, [1.0, 2.0]), (2001, [9.0] * 9), (2050, [])]
+    schema = "vec_id long, embedding array<double>, query_id int, rank string, band int, v string"
+    frame = spark.createDataFrame([(*r, 1, "x", 2, None) for r in rows], schema)
+    v = {i: np.floor(256 * np.array(x)).astype(np.int64) for i, x in rows if len(x) == 6}
+    for part in (1, 7):  # whichever row comes first
+        got = topk.op9_top_k(frame.orderBy(topk.F.desc("vec_id")).repartition(part)).collect()
+        assert sorted(map(tuple, got)) == brute_top(v)
+    assert topk.groups_within(np.array([[3.0, 4.0]]), np.array([50.0]), np.array([np.inf, 20.0, 10.0, 9.0]), np.array([2, 5, 6, 9])) == 6
+    assert topk.groups_within(np.array([[0.0, 0.0]]), np.array([0.0]), np.array([np.inf, 1.0]), np.array([1, 2])) == 2
+
+
 def test_pruning_is_exact_and_saves_work():
     rng = np.random.default_rng(3)
     c = np.floor(rng.normal(0, 1, (5000, 16)) * np.exp(rng.normal(0, 1, (5000, 1))) * 50)
@@ -230,17 +282,3 @@ def test_registered_queries_equal_sql(spark):
         ours, theirs = queries.queries()[name](spark, SF).toPandas(), con.execute(sql).df()
         assert sorted(ours.columns) == sorted(theirs.columns)
         assert plain(ours) == plain(theirs)
-
-
-def test_pipeline(spark):
-    import corpus_pipeline
-
-    docs = spark.read.parquet(f"{SF}/documents.parquet")
-    one = docs
-    for _, stage in corpus_pipeline.STAGES[:3]:
-        one = stage(spark, one, SF)
-        assert one.columns == docs.columns
-    n = one.count()
-    assert 0.8 * docs.count() < n < docs.count()
-    out = corpus_pipeline.run(spark, SF)
-    assert out.count() > 0 and out.where("offset + length > 2048").count() == 0
