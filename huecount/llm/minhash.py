@@ -341,24 +341,27 @@ def _cross_pairs(members: DataFrame, labels: DataFrame, nodes: DataFrame, docs:
     x, y = few.select("key", F.col("node").alias("a"), F.col("label").alias("la")), few.select("key", F.col("node").alias("b"), F.col("label").alias("lb"))
     pairs = x.join(y, "key").where("a < b and la <> lb").select("a", "b")
     # Members of a large bucket's largest class have no need to meet each other: the others, in blocks,
-    # meet all members, in blocks.
-    many = cut(placed.where(F.col("n") > PAIRWISE_UP_TO), "dup-large")
-    sets = _sets_of(docs, nodes, many.select("node").distinct())
-    many = many.join(sets, "node").join(nodes.select("node", "sig"), "node").withColumn("cells", F.size("set").cast("long"))
+    # meet all members, in blocks. Who meets whom is settled before any set moves.
+    many = placed.where(F.col("n") > PAIRWISE_UP_TO).join(nodes.select("node", "cells"), "node")
     many = cut(many, "dup-large")
     per_class = many.groupBy("key", "label").agg(F.count("*").alias("c"), F.sum("cells").alias("cells"))
     largest = per_class.groupBy("key").agg(F.max(F.struct("c", "label", "cells")).alias("top"), F.sum("c").alias("c"), F.sum("cells").alias("cells"))
     blocks = lambda c, x: F.greatest(F.ceil(c / BLOCK), F.ceil(x / BLOCK_CELLS), F.lit(1)).cast("int")
-    largest = largest.select(
-        "key", F.col("top.label").alias("top_label"), blocks(F.col("c"), F.col("cells")).alias("wide"), blocks(F.col("c") - F.col("top.c"), F.col("cells") - F.col("top.cells")).alias("tall")
-    )
-    many = many.join(largest, "key")
+    wide, tall = blocks(F.col("c"), F.col("cells")), blocks(F.col("c") - F.col("top.c"), F.col("cells") - F.col("top.cells"))
+    largest = cut(largest.select("key", F.struct(F.col("top.label").alias("label"), wide.alias("wide"), tall.alias("tall")).alias("top"), "c"), "dup-largest")
+    least = many.count() / HOT
+    hot, cold = largest.where(F.col("c") > least), largest.where(F.col("c") <= least)
+    many = many.join(F.broadcast(hot.select(F.col("key").alias("h_key"), F.col("top").alias("h_top"))), F.col("key") == F.col("h_key"), "left")  # HOT rows at most
+    cold = many.where("h_key is null").join(cold.select("key", F.col("top").alias("c_top")), "key")
+    met = lambda rows, top: rows.select("key", "node", F.col("label").alias("own_label"), F.col(f"{top}.label").alias("top_label"), f"{top}.wide", f"{top}.tall")
+    many = cut(met(many.where("h_key is not null"), "h_top").union(met(cold, "c_top")), "dup-meeting")
     own = lambda parts: F.pmod(F.xxhash64("node"), F.col(parts)).cast("int")
     every = lambda parts: F.explode(F.sequence(F.lit(0), F.col(parts) - 1))
-    left = many.where("label <> top_label").withColumn("j", every("wide")).withColumn("i", own("tall")).withColumn("side", F.lit(0))
+    left = many.where("own_label <> top_label").withColumn("j", every("wide")).withColumn("i", own("tall")).withColumn("side", F.lit(0))
     right = many.withColumn("i", every("tall")).withColumn("j", own("wide")).withColumn("side", F.lit(1))
-    shape = ["key", "node", "label", "set", "sig", "side", "i", "j"]
-    many = left.select(*shape).union(right.select(*shape))
+    shape = ["key", "node", "own_label", "side", "i", "j"]
+    sets = _sets_of(docs, nodes, many.select("node").distinct()).join(nodes.select("node", "sig"), "node")
+    many = left.select(*shape).union(right.select(*shape)).withColumnRenamed("own_label", "label").join(sets, "node")
 
     def compare(rows: pd.DataFrame) -> pd.DataFrame:
         left, right = rows[rows["side"] == 0], rows[rows["side"] == 1]
@@ -384,7 +387,7 @@ def _classes(nodes: DataFrame, docs: DataFrame, threshold: float) -> DataFrame:
     members = cut(spread.join(shared, "key"), "dup-members")
     first = cut(_star_pairs(members), "dup-pairs")
     with_company = cut(members.select("node").distinct(), "dup-company")
-    nodes = cut(likely_among(nodes.select("node", "digest", "sig"), "node", with_company), "dup-sigs")  # a few more than have company
+    nodes = cut(likely_among(nodes.select("node", "digest", "cells", "sig"), "node", with_company), "dup-sigs")  # a few more than have company
     links = cut(verified(first, nodes, docs, threshold), "dup-links")
     labels = cut(components(links), "dup-labels")
     pairs, more = _cross_pairs(members, labels, nodes, docs, threshold)
@@ -413,7 +416,7 @@ def grouped(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     copy = F.col("h_node").isNotNull() | F.col("c_node").isNotNull()
     ids = cut(ids.select("row", "doc_id", "digest", node.alias("node"), first.alias("first"), copy.alias("copy"), F.col("h_node").isNotNull().alias("hot")), "dup-ids")
     nodes = full.join(ids.where("row <> node").select("row"), "row", "left_anti")
-    nodes = cut(nodes.select(F.col("row").alias("node"), "digest", "keys", "sig"), "dup-nodes")
+    nodes = cut(nodes.select(F.col("row").alias("node"), "digest", F.col("n").alias("cells"), "keys", "sig"), "dup-nodes")
     labels = _classes(nodes, docs, threshold)
     per_node = labels.join(ids.where("row = node").select("node", "first", "hot"), "node")
     of_class = per_node.groupBy("label").agg(F.min("first").alias("class_first"))

@@ -403,7 +403,7 @@ def test_large_buckets_meet_in_blocks(spark, monkeypatch):
     base = [f"w{i}" for i in range(100)]
     texts = [(i, " ".join(base[:90] + [f"x{i}"])) for i in range(600)] + [(600, " ".join(base[:90])), (601, " ".join(base[40:]))]
     docs = spark.createDataFrame(texts, "doc_id long, text string")
-    nodes = minhash.cut(minhash.signed(docs).withColumn("node", minhash.F.col("doc_id")), "test")
+    nodes = minhash.cut(minhash.signed(docs).withColumns({"node": minhash.F.col("doc_id"), "cells": minhash.F.col("n")}), "test")
     members = spark.createDataFrame([(7, i, 602) for i in range(602)], "key long, node long, n long")
     labels = spark.createDataFrame([(i, 0) for i in range(600)], "node long, label long")
     pairs, links = minhash._cross_pairs(members, labels, nodes, docs, 0.8)
