@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from decimal import Decimal
 from fractions import Fraction
 from math import factorial
 
@@ -72,9 +73,9 @@ def until(g: DataGraph, q: QueryGraph, cv: float = 0.1, batch: int = 3, max_tria
         new = [(len(got) + i, int(r[1])) for i, r in enumerate(sorted(rows))]
         got += new
         if history is not None:
-            frame = spark.createDataFrame([(g.name, q.name, t, c) for t, c in new], "graph string, query string, trial int, cnt long")
+            frame = spark.createDataFrame([(g.name, q.name, t, Decimal(c)) for t, c in new], "graph string, query string, trial int, cnt decimal(38,0)")
             frame.write.mode("append").partitionBy("query").parquet(history)
-    return summary(spark.createDataFrame(got, "trial int, cnt long"), q, g.name)
+    return summary(spark.createDataFrame([(t, Decimal(c)) for t, c in got], "trial int, cnt decimal(38,0)"), q, g.name)
 
 
 def _resumed(spark: SparkSession, history: str, graph: str, query: str) -> list[tuple[int, int]]:
@@ -84,4 +85,4 @@ def _resumed(spark: SparkSession, history: str, graph: str, query: str) -> list[
         if "PATH_NOT_FOUND" in str(e):
             return []
         raise
-    return sorted((r["trial"], r["cnt"]) for r in old.collect())
+    return sorted((r["trial"], int(r["cnt"])) for r in old.collect())

@@ -9,6 +9,10 @@ from huecount.operators.graph import DataGraph, id_of
 from huecount.plans.query import QueryGraph
 
 
+#: Columns of an arc that closes a cycle; no query node has such a name.
+CLOSING = ("closing/src", "closing/dst")
+
+
 def search_order(q: QueryGraph) -> list[str]:
     """Nodes such that each but the first touches an earlier one, closing most edges first."""
     near, order = q.neighbours(), [max(q.nodes, key=lambda n: (len(q.neighbours()[n]), n))]
@@ -21,6 +25,7 @@ def matches(g: DataGraph, q: QueryGraph, induced: bool = False, coloring=None) -
     """One row per match, a column per query node (vertex keys): a self-join of arcs per node, semi-joins for
     further edges. With a colouring only colourful matches of trial 0."""
     arcs, near, order = g.arcs(), q.neighbours(), search_order(q)
+    closing = arcs.select(F.col("src").alias(CLOSING[0]), F.col("dst").alias(CLOSING[1]))
     rows = arcs.select(F.col("src").alias(order[0])).distinct()
     for i, n in enumerate(order[1:], 1):
         known = sorted(near[n] & set(order[:i]))
@@ -31,12 +36,10 @@ def matches(g: DataGraph, q: QueryGraph, induced: bool = False, coloring=None) -
                 c = [coloring.color(id_of(F.col(x)), F.lit(0)) for x in (m, n)]
                 rows = rows.where(c[0] != c[1])
         for m in known[1:]:
-            closing = arcs.select(F.col("src").alias("x"), F.col("dst").alias("y"))
-            rows = rows.join(closing, (F.col(m) == F.col("x")) & (F.col(n) == F.col("y")), "left_semi")
+            rows = rows.join(closing, (F.col(m) == F.col(f"`{CLOSING[0]}`")) & (F.col(n) == F.col(f"`{CLOSING[1]}`")), "left_semi")
         if induced:
             for m in [m for m in order[:i] if m not in near[n]]:
-                apart = arcs.select(F.col("src").alias("x"), F.col("dst").alias("y"))
-                rows = rows.join(apart, (F.col(m) == F.col("x")) & (F.col(n) == F.col("y")), "left_anti")
+                rows = rows.join(closing, (F.col(m) == F.col(f"`{CLOSING[0]}`")) & (F.col(n) == F.col(f"`{CLOSING[1]}`")), "left_anti")
     return rows
 
 
@@ -61,12 +64,14 @@ def wedges(g: DataGraph) -> DataFrame:
 
 
 def four_cycles(g: DataGraph) -> DataFrame:
-    """From co-degrees: two vertices with c common neighbours lie opposite in c(c-1)/2 four-cycles; wedges
-    whose centre is the highest vertex would miss some, so both diagonals are counted and halved."""
+    """Each four-cycle at its highest vertex x: with the vertex opposite, y, it closes two wedges x-m-y, and
+    both m and y are lower than x. So only wedges that leave their highest end are built (the sum over edges
+    of the lower end's degree, not the sum of squared degrees), and every pair with c of them holds c(c-1)/2."""
     a = g.arcs()
-    wedge = a.select(F.col("src").alias("m"), F.col("dst").alias("x")).join(a.select(F.col("src").alias("m"), F.col("dst").alias("y")), "m").where("x < y")
+    down = a.where("dst < src").select(F.col("src").alias("x"), F.col("dst").alias("m"))
+    wedge = down.join(a.select(F.col("src").alias("m"), F.col("dst").alias("y")), "m").where("y < x")
     common = wedge.groupBy("x", "y").agg(F.count("*").alias("c"))
-    return common.agg(F.coalesce(F.sum(F.col("c") * (F.col("c") - 1) / 2) / 2, F.lit(0)).cast("long").alias("cnt"))
+    return common.agg(F.coalesce(F.sum(F.col("c") * (F.col("c") - 1) / 2), F.lit(0)).cast("long").alias("cnt"))
 
 
 def closed_walks(g: DataGraph, length: int) -> DataFrame:
