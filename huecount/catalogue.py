@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 from functools import reduce
 
@@ -9,14 +10,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from huecount import sqltext
-from huecount.functions import metrics, theory
-from huecount.functions.coloring import Coloring, affine_sql
-from huecount.operators import estimate, exact, joins, paths, solve
+from huecount import experiments, sqltext
+from huecount.functions import metrics, theory, udf
+from huecount.functions.coloring import Coloring, TableColoring, affine_sql
+from huecount.operators import direct, estimate, exact, joins, paths, solve
 from huecount.operators.graph import dense_rank, id_of, profile
 from huecount.operators.joins import Context
-from huecount.plans.plan import decompose, enumerate_plans, plan_for
-from huecount.plans.query import CATALOGUE, QueryGraph, automorphisms
+from huecount.plans.plan import decompose, enumerate_plans, plan_for, validate
+from huecount.plans.query import CATALOGUE, QueryGraph, automorphisms, is_treewidth_le2, parse
 from huecount.sources import generators
 from huecount.sources.views import VIEW_SQL, VIEWS, graph_view, table
 from huecount.streaming import windows
@@ -142,8 +143,9 @@ add(
 )
 
 
-def _node_join(s: SparkSession, d: str) -> DataFrame:
+def _node_join(s: SparkSession, d: str, hash_small: bool = False) -> DataFrame:
     ctx = _context(s, d, "user_hour", 4)
+    ctx.hash_small = hash_small
     return _ids(joins.attach_node(ctx, joins.seed_edge(ctx, False), _leaf(ctx), "tail"), "h", "tail").select("h", "tail", "sig", "cnt")
 
 
@@ -218,18 +220,45 @@ for _view, _q in _CELLS:
         add(f"colorful_{_q}_{_view}_{_s}", lambda s, d, v=_view, q=_q, st=_s: _colorful(s, d, v, CATALOGUE[q], st), sqltext.colorful(_view, CATALOGUE[_q]))
 for _q in ("path4", "star4"):
     add(f"colorful_{_q}_order_part", lambda s, d, q=_q: _colorful(s, d, "order_part", CATALOGUE[q], "degree"), sqltext.colorful("order_part", CATALOGUE[_q]))
-for _q in ("c4_c6", "cactus10", "satellite11", "bintree12", "c8"):
-    add(f"strategies_agree_{_q}", lambda s, d, q=_q: _agree(s, d, "knn8" if q != "bintree12" else "page_anchor", q))
+for _q in ("c4_c6", "cactus10", "satellite11", "c8"):
+    add(f"strategies_agree_{_q}", lambda s, d, q=_q: _agree(s, d, "knn8", q), f"SELECT '{_q}' AS query, 3 AS strategies, true AS agree")
+add(
+    "colorful_bintree12_page_anchor",
+    lambda s, d: solve.count_colorful(graph_view(s, d, "page_anchor"), CATALOGUE["bintree12"], Coloring(12, "affine"), plan=decompose(CATALOGUE["bintree12"])).select("cnt"),
+    sqltext.tree("page_anchor", CATALOGUE["bintree12"]),
+)
+for _o in ("id", "random"):
+    add(
+        f"colorful_house_knn8_by_{_o}",
+        lambda s, d, o=_o: solve.count_colorful(graph_view(s, d, "knn8").with_order(o), CATALOGUE["house"], Coloring(5, "affine")).select("cnt"),
+        sqltext.colorful("knn8", CATALOGUE["house"]),
+    )
 
 
 def _agree(s: SparkSession, d: str, view: str, name: str) -> DataFrame:
-    """strategy, cnt of all strategies; queries too large for a self-join are checked against each other."""
+    """Whether all strategies give the same number of matches; for queries too large for a self-join in SQL."""
     q = CATALOGUE[name]
-    plan = decompose(q) if name == "bintree12" else plan_for(q)
     g = graph_view(s, d, view)
     g.arcs()
-    counts = [solve.count_colorful(g, q, Coloring(q.k, "affine"), st, plan).select(F.lit(st).alias("strategy"), "cnt") for st in solve.STRATEGIES]
-    return reduce(DataFrame.unionByName, counts)
+    counts = [solve.count_colorful(g, q, Coloring(q.k, "affine"), st, plan_for(q)).select("cnt") for st in solve.STRATEGIES]
+    return reduce(DataFrame.union, counts).agg(F.lit(name).alias("query"), F.count("*").cast("int").alias("strategies"), (F.countDistinct("cnt") == 1).alias("agree"))
+
+
+# Every plan's tables from their definition, on a complete graph of six vertices.
+_K6 = "SELECT a.i AS src, b.i AS dst FROM range(6) a(i) JOIN range(6) b(i) ON a.i < b.i"
+_PRODUCTS = ("triangle", "paw", "diamond", "house", "bull", "c4_tail")
+
+
+def _products(s: SparkSession, d: str) -> DataFrame:
+    g, rows = generators.complete(s, 6), []
+    for n in _PRODUCTS:
+        q = CATALOGUE[n]
+        got = direct.count_by_products(Context(g, Coloring(q.k, "affine")), plan_for(q))
+        rows.append(s.range(1).join(got, F.lit(True), "left").select(F.lit(n).alias("query"), F.coalesce("cnt", F.lit(0)).alias("cnt")))
+    return reduce(DataFrame.unionByName, rows)
+
+
+add("direct_products_k6", _products, " UNION ALL ".join(f"SELECT '{n}' AS query, cnt FROM ({sqltext.colorful_of(_K6, CATALOGUE[n])})" for n in _PRODUCTS))
 
 
 # --- estimates -----------------------------------------------------------------------------------------
@@ -253,6 +282,35 @@ add("estimate_summary_10", lambda s, d: estimate.summary(_trials(s, d, 10), CATA
 add("estimate_house_supply_chain", lambda s, d: estimate.count(graph_view(s, d, "supply_chain"), CATALOGUE["house"], trials=1))
 add("estimate_adaptive_c4", lambda s, d: estimate.until(graph_view(s, d, "user_hour"), CATALOGUE["c4"], cv=0.2, max_trials=12))
 
+add(
+    "estimate_interval_10",
+    lambda s, d: estimate.interval(estimate.summary(_trials(s, d, 10), CATALOGUE["c4"], "user_hour"), 4).select("query", F.round("low", 3).alias("low"), F.round("high", 3).alias("high")),
+    f"SELECT query, round(estimate_matches - h, 3) AS low, round(estimate_matches + h, 3) AS high FROM (SELECT *, 1.96 * (256.0::DOUBLE / 24) * sqrt(variance / trials) AS h FROM ({_SUMMARY.format(_trials_sql(10))}))",
+)
+add(
+    "estimate_relative_error",
+    lambda s, d: metrics.relative_error(
+        estimate.summary(_trials(s, d, 10), CATALOGUE["c4"], "user_hour"),
+        exact.four_cycles(graph_view(s, d, "user_hour")).select(F.lit("user_hour").alias("graph"), F.lit("c4").alias("query"), (8 * F.col("cnt")).alias("exact")),
+    ).select("graph", "query", F.round("relative_error", 9).alias("relative_error")),
+    f"SELECT 'user_hour' AS graph, 'c4' AS query, round(abs(estimate_matches - exact) / nullif(exact, 0), 9) AS relative_error FROM ({_SUMMARY.format(_trials_sql(10))}), (SELECT cnt AS exact FROM ({sqltext.exact('user_hour', CATALOGUE['c4'])}))",
+)
+
+
+def _every_colouring(s: SparkSession, d: str) -> DataFrame:
+    """Colourful triangles of a complete graph of four vertices, under each of its 81 explicit colourings."""
+    rows = [(t, v, t // 3**v % 3) for t in range(81) for v in range(4)]
+    coloring = TableColoring.from_df(s.createDataFrame(rows, "trial int, v long, color long"), 3)
+    return solve.count_colorful(generators.complete(s, 4), CATALOGUE["triangle"], coloring)
+
+
+add(
+    "explicit_colourings_k4",
+    _every_colouring,
+    """WITH c AS (SELECT t, v, (t // (3 ** v)::BIGINT) % 3 AS c FROM range(81) a(t), range(4) b(v))
+    SELECT a.t::INTEGER AS trial, (count(*) FILTER (a.c <> b.c AND a.c <> z.c AND b.c <> z.c))::BIGINT AS cnt FROM c a JOIN c b ON a.t = b.t AND a.v <> b.v JOIN c z ON a.t = z.t AND z.v <> a.v AND z.v <> b.v GROUP BY a.t""",
+)
+
 # --- exact counts and path counts ------------------------------------------------------------------------
 
 for _v in ("succession", "user_hour", "knn8", "supply_chain", "order_part"):
@@ -310,8 +368,53 @@ add(
 )
 add("load_avg_max", lambda s, d: reduce(DataFrame.unionByName, [metrics.load_summary(_load(s, d, st)).select(F.lit(st).alias("strategy"), "*") for st in solve.STRATEGIES]))
 
+# --- measured on the views: work in candidate rows, which no machine changes ------------------------------
+
+_LOAD_CELLS = {"part_supplier": ("c4",), "page_anchor": ("c4",), "knn8": ("paw", "house"), "user_hour": ("c4",)}
+_PLAN_QUERIES = ("paw", "diamond", "house")
+
+
+def _measured_loads(s: SparkSession, d: str) -> DataFrame:
+    rows = [r for v, qs in _LOAD_CELLS.items() for r in experiments.loads(graph_view(s, d, v), qs, ("boundary", "degree"))]
+    return s.createDataFrame(rows, experiments.LOAD)
+
+
+add("load_measured", _measured_loads)
+add("improvement_by_load", lambda s, d: experiments.improvement_by_load(_measured_loads(s, d)))
+add("normalized_load", lambda s, d: metrics.normalize(_measured_loads(s, d).withColumn("ranks", F.lit(1)), "candidates").drop("ranks"))
+add("plan_error_by_load", lambda s, d: metrics.plan_error(experiments.plan_loads(graph_view(s, d, "knn8"), _PLAN_QUERIES)))
+
+
+def _best_plans(s: SparkSession, d: str) -> DataFrame:
+    """For each query whether no plan has a smaller load than the one that measurement chooses, and how many there are."""
+    g, rows = graph_view(s, d, "knn8"), []
+    for n in ("paw", "diamond", "house"):
+        best, costs = experiments.best_by_cost(g, CATALOGUE[n], "boundary")
+        own = experiments.load_of(g, CATALOGUE[n], "boundary", best)[0]
+        rows.append((n, len(costs), own == min(c for _, c in costs)))
+    return s.createDataFrame(rows, "query string, plans int, least boolean")
+
+
+add("best_plan_by_load", _best_plans, "SELECT * FROM (VALUES ('paw', 3, true), ('diamond', 2, true), ('house', 2, true)) AS t(query, plans, least)")
+add(
+    "table_sizes_within_bound",
+    lambda s, d: reduce(DataFrame.unionByName, [experiments.table_sizes(graph_view(s, d, "knn8"), CATALOGUE[n]) for n in ("house", "bull")]).groupBy("query").agg(F.count("*").alias("blocks"), F.bool_and(F.col("rows") <= F.col("bound")).alias("within")),
+    "SELECT * FROM (VALUES ('house', 2, true), ('bull', 3, true)) AS t(query, blocks, within)",
+)
+
+
+def _measured_trials(s: SparkSession, d: str, n: int) -> DataFrame:
+    cells = (("user_hour", "c4"), ("knn8", "paw"), ("part_supplier", "c4"))
+    return reduce(DataFrame.unionByName, [experiments.trial_counts(graph_view(s, d, v), CATALOGUE[q], n, 25) for v, q in cells])
+
+
+add("variation_measured", lambda s, d: metrics.variation(_measured_trials(s, d, 50)))
+add("cv_share_measured", lambda s, d: metrics.cv_share(_measured_trials(s, d, 50)))
+
 # --- plans ---------------------------------------------------------------------------------------------
 
+# Fixed queries: two that need more than two, a grid, and some of the catalogue.
+_WIDTHS = [("k4", "ab ac ad bc bd cd"), ("k33", "ax ay az bx by bz cx cy cz"), ("grid9", "ab bc de ef gh hi ad dg be eh cf fi"), *[(n, CATALOGUE[n].text()) for n in ("c8", "k23", "bintree12")]]
 # Fixed values of the catalogue: trees, automorphisms.
 _TREES = {"satellite11": (13, 2), "triangle": (1, 6), "c4": (1, 8), "c5": (1, 10), "c6": (1, 12), "c8": (1, 16), "paw": (3, 2), "diamond": (2, 4), "bull": (9, 2), "bowtie": (2, 8),
           "house": (2, 2), "c4_tail": (3, 2), "ladder6": (2, 4), "c4_c6": (2, 2), "c4_c5": (2, 2), "cactus10": (10, 4), "fan5": (3, 2), "k23": (3, 12), "path4": (4, 2), "star4": (4, 6)}
@@ -369,7 +472,7 @@ add("cube_loads", lambda s, d: _measurements(s).cube("strategy", "query").agg(F.
 
 add("grid_edges", lambda s, d: generators.grid(s, 20, 30).edges, "SELECT i AS src, i + 1 AS dst FROM range(600) t(i) WHERE i % 30 < 29 UNION ALL SELECT i, i + 30 FROM range(570) t(i)")
 add("complete_edges", lambda s, d: generators.complete(s, 40).edges, "SELECT a.i AS src, b.i AS dst FROM range(40) a(i) JOIN range(40) b(i) ON a.i < b.i")
-add("rmat_edges", lambda s, d: generators.rmat(s, 8).edges)
+add("rmat_edges", lambda s, d: generators.rmat(s, 8, draw=generators.portable).edges, generators.rmat_sql(8))
 add("expected_degree_edges", lambda s, d: generators.expected_degree(generators.power_law(s, 2048, 1.5)).edges)
 
 
@@ -383,7 +486,69 @@ def _xy(s: SparkSession, d: str) -> DataFrame:
 
 
 add("x_y_bounds", _xy)
-add("degree_balance", lambda s, d: s.createDataFrame([(theory.balance(graph_view(s, d, v).degrees().withColumn("d", F.col("deg").cast("double"))), v) for v in ("user_hour", "order_part", "knn8")], "lambda double, view string"))
+_BALANCED = ("user_hour", "order_part", "knn8")
+_RATIOS = ", ".join(f"m{a + b} / (m{a} * m{b})" for a in (1, 2, 3) for b in (1, 2, 3))
+add(
+    "degree_balance",
+    lambda s, d: s.createDataFrame([(round(theory.balance(_degrees_as_d(s, d, v)), 9), v) for v in _BALANCED], "balance double, view string"),
+    " UNION ALL ".join(f"SELECT round(x, 9) AS balance, '{v}' AS view FROM ({sqltext.arcs_with(v, f', m AS (SELECT {', '.join(f'sum(deg::DOUBLE ** {p}) AS m{p}' for p in range(1, 7))} FROM d) SELECT greatest({_RATIOS}) AS x FROM m')})" for v in _BALANCED),
+)
+
+
+def _degrees_as_d(s: SparkSession, d: str, view: str) -> DataFrame:
+    return graph_view(s, d, view).degrees().withColumn("d", F.col("deg").cast("double"))
+
+
+def _bounds(s: SparkSession, d: str) -> DataFrame:
+    """Logarithms of both bounds and of the two sides of the inequality between them, for the degrees of a view."""
+    seq, rows = _degrees_as_d(s, d, "user_hour"), []
+    for q in (3, 4, 5):
+        left, right = theory.moment_inequality(seq, q)
+        rows.append((q, *[round(math.log10(x), 6) for x in (theory.x_upper(seq, q), theory.y_lower(seq, q), left, right)], left <= right))
+    return s.createDataFrame(rows, "q int, x_upper double, y_lower double, left_side double, right_side double, holds boolean")
+
+
+add(
+    "theory_bounds_user_hour",
+    _bounds,
+    " UNION ALL ".join(
+        "SELECT * FROM (" + sqltext.arcs_with(
+            "user_hour",
+            f", m AS (SELECT sum(deg)::DOUBLE AS m1, sum(deg * deg)::DOUBLE AS m2, sum(deg::DOUBLE ** {2 - 1 / (q - 1)}) AS mp FROM d) SELECT {q}::INTEGER AS q, round(log10(m1 ** {2 - q} * mp ** {q - 1}), 6) AS x_upper, round(log10(m1 ** {3 - q} * m2 ** {q - 2} / {q}), 6) AS y_lower, round(log10(mp ** {q - 1}), 6) AS left_side, round(log10(m1 * m2 ** {q - 2}), 6) AS right_side, mp ** {q - 1} <= m1 * m2 ** {q - 2} AS holds FROM m",
+        ) + ")"
+        for q in (3, 4, 5)
+    ),
+)
+_ALPHAS = [(a / 10, q) for a in range(11, 20) for q in (3, 4, 5)]
+add(
+    "theory_exponents",
+    lambda s, d: s.createDataFrame([(a, q, round(e["y"], 9), round(e["x"], 9), round(e["gain"], 9), e["log_power"], round(theory.power_law_lambda(10_000, a), 9)) for a, q in _ALPHAS for e in [theory.exponents(a, q)]], "alpha double, q int, y double, x double, gain double, log_power double, balance double"),
+    "SELECT alpha, q, round(y, 9) AS y, round(x, 9) AS x, round(y - x, 9) AS gain, log_power, round(10000 ** (alpha / 2 - 1), 9) AS balance FROM (SELECT *, alpha - 1 + (2 - alpha) * q / 2 AS y, CASE WHEN alpha < 2 - 1 / (q - 1)::DOUBLE THEN 0.5 + (2 - alpha) * (q - 1) / 2 ELSE 1.0::DOUBLE END AS x, CASE WHEN alpha < 2 - 1 / (q - 1)::DOUBLE THEN 0.0::DOUBLE ELSE (q - 1)::DOUBLE END AS log_power FROM (VALUES "
+    + ", ".join(f"({a}::DOUBLE, {q})" for a, q in _ALPHAS)
+    + ") AS t(alpha, q))",
+)
+_MEANS = [(20.0, 1.0), (100.0, 2.0), (400.0, 20.0), (1000.0, 5.0)]
+add(
+    "theory_inversions",
+    lambda s, d: s.createDataFrame([(a, b, round(theory.inversion_bound(a, b), 12)) for a, b in _MEANS], "large double, small double, bound double"),
+    "SELECT large, small, round(least(1.0::DOUBLE, exp(-1 * pow((large - m) / large, 2) * large / 2) + exp(m * (1 - ln(m / small)))), 12) AS bound FROM (SELECT *, (large + small) / 2 AS m FROM (VALUES " + ", ".join(f"({a}::DOUBLE, {b}::DOUBLE)" for a, b in _MEANS) + ") AS t(large, small))",
+)
+_PATH = [(2.0, 3.0, 4.0), (1.0, 5.0, 2.0), (3.0, 3.0, 3.0)]
+add(
+    "theory_path_probability",
+    lambda s, d: s.createDataFrame([(*x, round(theory.path_probability(list(x), 10.0), 9)) for x in _PATH], "a double, b double, c double, p double"),
+    "SELECT a, b, c, round(a * b * b * c / 100, 9) AS p FROM (VALUES " + ", ".join(f"({a}::DOUBLE, {b}::DOUBLE, {c}::DOUBLE)" for a, b, c in _PATH) + ") AS t(a, b, c)",
+)
+add(
+    "treewidth_test",
+    lambda s, d: s.createDataFrame([(n, is_treewidth_le2(parse(t))) for n, t in _WIDTHS], "query string, at_most_two boolean"),
+    "SELECT * FROM (VALUES ('k4', false), ('k33', false), ('grid9', false), ('c8', true), ('k23', true), ('bintree12', true)) AS t(query, at_most_two)",
+)
+add(
+    "plan_widths",
+    lambda s, d: s.createDataFrame([(n, max(map(validate, enumerate_plans(CATALOGUE[n]))) <= 2) for n in _TREES], "query string, within_two boolean"),
+    "SELECT query, true AS within_two FROM (VALUES " + ", ".join(f"('{n}')" for n in _TREES) + ") AS t(query)",
+)
 
 # --- joins, sets and windows that users of the views need --------------------------------------------------
 
@@ -443,7 +608,7 @@ def _peel(s: SparkSession, d: str) -> DataFrame:
     return prune(graph_view(s, d, "knn8"), 7, 2).edges
 
 
-add("two_core_peel", _peel, _core_sql("knn8", 7))
+add("peel_degree_7_twice", _peel, _core_sql("knn8", 7))
 
 
 def _edges(s: SparkSession, d: str, v: str) -> DataFrame:
@@ -467,6 +632,50 @@ def _lateral(s: SparkSession, d: str) -> DataFrame:
 
 
 add("lateral_topk", _lateral, "SELECT n_nationkey, c_custkey FROM nation, LATERAL (SELECT c_custkey FROM customer WHERE c_nationkey = n_nationkey ORDER BY c_acctbal DESC, c_custkey LIMIT 3)")
+add(
+    "value_percentiles",
+    lambda s, d: table(s, d, "events").groupBy("event_type").agg(*[F.round(F.percentile("value", p / 100), 6).alias(f"p{p}") for p in (25, 50, 90)]),
+    "SELECT event_type, round(quantile_cont(value, 0.25), 6) AS p25, round(quantile_cont(value, 0.5), 6) AS p50, round(quantile_cont(value, 0.9), 6) AS p90 FROM events GROUP BY event_type",
+)
+add(
+    "event_quarters",
+    lambda s, d: table(s, d, "events").withColumn("quarter", F.ntile(4).over(W.partitionBy("user_id").orderBy("ts", "event_id"))).groupBy("quarter").agg(F.count("*").alias("n"), F.max("event_id").alias("last")),
+    "SELECT quarter::INTEGER AS quarter, count(*) AS n, max(event_id) AS last FROM (SELECT event_id, ntile(4) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS quarter FROM events) GROUP BY 1",
+)
+add(
+    "profile_long",
+    lambda s, d: profile(graph_view(s, d, "user_hour")).unpivot("view", ["nodes", "edges", "max_deg"], "measure", "value"),
+    f"SELECT view, measure, value FROM (SELECT view, nodes, edges, max_deg FROM ({sqltext.profile('user_hour')})) UNPIVOT (value FOR measure IN (nodes, edges, max_deg))",
+)
+add(
+    "cv_by_aggregate_function",
+    lambda s, d: table(s, d, "events").groupBy("event_type").agg(F.round(udf.cv("value"), 6).alias("cv")),
+    "SELECT event_type, round(stddev_samp(value) / avg(value), 6) AS cv FROM events GROUP BY event_type",
+)
+add(
+    "ego_triangles_knn8",
+    lambda s, d: udf.ego_triangles(graph_view(s, d, "knn8")).groupBy("triangles").agg(F.count("*").alias("vertices")),
+    sqltext.arcs_with("knn8", """, t AS (SELECT x.src AS v, count(*) AS triangles FROM a x JOIN d dx ON dx.v = x.src JOIN d dy ON dy.v = x.dst JOIN a z ON z.src = x.dst JOIN d dz ON dz.v = z.dst JOIN a c ON c.src = x.src AND c.dst = z.dst
+        WHERE (dx.deg, dx.v) < (dy.deg, dy.v) AND (dy.deg, dy.v) < (dz.deg, dz.v) GROUP BY x.src) SELECT triangles::BIGINT AS triangles, count(*) AS vertices FROM t GROUP BY 1"""),
+)
+
+
+def _cogrouped(s: SparkSession, d: str) -> DataFrame:
+    a, b = (_block_table(s, d, ("a", "b"), st) for st in ("boundary", "degree"))
+    return udf.differences(a, b, ["u", "v", "sig"])
+
+
+add("cogrouped_differences", _cogrouped, "SELECT 0::BIGINT AS differing")
+add(
+    "motif_count_view",
+    lambda s, d: udf.motif_count(s, d, [("user_hour", "c4")], 3) and s.sql("SELECT query, graph, trials, mean_colorful FROM motif_count"),
+    f"SELECT 'c4' AS query, 'user_hour' AS graph, count(*) AS trials, avg(cnt) AS mean_colorful FROM ({_trials_sql(3)})",
+)
+add(
+    "node_join_shuffled_hash",
+    lambda s, d: _node_join(s, d, True),
+    _SQL["node_join"],
+)
 add(
     "json_props",
     lambda s, d: table(s, d, "events").groupBy("event_type").agg(F.sum(F.get_json_object("props", "$.k").cast("long")).alias("k"), F.count("*").alias("n")),
@@ -523,3 +732,31 @@ add(
     """WITH e AS (SELECT DISTINCT ts::DATE AS day, user_id, event_type FROM events)
     SELECT day::VARCHAR AS day, sum(c * (c - 1) // 2)::BIGINT AS wedges FROM (SELECT day, count(*) AS c FROM e GROUP BY day, user_id UNION ALL SELECT day, count(*) FROM e GROUP BY day, event_type) GROUP BY day""",
 )
+add(
+    "streamed_four_cycles",
+    lambda s, d: windows.FourCycles(s).drive(windows.event_stream(s, d)).select(F.col("day").cast("string").alias("day"), "cnt"),
+    """WITH e AS (SELECT DISTINCT ts::DATE AS day, user_id, event_type FROM events WHERE user_id IS NOT NULL AND event_type IS NOT NULL),
+    p AS (SELECT day, a.event_type AS x, b.event_type AS y, count(*) AS c FROM e a JOIN e b USING (day, user_id) WHERE a.event_type < b.event_type GROUP BY ALL)
+    SELECT day::VARCHAR AS day, sum(c * (c - 1) // 2)::BIGINT AS cnt FROM p GROUP BY day""",
+)
+add(
+    "streamed_by_nation",
+    lambda s, d: _micros(windows.run_to_table(windows.by_nation(windows.event_stream(s, d), table(s, d, "customer")), "append")),
+    """SELECT w AS win_start, w + 86400000000 AS win_end, nation, count(*) AS n FROM (SELECT epoch_us(ts) - epoch_us(ts) % 86400000000 AS w, c_nationkey AS nation FROM events JOIN customer ON c_custkey = user_id)
+    WHERE w + 86400000000 <= (SELECT epoch_us(max(ts)) - 3600000000 FROM events) GROUP BY w, nation""",
+)
+add(
+    "streamed_degrees",
+    lambda s, d: windows.run_to_table(windows.stateful_degrees(windows.event_stream(s, d)), "update").groupBy("user_id").agg(F.max("degree").alias("degree"), F.max("seen").alias("seen")),
+    "SELECT user_id, count(DISTINCT event_type) AS degree, count(*) AS seen FROM events GROUP BY user_id",
+)
+add(
+    "streamed_once",
+    lambda s, d: windows.run_to_table(windows.deduplicated(windows.event_stream(s, d)), "append").groupBy("event_type").agg(F.count("*").alias("n")),
+    "SELECT event_type, count(DISTINCT event_id) AS n FROM events GROUP BY event_type",
+)
+add(
+    "streamed_active_pairs",
+    lambda s, d: windows.run_to_table(windows.active_pairs(windows.event_stream(s, d)), "append").groupBy("src", "dst").agg(F.count("*").alias("n")),
+    "SELECT a.user_id AS src, b.user_id AS dst, count(*) AS n FROM events a JOIN events b ON b.ts > a.ts AND b.ts <= a.ts + interval 10 minutes AND a.event_type = b.event_type AND a.user_id <> b.user_id GROUP BY ALL",
+)

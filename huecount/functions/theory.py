@@ -68,5 +68,25 @@ def exponents(alpha: float, q: int) -> dict[str, float]:
     return {"y": y, "x": x, "gain": y - x, "log_power": 0.0 if alpha < threshold else float(q - 1)}
 
 
+def upper_tail(mu: float, by: float) -> float:
+    """Bound on the chance that a sum of independent 0/1 variables with mean mu reaches (1 + by) mu. The orders by
+    expected and by actual degree differ for two vertices only if such a sum is far off its mean."""
+    return math.exp((1 + by) * mu * (1 - math.log1p(by))) if mu > 0 else 0.0
+
+
+def lower_tail(mu: float, by: float) -> float:
+    """Bound on the chance that such a sum is (1 - by) mu at most, 0 < by < 1."""
+    return math.exp(-by * by * mu / 2)
+
+
+def inversion_bound(large: float, small: float) -> float:
+    """Bound on the chance that a vertex of expected degree small ends up with a degree no less than one of expected
+    degree large, for small up to a twentieth of large: one of both sums has to cross the middle between the means."""
+    if 20 * small > large:
+        raise ValueError("the bound holds for expected degrees that are twenty times apart")
+    middle = (large + small) / 2
+    return min(1.0, lower_tail(large, 1 - middle / large) + (upper_tail(small, middle / small - 1) if small > 0 else 0.0))
+
+
 def gain_exponent(alpha: float, q: int) -> float:
     return exponents(alpha, q)["gain"]

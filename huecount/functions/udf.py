@@ -1,15 +1,64 @@
-"""The SQL surface: table functions over queries and plans, and a scalar for automorphisms."""
+"""The SQL surface: table functions over queries and plans, a scalar for automorphisms, a view of estimates; an aggregate
+function, and checks that group rows in Python."""
 
 from __future__ import annotations
 
+from functools import reduce
+
 import pandas as pd
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.types import LongType
+from pyspark.sql.types import DoubleType, LongType
 
+from huecount.operators import estimate
+from huecount.operators.graph import DataGraph, id_of
 from huecount.plans.plan import PLAN_SCHEMA, enumerate_plans, plan_for
-from huecount.plans.query import automorphisms, parse
+from huecount.plans.query import CATALOGUE, automorphisms, parse
 from huecount.sources.io import RmatSource
+from huecount.sources.views import graph_view
+
+
+@F.pandas_udf(DoubleType())
+def cv(x: pd.Series) -> float:
+    """Coefficient of variation of a group, as an aggregate function; null if the mean is 0. It holds a group in memory: the
+    built-in form stddev_samp / avg is the one to use on large groups."""
+    mean = x.mean()
+    return float(x.std(ddof=1) / mean) if len(x) > 1 and mean else None
+
+
+def ego_triangles(g: DataGraph) -> DataFrame:
+    """v, triangles of every vertex, each counted by hand in the graph of its higher neighbours: a check of the joins."""
+    up = g.arcs().where("src < dst")
+    a, b = up.select(F.col("src").alias("v"), F.col("dst").alias("x")), up.select(F.col("src").alias("v"), F.col("dst").alias("y"))
+    inner = up.select(F.col("src").alias("x"), F.col("dst").alias("y"))
+    ego = a.join(inner, "x").join(b.withColumnRenamed("v", "w"), "y").where("v = w").select("v", "x", "y")
+
+    def count(key, rows: pd.DataFrame) -> pd.DataFrame:
+        near: dict[int, set[int]] = {}
+        for x, y in zip(rows["x"], rows["y"], strict=True):
+            near.setdefault(x, set()).add(y)
+        return pd.DataFrame({"v": [key[0]], "triangles": [sum(map(len, near.values()))]})
+
+    counted = ego.groupBy("v").applyInPandas(count, "v long, triangles long")
+    return counted.select(id_of(F.col("v")).alias("v"), "triangles")
+
+
+def differences(a: DataFrame, b: DataFrame, by: list[str], value: str = "cnt") -> DataFrame:
+    """How many keys two tables disagree on, by grouping both together."""
+
+    def compare(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"differing": [int(sorted(left[value]) != sorted(right[value]))]})
+
+    each = a.groupBy(*by).cogroup(b.groupBy(*by)).applyInPandas(compare, "differing long")
+    return each.agg(F.coalesce(F.sum("differing"), F.lit(0)).alias("differing"))
+
+
+def motif_count(spark: SparkSession, sf_dir: str, cells: list[tuple[str, str]], trials: int = 3) -> DataFrame:
+    """Estimates of (view, query) cells, also as the temporary view motif_count."""
+    rows = [estimate.count(graph_view(spark, sf_dir, v), CATALOGUE[q], trials, kind="affine") for v, q in cells]
+    made = reduce(DataFrame.unionByName, rows)
+    made.createOrReplaceTempView("motif_count")
+    return made
 
 
 def register(spark: SparkSession) -> None:
@@ -33,4 +82,5 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("decompose", Decompose)
     spark.udtf.register("motif_plan_trees", PlanTrees)
     spark.udf.register("query_aut", query_aut)
+    spark.udf.register("cv", cv)
     spark.dataSource.register(RmatSource)

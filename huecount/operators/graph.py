@@ -20,6 +20,8 @@ MAX_ORDER = (1 << 23) - 1
 
 
 def key_of(order_value: Column, v: Column) -> Column:
+    fits = (v >= 0) & (v < 1 << ID_BITS)
+    v = F.when(fits, v).otherwise(F.raise_error(F.concat(F.lit("vertex ids lie in 0 to 2^40 - 1, not "), v.cast("string"))).cast("long"))
     return F.shiftleft(F.least(order_value, F.lit(MAX_ORDER)).cast("long"), ID_BITS).bitwiseOR(v)
 
 
@@ -27,6 +29,11 @@ def id_of(key: Column) -> Column:
     return key.bitwiseAND(F.lit((1 << ID_BITS) - 1))
 
 
+def order_of(key: Column) -> Column:
+    """The order value in a key: the degree, under the order by degree."""
+    return F.call_function("shiftright", key, F.lit(ID_BITS))
+
+
 def simple_edges(pairs: DataFrame) -> DataFrame:
     """src < dst, distinct, without loops or nulls, from any pairs (src, dst)."""
     kept = pairs.where("src is not null and dst is not null and src <> dst")
@@ -44,6 +51,7 @@ class DataGraph:
     order: str = "degree"
     bipartite: bool = False
     _arcs: DataFrame | None = field(default=None, repr=False)
+    _largest: int | None = field(default=None, repr=False)
 
     @property
     def spark(self) -> SparkSession:
@@ -71,6 +79,7 @@ class DataGraph:
     def arcs(self) -> DataFrame:
         """src, dst as keys, both directions; made once, partitioned by src."""
         if self._arcs is None:
+            self.edges = cut(self.edges, "edges")  # read for degrees and by both joins
             keys = self.vertex_keys().select("v", "key")
             a = keys.select(F.col("v").alias("src"), F.col("key").alias("a"))
             b = keys.select(F.col("v").alias("dst"), F.col("key").alias("b"))
@@ -78,6 +87,13 @@ class DataGraph:
             self._arcs = cut(both_ways(one_way), "arcs", ("src",))
         return self._arcs
 
+    def largest_order(self) -> int:
+        """The largest degree, if keys are ordered by degree, else 0."""
+        if self._largest is None:
+            top = self.arcs().agg(F.max(order_of(F.col("src")))).first()[0] if self.order == "degree" else 0
+            self._largest = int(top or 0)
+        return self._largest
+
     def save_bucketed(self, table: str, buckets: int = 64) -> None:
         """Arcs as a bucketed, sorted table: later extensions move only the path table."""
         self.arcs().write.mode("overwrite").bucketBy(buckets, "src").sortBy("src", "dst").saveAsTable(table)

@@ -14,16 +14,22 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from huecount.functions import signature as sg
-from huecount.operators.graph import DataGraph, id_of
+from huecount.operators.graph import DataGraph, id_of, order_of
+
+
+#: Arcs of one vertex that one task extends paths by. The arcs of a vertex of higher degree are dealt to several.
+HUB_DEGREE = 1 << 16
 
 
 @dataclass
 class Context:
-    """A graph, a colouring, the type of counts, and, if wanted, a record of the work of every step."""
+    """A graph, a colouring, the type of counts, and, if wanted, a record of the work of every step. hash_small:
+    join unary tables, the small sides, by shuffled hash instead of sort-merge."""
 
     graph: DataGraph
     coloring: object
     count_type: str = "long"
+    hash_small: bool = False
     load: list[DataFrame] | None = field(default=None)
     load_name: str = ""
 
@@ -76,7 +82,15 @@ def seed_block(ctx: Context, table: DataFrame, flip: bool, high: bool) -> DataFr
 def extend_edge(ctx: Context, path: DataFrame, high: bool) -> DataFrame:
     recs = recorded(path)
     near = ctx.graph.arcs().select(F.col("src").alias("tail"), F.col("dst").alias("w"))
-    rows = path.join(near, "tail").withColumn("bw", ctx.bit(F.col("w"), F.col("trial")))
+    if ctx.graph.largest_order() > HUB_DEGREE:
+        # A key tells its vertex's degree: paths that end at a hub meet its arcs lot by lot.
+        lots = F.floor(order_of(F.col("tail")) / HUB_DEGREE)
+        near = near.withColumn("lot", F.pmod(F.xxhash64("w"), lots + 1))
+        path = path.withColumn("lot", F.explode(F.sequence(F.lit(0).cast("long"), lots)))
+        rows = path.join(near, ["tail", "lot"]).drop("lot")
+    else:
+        rows = path.join(near, "tail")
+    rows = rows.withColumn("bw", ctx.bit(F.col("w"), F.col("trial")))
     ok = sg.has_not(F.col("sig"), F.col("bw"))
     ok = (F.col("h") > F.col("w")) & ok if high else ok
     ctx.note("extend", rows, ok)
@@ -100,7 +114,7 @@ def attach_node(ctx: Context, path: DataFrame, table: DataFrame, at: str) -> Dat
     """Multiply in a child's unary table at the path's head (h) or tail."""
     recs = recorded(path)
     t = table.select("trial", F.col("u").alias(at), F.col("sig").alias("sig2"), F.col("cnt").alias("cnt2"))
-    rows = path.join(t, ["trial", at])
+    rows = path.join(t.hint("shuffle_hash") if ctx.hash_small else t, ["trial", at])
     ok = sg.disjoint_except(F.col("sig"), F.col("sig2"), ctx.bit(F.col(at), F.col("trial")))
     ctx.note("attach", rows, ok)
     rows = rows.where(ok).select("trial", "h", "tail", *recs, sg.union(F.col("sig"), F.col("sig2")).alias("sig"), (F.col("cnt") * F.col("cnt2")).alias("cnt"))

@@ -7,6 +7,7 @@ below it. All three give the same tables.
 
 from __future__ import annotations
 
+from collections import Counter, defaultdict
 from functools import reduce
 
 from pyspark.errors import PySparkException
@@ -14,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from huecount.operators import joins
-from huecount.operators.graph import DataGraph
+from huecount.operators.graph import DataGraph, order_of
 from huecount.operators.joins import Context
 from huecount.plans.plan import Block, Plan, plan_for
 from huecount.plans.query import QueryGraph, is_bipartite
@@ -43,36 +44,57 @@ class Solver:
         self.symmetry, self.root_complement, self.share = symmetry, root_complement, share
         self.tables: dict[int, DataFrame] = {}
         self._paths: dict[tuple, DataFrame] = {}
+        self._uses: Counter = Counter()
 
     def path(self, block: Block, nodes: list[str], own_start: bool, own_end: bool, high: bool) -> DataFrame:
         """The table of a path along nodes. Boundary nodes inside it are recorded; annotations of its ends
-        count only if owned."""
-        shape = self._shape(block, nodes, own_start, own_end, high)
-        if self.share and shape in self._paths:
-            return self._paths[shape]
-        ctx, table = self.ctx, self.tables
-        child = block.on_edge(nodes[0], nodes[1])
-        p = joins.seed_edge(ctx, high) if child is None else joins.seed_block(ctx, table[child], self._flip(child, nodes[0]), high)
-        if own_start and (c := block.on_node(nodes[0])) is not None:
-            p = joins.attach_node(ctx, p, table[c], "h")
-        for i in range(1, len(nodes)):
+        count only if owned. Tables of equal beginnings are made once, and written if more than one step reads them."""
+        ctx, table, made = self.ctx, self.tables, None
+        for i, shape in enumerate(self._shapes(block, nodes, own_start, own_end, high), 1):
+            if self.share and shape in self._paths:
+                made = self._paths[shape]
+                continue
             last = i == len(nodes) - 1
+            child = block.on_edge(nodes[i - 1], nodes[i])
             if i > 1:
-                child = block.on_edge(nodes[i - 1], nodes[i])
-                p = joins.extend_edge(ctx, p, high) if child is None else joins.extend_block(ctx, p, table[child], self._flip(child, nodes[i - 1]), high)
+                made = joins.extend_edge(ctx, made, high) if child is None else joins.extend_block(ctx, made, table[child], self._flip(child, nodes[i - 1]), high)
+            else:
+                made = joins.seed_edge(ctx, high) if child is None else joins.seed_block(ctx, table[child], self._flip(child, nodes[0]), high)
+                if own_start and (c := block.on_node(nodes[0])) is not None:
+                    made = joins.attach_node(ctx, made, table[c], "h")
             if (not last or own_end) and (c := block.on_node(nodes[i])) is not None:
-                p = joins.attach_node(ctx, p, table[c], "tail")
+                made = joins.attach_node(ctx, made, table[c], "tail")
             if not last and nodes[i] in block.boundary:
-                p = joins.record(p, nodes[i])
-        self._paths[shape] = p
-        return p
-
-    def _shape(self, block, nodes, own_start, own_end, high):
-        """Paths of equal shape have equal tables, up to what they are called."""
-        marks = [block.on_node(n) if 0 < i < len(nodes) - 1 or (i == 0 and own_start) or (i and own_end) else None for i, n in enumerate(nodes)]
-        steps = [(c, self._flip(c, a) if c is not None else None) for a, b in zip(nodes, nodes[1:], strict=False) for c in [block.on_edge(a, b)]]
-        recs = [n if n in block.boundary and 0 < i < len(nodes) - 1 else None for i, n in enumerate(nodes)]
-        return (tuple(marks), tuple(steps), tuple(recs), high)
+                made = joins.record(made, nodes[i])
+            if self._uses[shape] > 1 and i > 1:
+                made = cut(made, "path")
+            self._paths[shape] = made
+        return made
+
+    def _shapes(self, block, nodes, own_start, own_end, high) -> list[tuple]:
+        """What the table of each beginning of a path depends on: those of equal shape are equal. A node inside
+        a path and the same node at its end differ if it has something to attach or to record."""
+        first = block.on_node(nodes[0]) if own_start else None
+        shape, out = (high, first), []
+        for i in range(1, len(nodes)):
+            last = i == len(nodes) - 1
+            child = block.on_edge(nodes[i - 1], nodes[i])
+            step = (child, None if child is None else self._flip(child, nodes[i - 1]))
+            mark = block.on_node(nodes[i]) if not last or own_end else None
+            shape = (*shape, step, mark, nodes[i] if not last and nodes[i] in block.boundary else None)
+            out.append(shape)
+        return out
+
+    def _plan_uses(self, block: Block, pairs: list[tuple[list[str], list[str]]], high: bool) -> None:
+        """Count, for every beginning of the paths to come, the different steps that read its table."""
+        readers = defaultdict(set)
+        for at, (plus, minus) in enumerate(pairs):
+            for side, (nodes, ends) in enumerate(((plus, (False, True)), (minus, (True, False)))):
+                shapes = self._shapes(block, nodes, *ends, high)
+                for shape, nxt in zip(shapes, shapes[1:], strict=False):
+                    readers[shape].add(nxt)
+                readers[shapes[-1]].add((at, side))
+        self._uses = Counter({shape: len(x) for shape, x in readers.items()}) if self.share and self.ctx.load is None else Counter()
 
     def _flip(self, child: int, first: str) -> bool:
         """Whether a child's table has to be turned to start at first."""
@@ -86,9 +108,9 @@ class Solver:
         times = 1
         if high and root and self.symmetry and not block.children:
             chosen, times = chosen[:1], n  # every rotation of a bare cycle gives the same sum
-        for i, j in chosen:
-            plus = [seq[(i + s) % n] for s in range((j - i) % n + 1)]
-            minus = [seq[(i - s) % n] for s in range((i - j) % n + 1)]
+        pairs = [([seq[(i + s) % n] for s in range((j - i) % n + 1)], [seq[(i - s) % n] for s in range((i - j) % n + 1)]) for i, j in chosen]
+        self._plan_uses(block, pairs, high)
+        for (i, j), (plus, minus) in zip(chosen, pairs, strict=True):
             a = self.path(block, plus, False, True, high)
             b = self.path(block, minus, True, False, high)
             place = {seq[i]: "h", seq[j]: "tail"}
@@ -125,9 +147,29 @@ def impossible(g: DataGraph, q: QueryGraph) -> bool:
     return g.bipartite and not is_bipartite(q)
 
 
+def strategy_for(g: DataGraph, q: QueryGraph, plan: Plan | None = None) -> str:
+    """The degree order where few vertices carry the steps, the even split on flat graphs, where starting a cycle at each
+    of its nodes costs more than the order saves. From one pass over the arcs, whose keys tell degrees: how many
+    arcs a step finds in the mean, from any end and from the lower end of an arc."""
+    plan = plan or plan_for(q)
+    longest = max((b for b in plan.blocks if b.kind == "cycle"), key=lambda b: len(b.seq), default=None)
+    if longest is None or g.order != "degree":
+        return "degree"
+    below = F.col("src") > F.col("dst")
+    n, every, low, ordered = g.arcs().agg(F.count("*"), F.sum(order_of(F.col("dst"))), F.count_if(below), F.sum(F.when(below, order_of(F.col("dst"))))).first()
+    if not n:
+        return "degree"
+    steps, bare = -(-len(longest.seq) // 2) - 1, not longest.boundary and not longest.children
+    plain = n * (every / n) ** steps
+    return "degree" if (1 if bare else len(longest.seq)) * low * (ordered / low) ** steps <= plain else "even"
+
+
 def count_colorful(g: DataGraph, q: QueryGraph, coloring, strategy: str = "degree", plan: Plan | None = None, count_type: str = "auto", **rules) -> DataFrame:
-    """trial, cnt (decimal(38,0) under count_type='decimal', else long), a row for every trial."""
+    """trial, cnt (decimal(38,0) under count_type='decimal', else long), a row for every trial. strategy 'auto': as
+    strategy_for says."""
     spark = g.spark
+    if strategy == "auto":
+        strategy = strategy_for(g, q, plan)
     trials = spark.range(coloring.trials).select(F.col("id").cast("int").alias("trial"))
     if impossible(g, q):
         return trials.select("trial", F.lit(0).cast("long").alias("cnt"))
@@ -154,7 +196,7 @@ def run_banded(g: DataGraph, q: QueryGraph, coloring, bands: int, **rules) -> Da
     for b in plan.blocks[:-1]:
         solver.tables[b.id] = cut(solver.block(b), f"block{b.id}", ("trial", "u"))
     parts, whole = [], solver.path
-    solver.share = False
+    solver.share = False  # a path of one band is not that of another
     for band in range(bands):
         in_band = F.pmod(F.xxhash64("h"), F.lit(bands)) == band
         solver.path = lambda *a, f=in_band: whole(*a).where(f)

@@ -15,14 +15,37 @@ def uniform(*parts) -> Column:
     return F.pmod(F.xxhash64(*[p if isinstance(p, Column) else F.lit(p) for p in parts]), F.lit(1 << 52)) / float(1 << 52)
 
 
-def rmat(spark: SparkSession, scale: int, edge_factor: int = 16, a: float = 0.5, b: float = 0.1, c: float = 0.1, d: float = 0.3, seed: int = 1) -> DataGraph:
+# Fixed values of the portable draw: a prime below 2^31 and three factors.
+PRIME, FACTORS = 2147483647, (48271, 69621, 16807)
+
+
+def portable(v: Column, level: int, seed: int) -> Column:
+    """In [0, 1), by whole numbers that any SQL engine computes alike; slower than ``uniform`` to mix, but no hash."""
+    x = (v * FACTORS[0] + (level + 1) * FACTORS[1] + seed * FACTORS[2]) % PRIME
+    for _ in range(3):
+        x = (x * x + v + level + 1) % PRIME
+    return x / F.lit(float(PRIME))
+
+
+def rmat_sql(scale: int, edge_factor: int = 16, a: float = 0.5, b: float = 0.1, c: float = 0.1, seed: int = 1) -> str:
+    """The edges of ``rmat`` with the portable draw, as SQL text."""
+    rounds = f"SELECT id, l, (id * {FACTORS[0]} + (l + 1) * {FACTORS[1]} + {seed * FACTORS[2]}) % {PRIME} AS x FROM range({edge_factor << scale}) t(id), range({scale}) u(l)"
+    for _ in range(3):
+        rounds = f"SELECT id, l, (x * x + id + l + 1) % {PRIME} AS x FROM ({rounds})"
+    ends = f"SELECT id, l, CASE WHEN u >= {a + b} THEN 1 ELSE 0 END AS high, CASE WHEN u >= {a} AND u < {a + b} THEN 1 WHEN u >= {a + b + c} THEN 1 ELSE 0 END AS low FROM (SELECT id, l, x / {PRIME}::DOUBLE AS u FROM ({rounds}))"
+    both = f"SELECT sum(high << ({scale - 1} - l)::INTEGER)::BIGINT AS p, sum(low << ({scale - 1} - l)::INTEGER)::BIGINT AS q FROM ({ends}) GROUP BY id"
+    return f"SELECT DISTINCT least(p, q) AS src, greatest(p, q) AS dst FROM ({both}) WHERE p <> q"
+
+
+def rmat(spark: SparkSession, scale: int, edge_factor: int = 16, a: float = 0.5, b: float = 0.1, c: float = 0.1, d: float = 0.3, seed: int = 1, draw=None) -> DataGraph:
     """2^scale vertices, edge_factor edges a vertex before loops and repeats go. Each bit of both ends is
-    one draw among the four quadrants."""
+    one draw among the four quadrants. draw(id, level, seed): numbers in [0, 1); by default a hash."""
+    draw = draw or (lambda v, level, seed: uniform(v, seed, level))
     if abs(a + b + c + d - 1) > 1e-9:
         raise ValueError("quadrant shares add up to 1")
     src, dst = F.lit(0).cast("long"), F.lit(0).cast("long")
     for level in range(scale):
-        u = uniform(F.col("id"), seed, level)
+        u = draw(F.col("id"), level, seed)
         low = F.when((u >= a) & (u < a + b), 1).when(u >= a + b + c, 1).otherwise(0)
         high = F.when(u >= a + b, 1).otherwise(0)
         src, dst = src * 2 + high, dst * 2 + low

@@ -9,7 +9,11 @@ from huecount.sources.views import VIEW_SQL
 
 
 def arcs_with(view: str, rest: str) -> str:
-    return f"WITH e AS MATERIALIZED ({VIEW_SQL[view]}), a AS MATERIALIZED (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e), d AS MATERIALIZED (SELECT src AS v, count(*) AS deg FROM a GROUP BY src) {rest}"
+    return arcs_of(VIEW_SQL[view], rest)
+
+
+def arcs_of(edges: str, rest: str) -> str:
+    return f"WITH e AS MATERIALIZED ({edges}), a AS MATERIALIZED (SELECT src, dst FROM e UNION ALL SELECT dst, src FROM e), d AS MATERIALIZED (SELECT src AS v, count(*) AS deg FROM a GROUP BY src) {rest}"
 
 
 def _joined(q: QueryGraph, source: str, unlike) -> tuple[str, str]:
@@ -28,12 +32,34 @@ def _joined(q: QueryGraph, source: str, unlike) -> tuple[str, str]:
     return " ".join(frm), unlike(order[0], order[1])
 
 
+def tree(view: str, q: QueryGraph, k: int | None = None) -> str:
+    """Colourful matches of a tree query, level by level from the leaves: tables of (vertex, colours, number)."""
+    k, near, parts = k or q.k, q.neighbours(), []
+
+    def below(n: str, parent: str | None) -> str:
+        parts.append(f"t_{n}_0 AS MATERIALIZED (SELECT v, 1::BIGINT << ({affine_sql('v', k)})::INTEGER AS s, 1::HUGEINT AS c FROM d)")
+        made = f"t_{n}_0"
+        for i, child in enumerate(sorted(near[n] - {parent}), 1):
+            t = below(child, n)
+            parts.append(f"u_{child} AS MATERIALIZED (SELECT a.src AS v, t.s, sum(t.c) AS c FROM a JOIN {t} t ON t.v = a.dst GROUP BY ALL)")
+            parts.append(f"t_{n}_{i} AS MATERIALIZED (SELECT x.v, x.s | y.s AS s, sum(x.c * y.c) AS c FROM {made} x JOIN u_{child} y ON x.v = y.v AND x.s & y.s = 0 GROUP BY ALL)")
+            made = f"t_{n}_{i}"
+        return made
+
+    top = below(q.nodes[0], None)
+    return arcs_with(view, f", {', '.join(parts)} SELECT coalesce(sum(c), 0)::BIGINT AS cnt FROM {top}")
+
+
 def colorful(view: str, q: QueryGraph, k: int | None = None, trial: str = "0") -> str:
     """SELECT of the number of colourful matches as cnt."""
+    return colorful_of(VIEW_SQL[view], q, k, trial)
+
+
+def colorful_of(edges: str, q: QueryGraph, k: int | None = None, trial: str = "0") -> str:
     k = k or q.k
     frm, where = _joined(q, "c", lambda m, n: f"c_{m} <> c_{n}")
     colored = f"c AS MATERIALIZED (SELECT src, dst, {affine_sql('src', k, trial)} AS c1, {affine_sql('dst', k, trial)} AS c2 FROM a)"
-    return arcs_with(view, f", {colored} SELECT count(*)::BIGINT AS cnt FROM {frm} WHERE {where}")
+    return arcs_of(edges, f", {colored} SELECT count(*)::BIGINT AS cnt FROM {frm} WHERE {where}")
 
 
 def exact(view: str, q: QueryGraph) -> str:
