@@ -61,6 +61,17 @@ def release(spark: SparkSession, since: int = 0, keep: tuple[str, ...] = ()) ->
     gone = [p for p in _MADE[since:] if p not in keep]
     _MADE[since:] = [p for p in _MADE[since:] if p in keep]
     for p in gone:
-        path = spark._jvm.org.apache.hadoop.fs.Path(p)
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+        remove(spark, p)
     return len(gone)
+
+
+def remove(spark: SparkSession, path: str) -> None:
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def settle(df: DataFrame, name: str, since: int) -> DataFrame:
+    """Write df, then remove all that has been made since a mark: the result needs nothing else."""
+    out = cut(df, name)
+    release(df.sparkSession, since, (_MADE[-1],))
+    return out
