@@ -569,21 +569,6 @@ add(
 )
 
 
-def _asof(s: SparkSession, d: str) -> DataFrame:
-    """For every tenth event its user's last other event before it."""
-    e = table(s, d, "events").withColumn("probe", F.col("event_id") % 10 == 0)
-    w = W.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(W.unboundedPreceding, -1)
-    last = F.last(F.when(~F.col("probe"), F.col("event_id")), ignorenulls=True).over(w)
-    return e.withColumn("before", last).where("probe").select("event_id", "user_id", "before")
-
-
-add(
-    "asof_last_event",
-    _asof,
-    "SELECT a.event_id, a.user_id, max_by(b.event_id, (b.ts, b.event_id)) AS before FROM events a LEFT JOIN events b ON a.user_id = b.user_id AND (b.ts, b.event_id) < (a.ts, a.event_id) AND b.event_id % 10 <> 0 WHERE a.event_id % 10 = 0 GROUP BY ALL",
-)
-
-
 def _asof_every(s: SparkSession, d: str) -> DataFrame:
     """For every event its user's last event before it."""
     w = W.partitionBy("user_id").orderBy("ts", "event_id")

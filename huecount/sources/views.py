@@ -121,11 +121,13 @@ def page_anchor(spark: SparkSession, d: str) -> DataFrame:
 
 def knn8(spark: SparkSession, d: str, k: int = NEIGHBOURS, block: int = 2048) -> DataFrame:
     """Symmetrised nearest neighbours by cosine, ties to the smaller id; vectors meet block by block and
-    only k neighbours of a vector leave a block."""
+    only k neighbours of a vector leave a block. Vectors without a direction (null, zero, or holding a null or NaN)
+    take no part."""
     import numpy as np
     import pandas as pd
 
-    v = table(spark, d, "embeddings").select("vec_id", "embedding")
+    sound = ~F.exists("embedding", lambda c: c.isNull() | F.isnan(c)) & F.exists("embedding", lambda c: c != 0)
+    v = table(spark, d, "embeddings").where("vec_id is not null and embedding is not null").where(sound).select("vec_id", "embedding")
     n = v.count()
     blocks = max(1, -(-n // block))
     dealt = v.withColumn("own", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"))

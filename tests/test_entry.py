@@ -9,7 +9,7 @@ from tests.conftest import SF
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 CHECKED = ["view_user_hour", "view_page_anchor", "degree_order", "seed_edges_k5", "path4_user_hour_high", "node_join", "edge_join", "merge_paths", "cycle_table_config_a_degree",
            "cycle_table_config_b_even", "cycle_table_one_boundary_boundary", "colorful_house_knn8_degree", "estimate_summary_10", "x4_order_part", "plan_blocks_satellite11", "improvement_summary",
-           "cv_share", "asof_last_event", "range_join_succession", "lateral_topk", "windowed_edges_session"]
+           "cv_share", "asof_every_event", "range_join_succession", "lateral_topk", "windowed_edges_session"]
 
 
 def cell(x):

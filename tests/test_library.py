@@ -121,3 +121,12 @@ def test_wedges_survive_a_repeated_batch(spark):
     once = sorted(sink.counts().collect())
     sink(batch, 0)
     assert sorted(sink.counts().collect()) == once and math.isfinite(once[0][1])
+
+
+def test_neighbours_of_unsound_vectors(spark, tmp_path):
+    from huecount.sources.views import graph_view
+
+    rows = [(i, [1.0, i / 10, 0.5]) for i in range(12)] + [(20, None), (21, [0.0, 0.0, 0.0]), (22, [1.0, None, 1.0]), (23, [float("nan"), 1.0, 1.0]), (None, [1.0, 1.0, 1.0])]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>").write.parquet(f"file://{tmp_path}/embeddings.parquet")
+    edges = graph_view(spark, f"file://{tmp_path}", "knn8").edges.collect()
+    assert {v for e in edges for v in e} == set(range(12))
