@@ -7,7 +7,6 @@ below it. All three give the same tables.
 
 from __future__ import annotations
 
-from collections import Counter, defaultdict
 from functools import reduce
 
 from pyspark.errors import PySparkException
@@ -44,11 +43,11 @@ class Solver:
         self.symmetry, self.root_complement, self.share = symmetry, root_complement, share
         self.tables: dict[int, DataFrame] = {}
         self._paths: dict[tuple, DataFrame] = {}
-        self._uses: Counter = Counter()
 
     def path(self, block: Block, nodes: list[str], own_start: bool, own_end: bool, high: bool) -> DataFrame:
         """The table of a path along nodes. Boundary nodes inside it are recorded; annotations of its ends
-        count only if owned. Tables of equal beginnings are made once, and written if more than one step reads them."""
+        count only if owned. Tables of equal beginnings are one table: its grouped sum is one exchange, which all
+        steps after it reuse."""
         ctx, table, made = self.ctx, self.tables, None
         for i, shape in enumerate(self._shapes(block, nodes, own_start, own_end, high), 1):
             if self.share and shape in self._paths:
@@ -66,8 +65,6 @@ class Solver:
                 made = joins.attach_node(ctx, made, table[c], "tail")
             if not last and nodes[i] in block.boundary:
                 made = joins.record(made, nodes[i])
-            if self._uses[shape] > 1 and i > 1:
-                made = cut(made, "path")
             self._paths[shape] = made
         return made
 
@@ -85,17 +82,6 @@ class Solver:
             out.append(shape)
         return out
 
-    def _plan_uses(self, block: Block, pairs: list[tuple[list[str], list[str]]], high: bool) -> None:
-        """Count, for every beginning of the paths to come, the different steps that read its table."""
-        readers = defaultdict(set)
-        for at, (plus, minus) in enumerate(pairs):
-            for side, (nodes, ends) in enumerate(((plus, (False, True)), (minus, (True, False)))):
-                shapes = self._shapes(block, nodes, *ends, high)
-                for shape, nxt in zip(shapes, shapes[1:], strict=False):
-                    readers[shape].add(nxt)
-                readers[shapes[-1]].add((at, side))
-        self._uses = Counter({shape: len(x) for shape, x in readers.items()}) if self.share and self.ctx.load is None else Counter()
-
     def _flip(self, child: int, first: str) -> bool:
         """Whether a child's table has to be turned to start at first."""
         return self.plan.blocks[child].boundary[0] != first
@@ -109,7 +95,6 @@ class Solver:
         if high and root and self.symmetry and not block.children:
             chosen, times = chosen[:1], n  # every rotation of a bare cycle gives the same sum
         pairs = [([seq[(i + s) % n] for s in range((j - i) % n + 1)], [seq[(i - s) % n] for s in range((i - j) % n + 1)]) for i, j in chosen]
-        self._plan_uses(block, pairs, high)
         for (i, j), (plus, minus) in zip(chosen, pairs, strict=True):
             a = self.path(block, plus, False, True, high)
             b = self.path(block, minus, True, False, high)
