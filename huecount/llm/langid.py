@@ -9,8 +9,9 @@ time per byte do not depend on lengths. Input bytes enter through a table of 256
 one-hot byte), so a step is one lookup and one small product.
 
 The sample: documents are ranked by a hash of doc_id and each contributes one window from a place that a
-second hash chooses; SAMPLE_PER_LANGUAGE documents of each language at most. It is the only part that
-does not cover all rows, and only fitting reads it.
+second hash chooses; SAMPLE_PER_LANGUAGE documents of each language at most, of the MAX_LANGUAGES most frequent
+languages. It is the only part that does not cover all rows, and only fitting reads it. A language beyond these is
+never predicted.
 
 Defined results: a null text, or one without a letter, is ``und`` with score 0; without any labelled
 document everything is ``und``; one language gets everything; repeated rows predict alike; an empty
