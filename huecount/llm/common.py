@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from huecount.session import cut, fresh_dir, made, release  # noqa: F401 (the operators take them from here)
+from huecount.session import cut, fresh_dir, made, release, remove, settle  # noqa: F401 (the operators take them from here)
 
 #: A word is a run of anything but these six ASCII white-space characters.
 WORD = r"[^\x20\x09-\x0D]+"
@@ -20,6 +21,24 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+@contextmanager
+def small_batches(spark: SparkSession) -> Iterator[None]:
+    """Arrow batches of SLICE_ROWS rows for what is written meanwhile; the session's own setting comes back."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(SLICE_ROWS))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, before)
+
+
+def cut_texts(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
+    """``cut`` for what Python workers make of whole texts: a worker and its feeder hold few of them at a time."""
+    with small_batches(df.sparkSession):
+        return cut(df, name, compression=compression)
+
+
 def slices(batches: Iterator[pd.DataFrame], column: str = "text") -> Iterator[pd.DataFrame]:
     """The rows of all batches in frames of SLICE_ROWS rows and about SLICE_CHARS characters of the column at
     most; a longer text is a frame of its own."""

@@ -37,7 +37,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from huecount.llm.common import cut, slices
+from huecount.llm.common import cut, cut_texts, made, settle, slices
 
 SUPPORT = 3
 #: Pages that text inside marked articles has to share before it can be the template's.
@@ -354,7 +354,7 @@ def occurrence(pages: DataFrame) -> DataFrame:
     parts = distinct(pages).select("html", "host", "copy").mapInPandas(run, TOKEN)
     same = [F.max(c).alias(c) for c in ("kind", "depth", "box", "chain")]
     sums = [*[F.sum(c).alias(c) for c in ("pages", "times", "words", "place", "marked")], F.bit_xor("vector").alias("vector")]
-    per_host = cut(parts.groupBy("host", "token").agg(*same, *sums), "html-tokens")
+    per_host = cut_texts(parts.groupBy("host", "token").agg(*same, *sums), "html-tokens")
     everywhere = per_host.groupBy("token").agg(*same, *sums).select(F.lit(ALL_HOSTS).alias("host"), "*")
     enough = F.col("pages") >= SUPPORT
     return per_host.where(enough).unionByName(everywhere.where(enough))
@@ -399,7 +399,8 @@ def templates(tokens: DataFrame) -> DataFrame:
 
 def extracted(pages: DataFrame) -> DataFrame:
     """page_id, url, text, decided ('host', 'all' or 'page': whose template chose the box) of every page."""
-    template = cut(templates(occurrence(pages)), "html-templates")
+    since = made()
+    template = settle(templates(occurrence(pages)), "html-templates", since)
     common = template.where(F.col("host") == ALL_HOSTS).select("box", "own").first()  # one row, as long as a page
     all_box, all_own = (common[0], frozenset(common[1] or ())) if common else (None, frozenset())
     own = template.where(F.col("host") != ALL_HOSTS).withColumnRenamed("host", "t_host")

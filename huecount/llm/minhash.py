@@ -34,7 +34,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from huecount.llm.common import cut, slices
+from huecount.llm.common import cut, cut_texts, made, settle, slices
 
 SHINGLE = 5
 BANDS, ROWS = 32, 5
@@ -45,7 +45,7 @@ WORTH_CHECKING = 0.6
 PAIRWISE_UP_TO = 24
 #: Members and cells of a block, about.
 BLOCK, BLOCK_CELLS = 1024, 1 << 20
-MEMORY_WORDS = 400_000
+MEMORY_WORDS = 250_000
 CHUNK_BITS = 32768
 #: A bitmap of ids has 16 MB at most. From some 8 million ids on it fills up and sorts out less and less; results
 #: are exact all the same, for a join follows, but that join then moves more rows.
@@ -248,7 +248,7 @@ def _sets_of(docs: DataFrame, nodes: DataFrame, wanted: DataFrame) -> DataFrame:
     of = cut(nodes.select("node", "digest").join(wanted, "node", "left_semi"), "dup-wanted")
     texts = likely_among(docs.select(digest().alias("digest"), "text"), "digest", of.select("digest"))
     once = texts.groupBy("digest").agg(F.first("text").alias("text"))
-    return cut(shingle_sets(once.join(of, "digest").select("node", "text")), "dup-shingles")
+    return cut_texts(shingle_sets(once.join(of, "digest").select("node", "text")), "dup-shingles")
 
 
 def verified(pairs: DataFrame, nodes: DataFrame, docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
@@ -400,9 +400,10 @@ def _classes(nodes: DataFrame, docs: DataFrame, threshold: float) -> DataFrame:
 
 
 def grouped(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """row, doc_id, digest, node, label (a node's number for each class), first (smallest doc_id of the class), alone (no other row is
-    in the class) of every row with words; of the others row, doc_id, digest."""
-    rows = cut(signed(docs), "dup-signed")
+    """row, doc_id, digest, copy_of (smallest doc_id with an equal text), label (a number for each class), first (smallest
+    doc_id of the class), alone (no other row is in the class) of every row. A row without words is alone."""
+    since = made()
+    rows = cut_texts(signed(docs), "dup-signed")
     full, least = rows.where("n > 0"), rows.count() / HOT
     copied = full.groupBy("digest").agg(F.count("*").alias("copies"), F.min("row").alias("node"), F.min("doc_id").alias("first")).where("copies > 1")
     copied = cut(copied.withColumn("hot", F.col("copies") > least), "dup-copied")
@@ -427,14 +428,14 @@ def grouped(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     ids = ids.join(cold, F.when(F.col("hot"), -1 - F.col("row")).otherwise(F.col("node")) == F.col("l_node"), "left")
     linked = F.col("h_node").isNotNull() | F.col("l_node").isNotNull()
     class_first = F.when(F.col("h_node").isNotNull(), F.col("h_first")).when(F.col("l_node").isNotNull(), F.col("class_first")).otherwise(F.col("first"))
-    of_text = ids.select("row", "doc_id", "digest", "node", F.coalesce("h_label", "label", "node").alias("label"), class_first.alias("first"), (~linked & ~F.col("copy")).alias("alone"))
-    empty = rows.where("n = 0").select("row", "doc_id", "digest", F.col("row").alias("node"), F.col("row").alias("label"), F.col("doc_id").alias("first"), F.lit(True).alias("alone"))
-    return of_text.union(empty)
+    of_text = ids.select("row", "doc_id", "digest", F.col("first").alias("copy_of"), F.coalesce("h_label", "label", "node").alias("label"), class_first.alias("first"), (~linked & ~F.col("copy")).alias("alone"))
+    empty = rows.where("n = 0").select("row", "doc_id", "digest", F.col("doc_id").alias("copy_of"), F.col("row").alias("label"), F.col("doc_id").alias("first"), F.lit(True).alias("alone"))
+    return settle(of_text.union(empty), "dup-groups", since)
 
 
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """doc_id, node (a number of its own for each text with words), class_id, of every row of docs(doc_id, text)."""
-    return grouped(docs, threshold).select("doc_id", "node", F.col("first").alias("class_id"))
+    """doc_id, node (the smallest doc_id with an equal text), class_id, of every row of docs(doc_id, text)."""
+    return grouped(docs, threshold).select("doc_id", F.col("copy_of").alias("node"), F.col("first").alias("class_id"))
 
 
 def op6_near_duplicates(docs: DataFrame) -> DataFrame:
@@ -444,13 +445,15 @@ def op6_near_duplicates(docs: DataFrame) -> DataFrame:
 def deduplicated(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """docs with one row of each class: that of the smallest doc_id (a null one comes last), of the smallest digest
     if that id stands for several texts. Rows without words stay."""
+    since = made()
     rows = cut(grouped(docs, threshold).where("not alone"), "dup-classes")
     order = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "digest")
     stays = rows.groupBy("label").agg(F.min(order).alias("o")).select(F.col("o.doc_id").alias("doc_id"), F.col("o.digest").alias("digest"))
     every = rows.groupBy("doc_id", "digest").agg(F.count("*").alias("copies"))
     name = F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("~")).cast("binary"), "digest")
     stays = stays.select(name.alias("stays_name"))
-    fate = cut(every.withColumn("name", name).join(stays, F.col("name") == F.col("stays_name"), "left").where("stays_name is null or copies > 1"), "dup-fate")
+    fate = every.withColumn("name", name).join(stays, F.col("name") == F.col("stays_name"), "left").where("stays_name is null or copies > 1")
+    fate = settle(fate, "dup-fate", since)
     fate = fate.select(F.col("name").alias("fate_name"), F.col("stays_name").isNotNull().alias("fate_stays"))
     own = F.concat(F.coalesce(F.col("doc_id").cast("long").cast("string"), F.lit("~")).cast("binary"), digest())
     marked = may_be_among(docs.withColumn("fate_own", own), "fate_own", fate.select("fate_name"), "fate_may")

@@ -6,7 +6,7 @@ others, one a document at most, are dealt evenly into buckets of about BUCKET pi
 packed by itself: for one sequence a subset-sum programme over a bitset finds the fullest combination of the
 lengths still available, starting from the longest one. The combination is removed as often as the counts
 allow, for as long as its lengths last it would be found again, so there are at most about as many rounds as
-lengths. A bucket costs one sequence that is not full, of some ten thousand; in return ids move once, two
+lengths. A bucket costs one sequence that is not full, of some thousands; in return ids move once, two
 bytes each, no task holds more than a bucket, and no part of the work grows on the driver. The sequences are
 written whole.
 
@@ -25,15 +25,15 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from huecount.llm.common import cut, slices
+from huecount.llm.common import cut, fresh_dir, remove, slices, small_batches
 
 SEQUENCE = 2048
 CLOSING_ID = 0
 VOCABULARY = "byte_bpe_50k"
 #: Words a tokenizing worker remembers, about 60 MB.
 MEMORY_WORDS = 300_000
-#: Pieces of a bucket, in the mean. At two bytes an id a task holds 128 MB of ids at the very most.
-BUCKET = 32_768
+#: Pieces of a bucket, in the mean. At two bytes an id a task holds 32 MB of ids at the very most, and twice that once widened.
+BUCKET = 8192
 PART = ("offset", "length", "doc_id", "piece", "start")
 
 
@@ -188,8 +188,12 @@ def members(lengths: np.ndarray, sequence: int = SEQUENCE) -> Iterator[list[int]
 def sequences(docs: DataFrame, sequence: int = SEQUENCE, bucket: int = BUCKET) -> DataFrame:
     """sequence_id, ids, parts (offset, length, doc_id, piece, start): the packed sequences, written whole, their
     pieces joined by offset."""
-    cut_up = cut(pieces(docs, sequence), "pieces", compression="zstd")
-    loose = cut_up.where(F.col("length") < sequence)
+    spark, path = docs.sparkSession, fresh_dir(docs.sparkSession, "pieces")
+    made = pieces(docs, sequence).withColumn("full", F.col("length") == sequence)
+    with small_batches(spark):
+        made.write.option("compression", "zstd").partitionBy("full").parquet(path)
+    written = spark.read.schema(made.schema).parquet(path)
+    loose = written.where("not full").drop("full")
     buckets = max(1, -(-loose.count() // bucket))
 
     def pack(rows: pd.DataFrame) -> pd.DataFrame:
@@ -211,9 +215,11 @@ def sequences(docs: DataFrame, sequence: int = SEQUENCE, bucket: int = BUCKET) -
     dealt = loose.withColumn("bucket", F.pmod(F.xxhash64("task", "nth"), F.lit(buckets)))
     packed = dealt.drop("ids").groupBy("bucket").applyInPandas(pack, shape)
     packed = cut(packed, "sequences", compression="zstd")
+    remove(spark, f"{path}/full=false")  # these lie in sequences now
+    written = spark.read.schema(made.schema).parquet(path)
     whole = F.array(F.struct(F.lit(0).cast("long").alias("offset"), "length", "doc_id", "piece", "start"))
     number = (F.shiftleft(F.col("task").cast("long"), 40) + F.col("nth")) * 2 + 1
-    full = cut_up.where(F.col("length") == sequence).select(number.alias("sequence_id"), "ids", whole.alias("parts"))
+    full = written.where("full").select(number.alias("sequence_id"), "ids", whole.alias("parts"))
     return packed.union(full)
 
 

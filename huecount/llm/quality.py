@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from huecount.llm.common import cut, slices
+from huecount.llm.common import cut, cut_texts, slices
 from huecount.llm.minhash import WordHash, shingles
 
 GAMMA = 1.02
@@ -147,7 +147,7 @@ def judged(rows: DataFrame, limits: DataFrame) -> DataFrame:
 
 
 def quality(docs: DataFrame) -> DataFrame:
-    rows = cut(measured(docs), "quality-counts")
+    rows = cut_texts(measured(docs), "quality-counts")
     sketch = cut(sketches(rows), "quality-sketches")
     limits = cut(thresholds(sketch), "quality-limits")
     return judged(rows, limits)

@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from huecount.llm.common import cut, fresh_dir, slices
+from huecount.llm.common import cut, cut_texts, fresh_dir, slices
 
 SMALLEST = 100
 ROLL = 32 << 20
@@ -346,7 +346,7 @@ def archived(pages: DataFrame, folder: str | None = None) -> DataFrame:
     """Write pages as archives, read them back, and return their capture history."""
     spark: SparkSession = pages.sparkSession
     folder, runs_folder = folder or fresh_dir(spark, "warc"), fresh_dir(spark, "warc-runs")
-    names = cut(write_archives(decided(pages), folder), "warc-names")
+    names = cut_texts(write_archives(decided(pages), folder), "warc-names")
     names = names.repartition(max(2, min(10_000, names.count())))
     return merged_index(cut(read_archives(names, folder, runs_folder), "warc-runs"), runs_folder)
 

@@ -212,13 +212,13 @@ def test_packing(docs):
 
 
 def test_sequences_hold_the_ids(spark, docs):
-    import corpus_pipeline
+    from huecount.llm import pipeline
 
     own, want = packing.Tokens(), Counter()
     for r in documents():
         want[r[0], own(r[1] or "") + bytes(4)] += 1
     whole = {r["sequence_id"]: bytes(r["ids"]) for r in packing.sequences(docs).collect()}
-    rows = corpus_pipeline.packed(spark, docs, "").collect()
+    rows = pipeline.packed(spark, docs, "").collect()
     space, texts = defaultdict(list), defaultdict(list)
     for r in rows:
         assert len(r["ids"]) == 4 * r["length"]
