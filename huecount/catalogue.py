@@ -379,7 +379,6 @@ def _measured_loads(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame(rows, experiments.LOAD)
 
 
-add("load_measured", _measured_loads)
 add("improvement_by_load", lambda s, d: experiments.improvement_by_load(_measured_loads(s, d)))
 add("normalized_load", lambda s, d: metrics.normalize(_measured_loads(s, d).withColumn("ranks", F.lit(1)), "candidates").drop("ranks"))
 add("plan_error_by_load", lambda s, d: metrics.plan_error(experiments.plan_loads(graph_view(s, d, "knn8"), _PLAN_QUERIES)))
