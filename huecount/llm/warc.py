@@ -38,6 +38,7 @@ from huecount.llm.common import cut, cut_texts, fresh_dir, slices
 
 SMALLEST = 100
 ROLL = 32 << 20
+CHUNK = 8192
 #: Runs that one task merges, entries of a batch, and entries of a range, about.
 FAN_IN, BATCH, RANGE = 1024, 256, 16_384
 #: Keys that the driver looks at to cut ranges, at most about.
@@ -127,15 +128,18 @@ def record_bytes(name: str, page_id: str | None, url: str, at: str, payload: byt
 
 def members(data: bytes) -> Iterator[tuple[int, int, bytes]]:
     """(offset, length, content) of the gzip members of an archive."""
-    at = 0
+    view, at = memoryview(data), 0
     while at < len(data):
-        z = zlib.decompressobj(31)
-        content = z.decompress(memoryview(data)[at:])
-        used = len(data) - at - len(z.unused_data)
+        z, end, parts = zlib.decompressobj(31), at, []
+        while not z.eof and end < len(data):  # bit by bit, for what a member leaves over is copied
+            part = view[end : end + CHUNK]
+            parts.append(z.decompress(part))
+            end += len(part)
         if not z.eof:
             raise ValueError(f"archive ends within a record at {at}")
-        yield at, used, content
-        at += used
+        end -= len(z.unused_data)
+        yield at, end - at, b"".join(parts)
+        at = end
 
 
 def parsed(content: bytes) -> tuple[dict[str, str], bytes]:
