@@ -10,7 +10,8 @@ drops a candidate as soon as partial sum plus the product of what is left of bot
 Queries and candidates meet in blocks. The k-th best scores of a block's queries within the head group of the longest
 candidates (a fixed number of rows) are known first, and give the least length that a candidate of any of its
 queries must have: the block travels only to groups of candidates from bands that reach it.
-Each group answers with k rows a query, which a ranked window cuts to k.
+Candidates move once, dealt to sets of groups; each set answers with k rows a query at most, which reach what the query
+knows to have, and a ranked window cuts them to k.
 
 Defined results: vectors that are null or empty, or hold a null, NaN or infinite component, take no part; nor do
 those that differ in dimension from most (of dimensions as frequent, the larger), for they have no inner product with them; repeated vec_ids are candidates each, except of their own id;
@@ -35,8 +36,10 @@ QUERY_BLOCK = 512
 CANDIDATE_GROUP = 8192
 HEAD = 4096
 BANDS = 64
-#: Tasks that the meetings of query blocks and groups are dealt to, at most.
-MEETINGS = 4000
+#: Candidates that a meeting looks at in one go.
+STEP = 1024
+#: Sets of groups that candidates are dealt to, at least, as far as there are groups; groups of a set and query blocks of a lot, at most.
+SETS, SET_GROUPS, LOT_BLOCKS = 64, 32, 1024
 #: Coordinates after which a query's candidates are pruned, as shares of the dimension.
 STAGES = (0.25, 0.5)
 
@@ -69,40 +72,92 @@ def rotation(vectors: DataFrame, dim: int) -> np.ndarray:
     return basis[:, ::-1].copy()
 
 
+class Side:
+    """Whole vectors, longest first or in any order, with what every meeting needs of them: lengths, coordinates in the rotated
+    basis, and lengths of what is left after each of the first cuts."""
+
+    def __init__(self, x: np.ndarray, ids: np.ndarray, basis: np.ndarray):
+        self.x, self.ids, self.turned = x, ids, x @ basis
+        self.norm = np.sqrt((x * x).sum(axis=1))
+        self.cuts = [max(1, int(x.shape[1] * s)) for s in STAGES]
+        self.rest = [np.sqrt(np.maximum((self.turned[:, n:] ** 2).sum(axis=1), 0)) for n in self.cuts]
+        self._light: tuple[np.ndarray, np.ndarray] | None = None
+
+    def light(self) -> tuple[np.ndarray, np.ndarray]:
+        """The vectors and their rotated coordinates in single precision."""
+        if self._light is None:
+            self._light = self.x.astype(np.float32), self.turned.astype(np.float32)
+        return self._light
+
+
+def meet(q: Side, floor: np.ndarray, c: Side, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+    """Number of the query, vec_id and score of the k best candidates of each query, by query and rank, as far as they
+    reach its floor, and how many products were finished. c: longest first. While the product of two lengths is below 2^24 all sums
+    of whole numbers are exact in single precision; from 2^53 on they are made in integers."""
+    dim, longest = q.x.shape[1], float(c.norm[0]) if len(c.ids) else 0.0
+    most = float(q.norm.max(initial=0)) * longest
+    (qx, qt), (cx, ct) = (q.light(), c.light()) if most < 1 << 24 else ((q.x, q.turned), (c.x, c.turned))
+    slack = (2e-6 * dim if most < 1 << 24 else 1e-9) * q.norm * longest + 1e-3
+    least = floor.astype(np.float64).copy()
+    who, ids, scores = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64)
+    finished = 0
+    for at in range(0, len(c.ids), STEP):
+        rows = np.flatnonzero(q.norm * c.norm[at] + slack >= least)
+        if not len(rows):
+            break
+        to = min(at + STEP, len(c.ids))
+        keep, done, part = np.ones((len(rows), to - at), bool), 0, 0
+        if np.isfinite(least[rows]).any():
+            for n, qr, cr in zip(q.cuts, q.rest, c.rest, strict=True):
+                part = part + qt[rows, done:n] @ ct[at:to, done:n].T
+                keep = part + np.outer(qr[rows], cr[at:to]) >= (least[rows] - slack[rows])[:, None]
+                done = n
+                if np.count_nonzero(keep) * 50 < keep.size:
+                    break
+        i, j = np.nonzero(keep)
+        other = q.ids[rows[i]] != c.ids[at + j]
+        i, j = rows[i[other]], at + j[other]
+        finished += len(i)
+        if most >= 1 << 53:
+            found = np.fromiter((int(a @ b) for a, b in zip(q.x[i].astype(np.int64), c.x[j].astype(np.int64), strict=True)), np.int64, len(i))
+        elif len(i) * 20 > keep.size:
+            every = np.full(len(q.ids), -1)
+            every[rows] = np.arange(len(rows))
+            found = (qx[rows] @ cx[at:to].T)[every[i], j - at].astype(np.int64)
+        else:
+            found = np.einsum("ij,ij->i", q.x[i], c.x[j]).astype(np.int64)
+        good = found >= least[i]
+        if not good.any():
+            continue
+        who, ids, scores = np.concatenate([who, i[good]]), np.concatenate([ids, c.ids[j[good]]]), np.concatenate([scores, found[good]])
+        who, ids, scores = first_k(who, ids, scores, k)
+        full = np.flatnonzero(np.diff(np.concatenate([[0], np.cumsum(np.bincount(who, minlength=len(q.ids)))])) == k)
+        last = np.searchsorted(who, full, "right") - 1
+        least[full] = np.maximum(least[full], scores[last])
+    return who, ids, scores, finished
+
+
+def first_k(who: np.ndarray, ids: np.ndarray, scores: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The k highest scores of each query, ties to the smaller id, by query and rank."""
+    order = np.lexsort((ids, -scores, who))
+    who, ids, scores = who[order], ids[order], scores[order]
+    kept = np.arange(len(who)) - np.searchsorted(who, who) < k
+    return who[kept], ids[kept], scores[kept]
+
+
 def best(q: np.ndarray, q_id: np.ndarray, floor: np.ndarray, c: np.ndarray, c_id: np.ndarray, basis: np.ndarray, k: int):
     """For each query (rows of q) its k best candidates: (query, vec_id, score). c: longest first. floor: a
     score that k candidates are known to reach, or -inf. Also returned: how many products were finished."""
-    dim = q.shape[1]
-    rq, rc = q @ basis, c @ basis
-    cuts = [max(1, int(dim * s)) for s in STAGES]
-    c_norm, q_norm = np.sqrt((c * c).sum(axis=1)), np.sqrt((q * q).sum(axis=1))
-    rest = lambda x, n: np.sqrt(np.maximum((x[:, n:] ** 2).sum(axis=1), 0))
-    c_rest, q_rest = [rest(rc, n) for n in cuts], [rest(rq, n) for n in cuts]
-    whole_c, whole_q = c.astype(np.int64), q.astype(np.int64)
-    out, finished, step = [], 0, 1024
-    for i in range(len(q)):
-        slack = 1e-9 * q_norm[i] * (c_norm[0] if len(c) else 0) + 1e-6
-        least, scores, ids = floor[i], np.zeros(0, np.int64), np.zeros(0, np.int64)
-        for at in range(0, len(c), step):
-            if q_norm[i] * c_norm[at] + slack < least:
-                break
-            near = np.arange(at, min(at + step, len(c)))
-            if np.isfinite(least):
-                part, done = np.zeros(len(near)), 0
-                for n, cr, qr in zip(cuts, c_rest, q_rest, strict=True):
-                    part = part + rc[near, done:n] @ rq[i, done:n]
-                    keep = part + cr[near] * qr[i] + slack >= least
-                    near, part, done = near[keep], part[keep], n
-            near = near[c_id[near] != q_id[i]]
-            finished += len(near)
-            scores = np.concatenate([scores, whole_c[near] @ whole_q[i]])
-            ids = np.concatenate([ids, c_id[near]])
-            if len(scores) >= k:
-                top = np.lexsort((ids, -scores))[:k]
-                scores, ids = scores[top], ids[top]
-                least = max(least, float(scores[-1]))
-        out += zip([q_id[i]] * len(ids), ids.tolist(), scores.tolist(), strict=True)
-    return out, finished
+    who, ids, scores, finished = meet(Side(q, q_id, basis), floor, Side(c, c_id, basis), k)
+    return list(zip(q_id[who].tolist(), ids.tolist(), scores.tolist(), strict=True)), finished
+
+
+def known_floors(who: np.ndarray, scores: np.ndarray, n: int, k: int) -> np.ndarray:
+    """The k-th best score of each of n queries, -inf where fewer are known. Rows lie by query and rank."""
+    floor, number = np.full(n, -np.inf), np.bincount(who, minlength=n)
+    full = np.flatnonzero(number >= k)
+    floor[full] = scores[np.searchsorted(who, full) + k - 1]
+    return floor
 
 
 def groups_within(q: np.ndarray, floor: np.ndarray, tops: np.ndarray, ends: np.ndarray) -> int:
@@ -115,13 +170,22 @@ def groups_within(q: np.ndarray, floor: np.ndarray, tops: np.ndarray, ends: np.n
     return int(ends[bands[-1]]) if len(bands) else 0
 
 
+def narrow(x: np.ndarray) -> bytes:
+    """Whole numbers in two bytes each where they fit, in eight as floats else, with a byte in front that tells."""
+    return b"\2" + x.astype("<i2").tobytes() if np.abs(x).max(initial=0) < 1 << 15 else b"\10" + x.astype("<f8").tobytes()
+
+
+def wide(b: bytes, dim: int) -> np.ndarray:
+    return np.frombuffer(b, "<i2" if b[0] == 2 else "<f8", offset=1).astype(np.float64).reshape(-1, dim)
+
+
 def _packed(rows: DataFrame, by: list[str]) -> DataFrame:
-    """Rows of a block as one row of two binaries; blocks have a bounded number of rows."""
+    """Rows of a block as one row of two binaries, longest first; blocks have a bounded number of rows."""
 
     def pack(block: pd.DataFrame) -> pd.DataFrame:
         block = block.sort_values(["norm", "vec_id"], ascending=[False, True])
         first = {c: [block[c].iat[0]] for c in by}
-        return pd.DataFrame(first | {"ids": [block["vec_id"].to_numpy(np.int64).tobytes()], "x": [np.stack(block["v"].to_numpy()).tobytes()]})
+        return pd.DataFrame(first | {"ids": [block["vec_id"].to_numpy(np.int64).tobytes()], "x": [narrow(np.stack(block["v"].to_numpy()))]})
 
     return rows.groupBy(*by).applyInPandas(pack, ", ".join(f"{c} int" for c in by) + ", ids binary, x binary")
 
@@ -152,40 +216,52 @@ def top_k(rows: DataFrame, is_query: Column, k: int = K, scale: int = SCALE) ->
     of = lambda numbers: F.element_at(F.array(*map(F.lit, numbers)), F.col("band") + 1)
     group = of(offsets) + F.pmod(F.xxhash64("vec_id"), of(parts))
     candidates = vectors.withColumn("band", band).withColumn("group", group.cast("int"))
-    packed = cut(_packed(candidates, ["group"]).withColumnsRenamed({"ids": "c_ids", "x": "c_x"}), "vector-groups")
-    head = vectors.orderBy(F.desc("norm"), "vec_id").limit(HEAD).toPandas()  # HEAD rows of one fixed dimension
-    head_ids, head_x = head["vec_id"].to_numpy(np.int64), np.stack(head["v"].to_numpy())
+    packed = cut(_packed(candidates, ["group"]), "vector-groups")
+    # The head is found by the executors, among the longest band only, and comes to the driver as two binaries.
+    longest = cut((vectors.where(F.col("norm") >= bounds[0]) if bounds else vectors).orderBy(F.desc("norm"), "vec_id").limit(HEAD), "vector-head")
+    head = _packed(longest.withColumn("block", F.lit(0)), ["block"]).first()
+    head_ids, head_x = bytes(head["ids"]), bytes(head["x"])
     queries = vectors.where(is_query).withColumn("block", F.pmod(F.xxhash64("vec_id", F.lit(1)), F.lit(blocks)).cast("int"))
-    matrix = lambda b: np.frombuffer(b, np.float64).reshape(-1, dim)
+    side = lambda ids, x: Side(wide(x, dim), np.frombuffer(ids, np.int64), basis)
 
     def start(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        top = side(head_ids, head_x)
         for batch in batches:
             floors, reach = [], []
             for ids, x in zip(batch["ids"], batch["x"], strict=True):
-                q_id = np.frombuffer(ids, np.int64)
-                got, _ = best(matrix(x), q_id, np.full(len(q_id), -np.inf), head_x, head_ids, basis, k)
-                known: dict[int, list[int]] = {}
-                for q, _, s in got:
-                    known.setdefault(q, []).append(s)
-                floor = np.array([min(known[q]) if len(known.get(q, ())) >= k else -np.inf for q in q_id.tolist()])
+                q = side(ids, x)
+                who, _, scores, _ = meet(q, np.full(len(q.ids), -np.inf), top, k)
+                floor = known_floors(who, scores, len(q.ids), k)
                 floors.append(floor.tobytes())
-                reach.append(groups_within(matrix(x), floor, tops, ends))
+                reach.append(groups_within(q.x, floor, tops, ends))
             yield batch.assign(floor=floors, groups=reach)
 
     tops, ends = np.array([np.inf, *bounds]), np.cumsum(parts)
     started = _packed(queries, ["block"]).mapInPandas(start, "block int, ids binary, x binary, floor binary, groups int")
     started = cut(started, "query-blocks")
-    # The numbers of the groups that a block has to visit are multiplied out, then joined.
-    routed = started.where("groups > 0").withColumn("group", F.explode(F.sequence(F.lit(0), F.col("groups") - 1)))
-    met = routed.select("ids", "x", "floor", "group").join(packed, "group")
-
-    def search(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            for r in batch.itertuples():
-                got, _ = best(matrix(r.x), np.frombuffer(r.ids, np.int64), np.frombuffer(r.floor), matrix(r.c_x), np.frombuffer(r.c_ids, np.int64), basis, k)
-                yield pd.DataFrame(got, columns=["query_id", "vec_id", "score"], dtype="int64")
-
-    found = cut(met.repartition(max(2, min(sum(parts) * blocks, MEETINGS))).mapInPandas(search, "query_id long, vec_id long, score long"), "top-parts")
+    # Groups are dealt to sets, longest and shortest alike, and move once. A block goes to the sets that hold a group it has to
+    # visit, in lots of blocks, so that what moves are queries times sets, not queries times groups.
+    groups = sum(parts)
+    sets, lots = min(groups, max(SETS, -(-groups // SET_GROUPS))), -(-blocks // LOT_BLOCKS)
+    routed = started.where("groups > 0").withColumn("set", F.explode(F.sequence(F.lit(0), F.least("groups", F.lit(sets)) - 1)))
+    routed = routed.withColumn("lot", F.pmod("block", F.lit(lots))).select("set", "lot", "ids", "x", "floor", "groups")
+    held = packed.withColumn("set", F.pmod("group", F.lit(sets))).withColumn("lot", F.explode(F.sequence(F.lit(0), F.lit(lots - 1)))).select("set", "lot", "group", "ids", "x")
+
+    def search(blocks: pd.DataFrame, own: pd.DataFrame) -> pd.DataFrame:
+        found, own = [], own.sort_values("group")
+        known = [side(r.ids, r.x) for r in own.itertuples()] if len(blocks) else []
+        for r in blocks.itertuples():
+            q, floor, got = side(r.ids, r.x), np.frombuffer(r.floor), [np.zeros(0, np.int64)] * 3
+            for number, c in zip(own["group"], known, strict=False):
+                if number < r.groups:
+                    *more, _ = meet(q, floor, c, k)
+                    got = first_k(*[np.concatenate(both) for both in zip(got, more, strict=True)], k)
+                    floor = np.maximum(floor, known_floors(got[0], got[2], len(q.ids), k))
+            found.append(pd.DataFrame({"query_id": q.ids[got[0]], "vec_id": got[1], "score": got[2]}))
+        return pd.concat(found) if found else pd.DataFrame({c: np.zeros(0, np.int64) for c in ("query_id", "vec_id", "score")})
+
+    deal = lambda df: df.repartition(max(2, sets * lots), "set", "lot").groupBy("set", "lot")
+    found = cut(deal(routed).cogroup(deal(held)).applyInPandas(search, "query_id long, vec_id long, score long"), "top-parts")
     rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return found.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 

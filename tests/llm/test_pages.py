@@ -7,6 +7,7 @@ from collections import defaultdict
 import duckdb
 import numpy as np
 import pandas as pd
+import pytest
 
 from huecount.llm import html, queries, topk, warc
 from tests.conftest import SF
@@ -250,6 +251,34 @@ def test_top_k_over_many_bands(spark, monkeypatch):
     assert topk.groups_within(np.array([[0.0, 0.0]]), np.array([0.0]), np.array([np.inf, 1.0]), np.array([1, 2])) == 2
 
 
+def test_top_k_brings_no_vectors_to_the_driver(spark, monkeypatch):
+    for name, value in (("CANDIDATE_GROUP", 64), ("QUERY_BLOCK", 4), ("HEAD", 32), ("SETS", 3), ("SET_GROUPS", 8), ("LOT_BLOCKS", 2)):
+        monkeypatch.setattr(topk, name, value)
+    frame_type, brought = type(spark.range(1)), []
+    whole = frame_type.toPandas
+    monkeypatch.setattr(frame_type, "toPandas", lambda self: brought.append(self.columns) or whole(self))
+    rng = np.random.default_rng(8)
+    rows = [(i, [float(x) for x in rng.normal(0, 1, 6) * (200.0 if i % 17 == 0 else 1.0)]) for i in range(1500)]
+    v = {i: np.floor(256 * np.array(x)).astype(np.int64) for i, x in rows}
+    got = topk.op9_top_k(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()
+    assert sorted(map(tuple, got)) == brute_top(v)
+    assert not any("v" in columns for columns in brought)
+
+
+@pytest.mark.parametrize("size", [30, 9_000, 1_000_000, 200_000_000])
+def test_meetings_are_exact_at_any_length(size):
+    rng = np.random.default_rng(4)
+    c = rng.integers(-size, size, (3000, 12)).astype(float)
+    assert (topk.wide(topk.narrow(c), 12) == c).all()
+    c = c[np.argsort(-(c * c).sum(1), kind="stable")]
+    q, ids = c[::100], np.arange(3000)
+    out, _ = topk.best(q, ids[::100], np.full(len(q), -np.inf), c, ids, np.eye(12), 5)
+    for i in range(len(q)):
+        s = c.astype(np.int64) @ q[i].astype(np.int64)
+        order = [j for j in np.lexsort((ids, -s)) if j != ids[::100][i]][:5]
+        assert [x[1:] for x in out[5 * i : 5 * i + 5]] == [(j, s[j]) for j in order]
+
+
 def test_pruning_is_exact_and_saves_work():
     rng = np.random.default_rng(3)
     c = np.floor(rng.normal(0, 1, (5000, 16)) * np.exp(rng.normal(0, 1, (5000, 1))) * 50)
