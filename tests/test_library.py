@@ -130,3 +130,22 @@ def test_neighbours_of_unsound_vectors(spark, tmp_path):
     spark.createDataFrame(rows, "vec_id long, embedding array<float>").write.parquet(f"file://{tmp_path}/embeddings.parquet")
     edges = graph_view(spark, f"file://{tmp_path}", "knn8").edges.collect()
     assert {v for e in edges for v in e} == set(range(12))
+
+
+def test_streams_end_in_the_shared_folder(spark):
+    before = {t.name for t in spark.catalog.listTables()}
+    for stream, mode in ((windows.windowed_edges(windows.event_stream(spark, SF), "tumbling"), "complete"), (windows.deduplicated(windows.event_stream(spark, SF)), "append")):
+        got = windows.run_to_table(stream, mode)
+        assert got.count() > 0 and got.inputFiles()  # rows are in files, not on the driver
+    assert {t.name for t in spark.catalog.listTables()} == before
+
+
+def test_a_sink_keeps_the_last_whole_result(spark):
+    stream = windows.windowed_edges(windows.event_stream(spark, SF), "tumbling")
+    sink = windows._Sink(stream, "complete")
+    assert sink.rows().count() == 0
+    rows = spark.createDataFrame([], stream.schema)
+    one = windows.windowed_edges(spark.read.parquet(f"{SF}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp")), "tumbling")
+    for number, batch in ((0, rows), (1, one), (1, one)):  # a repeated batch changes nothing
+        sink(batch, number)
+    assert sorted(sink.rows().collect()) == sorted(one.collect())
