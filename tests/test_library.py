@@ -149,3 +149,13 @@ def test_a_sink_keeps_the_last_whole_result(spark):
     for number, batch in ((0, rows), (1, one), (1, one)):  # a repeated batch changes nothing
         sink(batch, number)
     assert sorted(sink.rows().collect()) == sorted(one.collect())
+
+
+def test_pairs_meet_by_slot(spark):
+    events = spark.read.parquet(f"{SF}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
+    pairs = windows.active_pairs(events)
+    assert "slot" in pairs._jdf.queryExecution().optimizedPlan().toString()
+    sql = "SELECT count(*) FROM e a JOIN e b ON b.ts > a.ts AND b.ts <= a.ts + interval 10 minutes AND a.event_type = b.event_type AND a.user_id <> b.user_id"
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW e AS SELECT * FROM read_parquet('{SF}/events.parquet')")
+    assert pairs.count() == con.execute(sql).fetchone()[0] > 0
