@@ -191,6 +191,16 @@ def test_letters():
     assert [langid.has_letter(t) for t in ("½ ² Ⅷ _ 12", "½a", "日", "", None, "\n.,", "ª")] == [False, True, True, False, False, False, True]
 
 
+def test_tokens_keep_no_words():
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    own, theirs = packing.Tokens(), Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    for text in ("", " ", "one two  three ", " lead", "a\n b\t c", "x" * 5000, "wörd " * 300, "<|endoftext|> a"):
+        assert np.frombuffer(own(text), "<u4").tolist() == theirs.encode(text, add_special_tokens=False).ids
+    assert not any(isinstance(x, dict) for x in vars(own).values()) and not hasattr(own, "part")
+
+
 def test_packing(docs):
     rows = packing.op4_packing(docs).collect()
     own, space = packing.Tokens(), defaultdict(list)
