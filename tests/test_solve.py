@@ -119,3 +119,11 @@ def test_empty_and_disjoint_graphs(spark):
     none = gen.uniform_random(spark, 5, 0.0)
     assert number(count_colorful(none, CATALOGUE["paw"], Coloring(4))) == 0
     assert estimate.count(none, CATALOGUE["c4"], trials=2).first()["cv"] is None
+
+
+def test_numbers_of_paths_without_enumerating_them(spark):
+    for g in (gen.complete(spark, 7), gen.grid(spark, 3, 5), gen.star(spark, 9), gen.uniform_random(spark, 30, 0.3), gen.complete_of(spark.range(1).select(F.col("id").alias("v")))):
+        for q in (3, 4, 5):
+            assert number(paths.count_paths(g, q)) == paths.enumerate_paths(g, q).count()
+    plan = paths.count_paths(gen.grid(spark, 3, 5), 4)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Join") == 1
