@@ -127,3 +127,23 @@ def test_numbers_of_paths_without_enumerating_them(spark):
             assert number(paths.count_paths(g, q)) == paths.enumerate_paths(g, q).count()
     plan = paths.count_paths(gen.grid(spark, 3, 5), 4)._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("Join") == 1
+
+
+def test_paths_stay_at_their_start_on_flat_graphs(spark):
+    from huecount.operators import joins
+    from huecount.operators.joins import Context
+
+    made = []
+    for parts in (None, 0):
+        g = gen.uniform_random(spark, 60, 0.2, seed=2)
+        g._flat = parts
+        ctx = Context(g, Coloring(4, "affine"))
+        p = joins.extend_edge(ctx, joins.extend_edge(ctx, joins.seed_edge(ctx, False), False), False)
+        t = joins.extend_edge(ctx, joins.seed_edge(ctx, False), False).select("trial", F.col("h").alias("u"), F.col("tail").alias("v"), "sig", "cnt")
+        b = joins.extend_block(ctx, joins.seed_edge(ctx, False), t, True, False, bare=True)
+        moves = p._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning")  # before it has run
+        made.append((sorted(p.collect()), sorted(b.collect()), moves))
+    flat, plain = made
+    assert flat[:2] == plain[:2] and flat[0] and flat[1]
+    assert flat[2] <= 1 < plain[2]
+    assert gen.star(spark, 200).flat_parts() == 0  # a hub's paths would all lie in one task
