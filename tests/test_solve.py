@@ -147,3 +147,54 @@ def test_paths_stay_at_their_start_on_flat_graphs(spark):
     assert flat[:2] == plain[:2] and flat[0] and flat[1]
     assert flat[2] <= 1 < plain[2]
     assert gen.star(spark, 200).flat_parts() == 0  # a hub's paths would all lie in one task
+
+
+def test_a_path_meets_itself_without_a_join(spark):
+    from huecount.operators.joins import Context, extend_edge, meets_itself, merge_itself, merge_paths, seed_edge
+
+    g = gen.uniform_random(spark, 40, 0.3, seed=4)
+    ctx = Context(g, Coloring(5, "affine", trials=3))
+    p = extend_edge(ctx, seed_edge(ctx, False), False)
+    for keep in ({}, {"u": "h"}, {"u": "h", "v": "tail"}):
+        alone, joined = merge_itself(ctx, p, keep, 1), merge_paths(ctx, p, p, keep)
+        plan = alone._jdf.queryExecution().executedPlan().toString()  # before it has run
+        loose = merge_itself(ctx, extend_edge(ctx, seed_edge(ctx, False), False, sums=False), keep, 1)
+        assert sorted(loose.collect()) == sorted(alone.collect()) == sorted(joined.select(*alone.columns).collect()) != []
+        assert "SortMergeJoin" not in plan and plan.count("Exchange hashpartitioning") <= (2 if not keep else 1)
+    # What a step has for candidates is told alike, by sums and by joined rows.
+    told = [Context(g, Coloring(5, "affine"), load=[]) for _ in range(2)]
+    for merge, c in zip((lambda c: merge_itself(c, p, {}, 1), lambda c: merge_paths(c, p, p, {})), told, strict=True):
+        merge(c)
+    sums = [c.load[-1].agg(F.sum("candidates"), F.sum("kept")).first() for c in told]
+    assert sums[0] == sums[1] and sums[0][1] > 0
+    assert meets_itself(ctx, 1) and not meets_itself(ctx, 2) and not meets_itself(Context(g, Coloring(12)), 3)  # too many sets of colours
+
+
+def test_neighbours_come_in_lots(spark, monkeypatch):
+    from huecount.operators import graph
+
+    q = CATALOGUE["c4"]
+    want = number(exact.colorful_brute_force(gen.uniform_random(spark, 60, 0.2, seed=2), q, Coloring(4, "affine")))
+    monkeypatch.setattr(graph, "NEAR_LOT", 200)
+    monkeypatch.setattr(graph, "PART_CANDIDATES", 500)
+    for s in STRATEGIES:
+        g = gen.uniform_random(spark, 60, 0.2, seed=2)
+        assert number(count_colorful(g, q, Coloring(4, "affine"), s)) == want > 0
+        assert len(g.near()) > 2 and g.flat_parts(10) > g.flat_parts()
+
+
+def test_bipartite_cycles_start_on_one_side(spark):
+    from huecount.operators.joins import Context
+    from huecount.operators.solve import Solver
+    from huecount.plans.plan import plan_for
+    from huecount.sources.views import graph_view
+
+    for v in ("part_supplier", "user_hour"):
+        g = graph_view(spark, "/root/testdata/sf0.001", v)
+        for name in ("c4", "c6"):
+            q = CATALOGUE[name]
+            ctx = Context(g, Coloring(q.k, "affine"))
+            half, whole = (Solver(ctx, plan_for(q), "even", symmetry=s).run() for s in (True, False))
+            assert number(half) == number(whole) > 0
+            if name == "c4":
+                assert "& 1) =" in half._jdf.queryExecution().toString() and "& 1) =" not in whole._jdf.queryExecution().toString()
