@@ -198,3 +198,17 @@ def test_bipartite_cycles_start_on_one_side(spark):
             assert number(half) == number(whole) > 0
             if name == "c4":
                 assert "& 1) =" in half._jdf.queryExecution().toString() and "& 1) =" not in whole._jdf.queryExecution().toString()
+
+
+def test_leaves_are_summed_once(dense):
+    from huecount.operators.joins import Context
+    from huecount.operators.solve import Solver
+    from huecount.plans.plan import plan_for
+
+    q = CATALOGUE["path4"]
+    assert number(count_colorful(dense, q, Coloring(4, "affine"))) == number(exact.colorful_brute_force(dense, q, Coloring(4, "affine"))) > 0
+    solver = Solver(Context(dense, Coloring(4, "affine")), plan_for(q))
+    for b in solver.plan.blocks[:-1]:
+        solver.tables[b.id] = solver.leaf(b).localCheckpoint()
+    leaf = next(b for b in solver.plan.blocks if b.kind == "leaf" and b.on_node(b.seq[1]) is not None)
+    assert "sum(cnt" in (plan := solver.leaf(leaf)._jdf.queryExecution().optimizedPlan().toString()) and plan.count("Aggregate [") == 1
