@@ -212,3 +212,19 @@ def test_leaves_are_summed_once(dense):
         solver.tables[b.id] = solver.leaf(b).localCheckpoint()
     leaf = next(b for b in solver.plan.blocks if b.kind == "leaf" and b.on_node(b.seq[1]) is not None)
     assert "sum(cnt" in (plan := solver.leaf(leaf)._jdf.queryExecution().optimizedPlan().toString()) and plan.count("Aggregate [") == 1
+
+
+def test_triangles_of_the_plain_strategies_are_closed_before_they_are_summed(spark, monkeypatch):
+    g = gen.uniform_random(spark, 40, 0.3, seed=5)
+    for name in ("triangle", "paw", "bull"):
+        q = CATALOGUE[name]
+        coloring = Coloring(q.k, "affine", trials=3)
+        want = sorted(map(tuple, count_colorful(g, q, coloring, "degree").collect()))
+        assert sum(c for _, c in want) > 0
+        with monkeypatch.context() as m:
+            m.setattr("huecount.operators.joins.extend_edge", None)  # no path of two edges is built
+            for s in ("boundary", "even"):
+                for kind in ("long", "decimal"):
+                    assert sorted(map(tuple, count_colorful(g, q, coloring, s, count_type=kind).collect())) == want
+    q = CATALOGUE["triangle"]
+    assert run_banded(g, q, Coloring(3, "affine"), 3, strategy="boundary").first()["cnt"] == number(count_colorful(g, q, Coloring(3, "affine")))
