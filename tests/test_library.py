@@ -159,3 +159,18 @@ def test_pairs_meet_by_slot(spark):
     con = duckdb.connect()
     con.execute(f"CREATE VIEW e AS SELECT * FROM read_parquet('{SF}/events.parquet')")
     assert pairs.count() == con.execute(sql).fetchone()[0] > 0
+
+
+def test_tables_leave_no_shuffle_files(spark):
+    from pyspark.sql import functions as F
+
+    from huecount.session import SWEEP, cut
+
+    def left():
+        files = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+        return {name for i in range(files.size()) if (name := files.apply(i).getName()).startswith("shuffle_")}
+
+    before, setting = left(), spark.conf.get(SWEEP)
+    made = cut(spark.range(1000).groupBy((F.col("id") % 7).alias("k")).count())
+    assert not left() - before and spark.conf.get(SWEEP) == setting
+    assert made.count() == 7

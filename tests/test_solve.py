@@ -228,3 +228,34 @@ def test_triangles_of_the_plain_strategies_are_closed_before_they_are_summed(spa
                     assert sorted(map(tuple, count_colorful(g, q, coloring, s, count_type=kind).collect())) == want
     q = CATALOGUE["triangle"]
     assert run_banded(g, q, Coloring(3, "affine"), 3, strategy="boundary").first()["cnt"] == number(count_colorful(g, q, Coloring(3, "affine")))
+
+
+def test_paths_between_the_sides_start_on_one(spark):
+    from huecount.operators.joins import Context, bare_path, extend_edge, seed_edge
+    from huecount.sources.views import graph_view
+
+    for flat in (None, 0):
+        g = graph_view(spark, "/root/testdata/sf0.001", "user_hour")
+        g._flat = flat
+        for n in (3, 4):
+            ctx = Context(g, Coloring(4, "affine"))
+            whole = seed_edge(ctx, False)
+            for _ in range(n - 2):
+                whole = extend_edge(ctx, whole, False)
+            got = bare_path(ctx, n)
+            assert ("& 1) =" in got._jdf.queryExecution().toString()) == (n == 4)
+            assert sorted(got.select(*whole.columns).collect()) == sorted(whole.collect()) != []
+
+
+def test_lists_by_colour_tell_candidates_as_joins_do(spark):
+    from huecount.operators.joins import Context, extend_edge, seed_edge
+
+    for high in (False, True):
+        told = []
+        for flat in (None, 0):
+            g = gen.uniform_random(spark, 60, 0.2, seed=2)
+            g._flat = flat
+            ctx = Context(g, Coloring(4, "affine"), load=[])
+            rows = sorted(extend_edge(ctx, seed_edge(ctx, high), high).collect())
+            told.append((rows, ctx.load[-1].agg(F.sum("candidates"), F.sum("kept")).first()))
+        assert told[0] == told[1] and told[0][0]
