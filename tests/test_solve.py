@@ -259,3 +259,19 @@ def test_lists_by_colour_tell_candidates_as_joins_do(spark):
             rows = sorted(extend_edge(ctx, seed_edge(ctx, high), high).collect())
             told.append((rows, ctx.load[-1].agg(F.sum("candidates"), F.sum("kept")).first()))
         assert told[0] == told[1] and told[0][0]
+
+
+def test_twins_are_chosen_from_one_list(spark):
+    from huecount.sources.views import graph_view
+
+    for g in (gen.uniform_random(spark, 25, 0.4, seed=1), graph_view(spark, "/root/testdata/sf0.001", "user_hour")):
+        for name in ("c4",) if g.sides else ("c4", "k23", "house"):
+            q = CATALOGUE[name]
+            c = Coloring(q.k, "affine")
+            want = exact.matches(g, q, coloring=c).count()
+            for flat in (None, 0):
+                g._flat = flat
+                df = exact.colorful_brute_force(g, q, c)
+                assert number(df) == want
+                if name == "c4" and flat is None:
+                    assert "LeftSemi" not in df._jdf.queryExecution().optimizedPlan().toString()  # nothing is listed and then closed
