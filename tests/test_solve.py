@@ -275,3 +275,15 @@ def test_twins_are_chosen_from_one_list(spark):
                 assert number(df) == want
                 if name == "c4" and flat is None:
                     assert "LeftSemi" not in df._jdf.queryExecution().optimizedPlan().toString()  # nothing is listed and then closed
+
+
+def test_paths_with_the_highest_first_follow_from_places(spark):
+    from huecount.sources.views import graph_view
+
+    graphs = [gen.complete(spark, 6), gen.uniform_random(spark, 25, 0.3), graph_view(spark, "/root/testdata/sf0.001", "user_hour")]
+    for g in graphs:
+        for q in (3, 4):
+            for order, count in (("degree", paths.count_x), ("id", paths.count_y)):
+                assert number(count(g, q)) == paths.enumerate_paths(g, q, order).count()
+    plan = paths.count_y(graphs[-1], 4)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("Join") == 2  # degrees of ends, and single rows; no path is listed
