@@ -287,3 +287,27 @@ def test_paths_with_the_highest_first_follow_from_places(spark):
                 assert number(count(g, q)) == paths.enumerate_paths(g, q, order).count()
     plan = paths.count_y(graphs[-1], 4)._jdf.queryExecution().optimizedPlan().toString()
     assert plan.count("Join") == 2  # degrees of ends, and single rows; no path is listed
+
+
+def test_equal_merges_are_run_once(spark):
+    from huecount.operators.joins import Context
+    from huecount.operators.solve import Solver
+    from huecount.plans.plan import plan_for
+
+    g, q, told = gen.uniform_random(spark, 40, 0.25, seed=2), CATALOGUE["c4"], []
+    for share in (True, False):
+        ctx = Context(g, Coloring(4, "affine"), load=[])
+        Solver(ctx, plan_for(q), "degree", symmetry=False, root_complement=False, share=share).run()
+        merges = [x for x in ctx.load if "merge#" in x.first()["step"]]
+        rows = [x.agg(F.countDistinct("step"), F.sum("candidates"), F.sum("kept")).first() for x in merges]
+        told.append((len(merges), *(sum(r[i] for r in rows) for i in range(3))))
+    assert told[0][0] == 1 and told[1][0] == 4
+    assert told[0][1:] == told[1][1:] and told[0][1] == 4 and told[0][3] > 0
+
+
+def test_measures_of_views_leave_nothing(spark):
+    from huecount import catalogue, session
+
+    since = session.made()
+    rows = catalogue._on_view(spark, "/root/testdata/sf0.001", "user_hour", lambda g: [(g.arcs().count(), session.made() - since)])
+    assert rows[0][0] > 0 and rows[0][1] > 0 and session.made() == since
