@@ -55,6 +55,12 @@ def test_expected_degrees(spark):
     assert abs(sum(deg.get(r[0], 0) for r in top) / sum(r[1] for r in top) - 1) < 0.25
 
 
+def test_trials_of_expected_degrees_are_not_sent_to_the_driver(spark):
+    edges = gen.expected_degree(gen.power_law(spark, 1024, 1.5)).edges
+    assert edges.collect()
+    assert "BroadcastHashJoin" not in edges._jdf.queryExecution().executedPlan().toString()
+
+
 def test_generators(spark):
     r = gen.rmat(spark, 7)
     assert r.edges.exceptAll(gen.rmat(spark, 7).edges).count() == 0
