@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from huecount.functions.coloring import Coloring, TableColoring
 from huecount.operators import estimate, exact, paths
-from huecount.operators.graph import dense_rank, prune
+from huecount.operators.graph import MOST_NEAR, dense_rank, prune
 from huecount.operators.joins import Context
 from huecount.operators.solve import STRATEGIES, Solver, count_colorful, load, run_banded
 from huecount.plans.plan import Block, Plan, enumerate_plans
@@ -330,3 +330,18 @@ def test_cycles_in_place(spark, strategy, ends):
             taken = strategy == "boundary" or strategy == "even" and ends != ("a", "b") or not ends  # no middle is recorded
             assert not taken or "explode" not in made._jdf.queryExecution().executedPlan().toString()
     assert told[0] == told[1] and len(told[0]) > 0
+
+
+@pytest.mark.parametrize("strategy", STRATEGIES)
+def test_loads_in_place(spark, strategy):
+    """The steps of cycles that are summed in place are told part by part as joins tell them, but no join is run for it."""
+    told = []
+    for lists in (True, False):
+        g = gen.uniform_random(spark, 90, 0.3)
+        assert g.flat_parts() > 0
+        if not lists:
+            g.work()["arcs"] = MOST_NEAR + 1  # too many arcs for tasks that read all of them
+        made = load(g, CATALOGUE["c4"], Coloring(4), strategy)
+        assert ("Join" in made._jdf.queryExecution().executedPlan().toString()) != lists
+        told.append(sorted(map(tuple, made.collect())))
+    assert told[0] == told[1] and len(told[0]) > 0
