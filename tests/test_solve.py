@@ -345,3 +345,21 @@ def test_loads_in_place(spark, strategy):
         assert ("Join" in made._jdf.queryExecution().executedPlan().toString()) != lists
         told.append(sorted(map(tuple, made.collect())))
     assert told[0] == told[1] and len(told[0]) > 0
+
+
+@pytest.mark.parametrize("k", [4, 5])
+@pytest.mark.parametrize("n,p", [(60, 0.3), (400, 0.01)])
+def test_edge_join_in_place(spark, k, n, p):
+    """An edge and a path of three are joined where they start, on dense and on thin graphs, and nothing is exchanged for it."""
+    from huecount.operators import joins
+
+    made = []
+    for flat in (None, 0):
+        g = gen.uniform_random(spark, n, p, seed=5)
+        g._flat = flat
+        ctx = Context(g, Coloring(k))
+        t = joins.bare_path(ctx, 3).select("trial", F.col("h").alias("u"), F.col("tail").alias("v"), "sig", "cnt")
+        b = joins.extend_block(ctx, joins.seed_edge(ctx, False), t, True, False, bare=3)
+        assert flat is not None or g.flat_parts() > 0 and "Exchange hash" not in b._jdf.queryExecution().executedPlan().toString()
+        made.append(sorted(map(tuple, b.collect())))
+    assert made[0] == made[1] and made[0]
