@@ -174,3 +174,12 @@ def test_groups_in_python(spark):
     a = spark.createDataFrame([(1, 5), (2, 6), (2, 7)], "k int, cnt long")
     b = spark.createDataFrame([(1, 5), (2, 7), (2, 6), (3, 1)], "k int, cnt long")
     assert udf.differences(a, b, ["k"]).first()[0] == 1 and udf.differences(a, a, ["k"]).first()[0] == 0
+
+
+def test_differences_are_told_many_keys_a_call(spark):
+    a = spark.range(3000).selectExpr("id div 2 as u", "id % 2 as v", "id as cnt")
+    b = a.where("u <> 7").withColumn("cnt", F.expr("if(u = 9, cnt + 1, cnt)")).union(spark.sql("select 5000L, 0L, 1L")).union(a.where("u = 11"))
+    assert udf.differences(a, a.orderBy(F.desc("cnt")), ["u", "v"]).first()[0] == 0
+    told = udf.differences(a, b, ["u", "v"])
+    assert told.first()[0] == 2 + 2 + 1 + 2
+    assert "lot" in told._jdf.queryExecution().analyzed().toString()
